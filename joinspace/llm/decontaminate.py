@@ -16,12 +16,17 @@ from pyspark.sql import functions as F
 
 from .common import Scratch, lower_az, text_key
 
-#: Fixed value: a word is a run of these.
-WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+#: What stands between words (after lower-casing), and a word before lower-casing.
+BETWEEN = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+RAW_WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 
 
 def words(text: Column) -> Column:
-    return F.coalesce(F.regexp_extract_all(lower_az(text), F.lit(WORD), F.lit(0)), F.array().cast("array<string>"))
+    return F.coalesce(F.array_remove(F.split(lower_az(text), BETWEEN), ""), F.array().cast("array<string>"))
+
+
+def count_words(text: Column) -> Column:
+    return F.coalesce(F.regexp_count(text, F.lit(RAW_WORD)), F.lit(0)).cast("long")
 
 
 def _starts(tokens: Column, width: Column) -> Column:
@@ -70,7 +75,7 @@ def scan(documents: DataFrame, benchmark: DataFrame, width: int = 10, broadcast_
     spark = documents.sparkSession
     windows = Scratch(spark).store(test_windows(benchmark, width), "windows")
     sizes = {r["width"]: r["n"] for r in windows.groupBy("width").agg(F.count("*").alias("n")).collect()}  # at most `width` rows
-    base = documents.select("doc_id", text_key(F.col("text")).alias("text_key"), F.size(words(F.col("text"))).cast("long").alias("n_words"))
+    base = documents.select("doc_id", text_key(F.col("text")).alias("text_key"), count_words(F.col("text")).alias("n_words"))
     none = F.array().cast("array<string>")
     if not sizes:
         return base.select("doc_id", "text_key", "n_words", F.lit(0).cast("long").alias("n_hit"), none.alias("items"), F.array().cast("array<struct<start:int,width:int>>").alias("spans"))
