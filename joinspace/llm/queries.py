@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, language, licenses, mixing, tokens, topk, warc
+from . import decontaminate, language, licenses, mixing, neardup, substrings, tokens, topk, warc
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -56,6 +56,14 @@ def op6_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return topk.top_k(vectors, vectors.where(F.col("vec_id") % 50 == 0), k=5)
 
 
+def op7_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.NearDuplicates(table(spark, sf_dir, "documents"), words=2).components().drop("text_key")
+
+
+def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substrings.removals(table(spark, sf_dir, "documents"), 50).select("doc_id", "n_words", "n_removed", "kept_sha256")
+
+
 def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     archive = warc.Archive.create(table(spark, sf_dir, "pages"))
     return archive.captures().select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
@@ -72,6 +80,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_license_scan": op3_license_scan,
     "op5_language_id": op5_language_id,
     "op6_top_k": op6_top_k,
+    "op7_near_duplicates": op7_near_duplicates,
+    "op8_substring_dedup": op8_substring_dedup,
     "op9_warc": op9_warc,
     "op10_mix": op10_mix,
 }
