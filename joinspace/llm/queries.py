@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, language, licenses, mixing, neardup, substrings, tokens, topk, warc
+from . import decontaminate, language, licenses, lm, mixing, neardup, substrings, tokens, topk, warc
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -44,6 +44,11 @@ def op3_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.drop("text_key")
 
 
+def op4_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    training = F.coalesce(crc("doc_id", 7) != 2, F.lit(True))
+    return lm.score(table(spark, sf_dir, "documents"), training)
+
+
 def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     documents = table(spark, sf_dir, "documents")
     held = crc("doc_id", 4) == 2
@@ -78,6 +83,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_decontaminate": op1_decontaminate,
     "op2_token_counts": op2_token_counts,
     "op3_license_scan": op3_license_scan,
+    "op4_lm_scores": op4_lm_scores,
     "op5_language_id": op5_language_id,
     "op6_top_k": op6_top_k,
     "op7_near_duplicates": op7_near_duplicates,
