@@ -429,7 +429,7 @@ class SpatialTree:
             if live is not None:
                 x.live = live
             elif x.points is not None:  # it was opened after the mark
-                x.live = np.ones(len(x.points), bool)
+                x.live = np.full(len(x.points), active > 0)
 
     def reset(self) -> None:
         self.restore(0)
