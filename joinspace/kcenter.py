@@ -34,15 +34,25 @@ def cover(tree: SpatialTree, k: int, r: float) -> np.ndarray | None:
     return np.array(out).reshape(-1, len(tree.root.region.outer.lo))
 
 
-def search(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, how: str = "pairs", **options) -> Solution:
+def sample_bound(tree: SpatialTree, k: int) -> float:
+    """A lower bound of the optimum: of k + 1 tuples two share a centre, so half their least distance cannot be beaten."""
+    s = tree.root.sample if tree.root.sample is not None else tree.root.points
+    if s is None or not len(s):
+        return 0.0
+    p = local.farthest_first(s, k + 1)
+    return local.diversity(p, "edge") / 2 if len(p) == k + 1 else 0.0
+
+
+def search(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, how: str = "auto", **options) -> Solution:
     """Smallest radius found at which `cover` succeeds: by rank among base value differences (times sqrt(d)), or geometric."""
     tree = tree or lazy_tree(space, eps=eps / 2, **options)
     d = len(tree.root.region.outer.lo)
     if not tree.n:
         return Solution(np.empty((0, d)), 0.0)
-    got = cover(tree, k, 0.0)
+    how = "pairs" if how == "auto" and tree.n <= tree.leaf_cap else "geometric" if how == "auto" else how
+    got = cover(tree, k, 0.0) if how == "pairs" or sample_bound(tree, k) == 0 else None
     if got is not None:
-        return Solution(got, 0.0, {"radii": 1, **_facts(tree)})
+        return Solution(got, 0.0, {"how": how, "radii": 1, **_facts(tree)})
     tried = 1
     pool = radius.pool(space) if how == "pairs" else None
     best, r_best = None, None
@@ -72,7 +82,7 @@ def search(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, ho
             best = cover(tree, k, r_best)
     if best is None:
         top = tree.root.region.outer.diameter
-        low, high = top * 2.0**-40, top
+        low, high = max(top * 2.0**-40, sample_bound(tree, k)), top
         lo, hi = 0, math.ceil(math.log(high / low) / math.log(1 + eps))
         best, r_best = cover(tree, k, high), high
         while lo < hi:
@@ -84,14 +94,14 @@ def search(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, ho
                 best, r_best, hi = got, r, mid
             else:
                 lo = mid + 1
-    return Solution(best, 2 * (1 + tree.eps) * r_best, {"radii": tried, "radius": r_best, **_facts(tree)})
+    return Solution(best, 2 * (1 + tree.eps) * r_best, {"how": how, "radii": tried, "radius": r_best, **_facts(tree)})
 
 
-def refine(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, how: str = "pairs", **options) -> Solution:
+def refine(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, how: str = "auto", **options) -> Solution:
     """A ladder of step (1 + eps / 5) below the first estimate, searched by bisection: factor 2 + eps."""
     tree = tree or lazy_tree(space, eps=eps / 5, **options)
     first = search(space, k, eps, tree, how)
-    if first.estimate == 0:
+    if first.estimate == 0 or first.trace["how"] == "geometric":  # its radius is within 1 + eps of the optimum already
         return first
     d = len(tree.root.region.outer.lo)
     step = 1 + eps / 5
@@ -114,7 +124,7 @@ def refine(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, ho
     return Solution(best, 2 * (1 + tree.eps) * r_best, first.trace | {"ladder": tried, "radius": r_best, **_facts(tree)})
 
 
-def coreset_solve(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, solver=None, how: str = "pairs", **options) -> Solution:
+def coreset_solve(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, solver=None, how: str = "auto", **options) -> Solution:
     """Coreset of fineness eps times the radius around the first solution, then a flat solver on it."""
     tree = tree or lazy_tree(space, eps=eps / 5, **options)
     first = search(space, k, eps, tree, how)

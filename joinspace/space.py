@@ -221,23 +221,27 @@ class JoinSpace:
 
     # tuples
 
-    def reduce(self, boxes: DataFrame | None = None) -> dict[str, DataFrame]:
-        """Rows that take part in some tuple (of some box): semijoins up, then down."""
+    def _on(self, a: DataFrame, b: DataFrame, child: str) -> list[str]:
+        both = [key(x) for x in self._need_tree().shared[child]]
+        return both + (["box_id"] if "box_id" in a.columns and "box_id" in b.columns else [])
+
+    def reduce_up(self, boxes: DataFrame | None = None) -> dict[str, DataFrame]:
+        """Rows with a partner in every relation below them: semijoins, leaves first."""
         tree = self._need_tree()
         rows = {n: self._boxed(n, boxes) for n in self.frames}
-
-        def on(a: DataFrame, b: DataFrame, child: str) -> list[str]:
-            both = [key(x) for x in tree.shared[child]]
-            return both + (["box_id"] if "box_id" in a.columns and "box_id" in b.columns else [])
-
         for name in tree.upward():
-            if tree.parent[name] is not None:
-                p = tree.parent[name]
-                rows[p] = rows[p].join(rows[name], on(rows[p], rows[name], name), "left_semi") if on(rows[p], rows[name], name) else rows[p]
+            p = tree.parent[name]
+            if p is not None and (on := self._on(rows[p], rows[name], name)):
+                rows[p] = rows[p].join(rows[name].select(*on).distinct(), on, "left_semi")
+        return rows
+
+    def reduce(self, boxes: DataFrame | None = None) -> dict[str, DataFrame]:
+        """Rows that take part in some tuple (of some box): semijoins up, then down."""
+        tree, rows = self._need_tree(), self.reduce_up(boxes)
         for name in reversed(tree.upward()):
             p = tree.parent[name]
-            if p is not None and on(rows[name], rows[p], name):
-                rows[name] = rows[name].join(rows[p], on(rows[name], rows[p], name), "left_semi")
+            if p is not None and (on := self._on(rows[name], rows[p], name)):
+                rows[name] = rows[name].join(rows[p].select(*on).distinct(), on, "left_semi")
         return rows
 
     def report(self, boxes: list[Box]) -> DataFrame:
@@ -245,7 +249,7 @@ class JoinSpace:
         tree = self._need_tree()
         out = None
         for at, frame in self._batches(boxes):
-            rows = self.reduce(frame)
+            rows = self.reduce_up(frame)  # from the root down, every row then has a partner
             whole = None
             for name in reversed(tree.upward()):
                 f = rows[name]

@@ -76,18 +76,19 @@ class SpaceBackend:
         return self.space.size()
 
     def count_and_represent_regions(self, regions):
-        boxes: list[Box] = []
-        where = []
-        for r in regions:
-            mine = r.slabs()
-            where.append((len(boxes), len(mine)))
-            boxes += mine
+        boxes: list[Box] = [r.outer for r in regions] + [r.hole for r in regions if r.hole is not None]
         counts, reps = self.space.count_and_represent(boxes) if boxes else (np.zeros(0, object), [])
-        out = np.zeros(len(regions), object)
-        first: list = []
-        for i, (at, n) in enumerate(where):
-            out[i] = int(sum(counts[at : at + n]))
-            first.append(next((x for x in reps[at : at + n] if x is not None), None))
+        out, first, at = counts[: len(regions)].copy(), reps[: len(regions)], len(regions)
+        again = []
+        for i, r in enumerate(regions):
+            if r.hole is not None:
+                out[i] -= counts[at]
+                at += 1
+                if out[i] and r.hole.contains(first[i]):
+                    again.append(i)
+        if again:  # the least tuple of the outer box is in the hole
+            for i, x in zip(again, self.space.represent_regions([regions[i] for i in again]), strict=True):
+                first[i] = x
         return out, first
 
     def sample_regions(self, regions, draws, seed=42):
@@ -113,6 +114,7 @@ class Node:
     active: int = 0
     block: list | None = None
     ident: int = 0
+    stall: int = 0  # steps since a cut last separated anything
 
     def __post_init__(self):
         self.active = self.total
@@ -138,9 +140,9 @@ class SpatialTree:
     """eps: slack of ball and box queries. shape: "shrink" (halve, then shrink, by samples), "exact" (shrink on all points,
     flat back end only), "halve", "quad" or "median" (a cut at the sample's median)."""
 
-    def __init__(self, backend: Backend, eps: float = 0.25, seed: int = 42, leaf_cap: int = 4096, shape: str = "shrink", draws: int = 2000, least_draws: int = 48, metric: str = "l2"):
+    def __init__(self, backend: Backend, eps: float = 0.25, seed: int = 42, leaf_cap: int = 20_000, shape: str = "shrink", draws: int = 2000, least_draws: int = 48, metric: str = "l2", always_draw: bool = False):
         self.backend, self.eps, self.seed, self.leaf_cap, self.shape = backend, eps, seed, leaf_cap, shape
-        self.draws, self.least_draws, self.metric = draws, least_draws, metric
+        self.draws, self.least_draws, self.metric, self.always_draw = draws, least_draws, metric, always_draw
         self.stats = Stats()
         n = backend.size()
         self.n = n
@@ -183,7 +185,8 @@ class SpatialTree:
             for x, (p, _) in zip(large, self.backend.report_regions([x.region for x in large]), strict=True):
                 x.sample = p
         elif self.shape not in ("halve", "quad"):
-            thin = [x for x in large if x.block is None and (x.sample is None or len(x.sample) < self.least_draws)]
+            # where the inherited sample is thin, midpoint halving goes on as long as it separates; else draw anew
+            thin = [x for x in large if x.block is None and (x.sample is None or len(x.sample) < self.least_draws) and (self.always_draw or x.stall >= 2)]
             if thin:
                 for x, s in zip(thin, self._draw(thin, self.draws), strict=True):
                     x.sample = s
@@ -206,8 +209,10 @@ class SpatialTree:
             c.rep = rep
         for x in large:
             x.children = [c for c in x.children if c.total]
+            for c in x.children:
+                c.stall = x.stall + 1 if len(x.children) == 1 else 0
             self.stats.nodes += len(x.children)
-            if x.shrink and x.children:
+            if x.shrink and len(x.children) == 2 and any(c.region.hole is not None for c in x.children):
                 self.stats.balance.append(max(c.total for c in x.children) / x.total)
             for c in x.children:
                 self.stats.height = max(self.stats.height, c.depth)
@@ -227,11 +232,11 @@ class SpatialTree:
             low, high = x.region.outer.hi.copy(), x.region.outer.lo.copy()
             low[axis] = high[axis] = cut
             return [[Region(Box(x.region.outer.lo, low)), []], [Region(Box(high, x.region.outer.hi)), []]]
-        if s is not None and len(s) and (s == s[0]).all() and self.shape != "median":
+        if s is not None and len(s) >= min(self.least_draws, x.total) and (s == s[0]).all() and self.shape != "median":
             point = Box.at(s[0])
             if x.region.hole is None:
                 return [[Region(x.region.outer, point), []], [Region(point), []]]
-        if self.shape in ("shrink", "exact") and x.shrink and s is not None and len(s):
+        if self.shape in ("shrink", "exact") and x.shrink and s is not None and (len(s) >= self.least_draws or self.shape == "exact" and len(s)):
             parts = centroid_shrink(x.region, s)
             if len(parts) > 1:
                 return parts
