@@ -299,9 +299,11 @@ def _bound(spark, sf, w):
     space = bind(spark, sf, w)
     from .space import load
 
-    sizes = {r.name: load(spark, sf, r.table).count() for r in spec.relations}
+    tables = {r.name: load(spark, sf, r.table).select(*[F.expr(e).alias(k) for k, e in r.keys.items()]) for r in spec.relations}
+    sizes = {n: x.count() for n, x in tables.items()}
+    unique = {n for n, x in tables.items() if x.distinct().count() == sizes[n]}
     n = space.size()
-    return one(spark, n=n, base=int(sum(sizes.values())), bounded=n <= hypergraph.size_bound(spec, sizes) * (1 + 1e-9))
+    return one(spark, n=n, base=int(sum(sizes.values())), bounded=n <= hypergraph.size_bound(spec, sizes, unique) * (1 + 1e-9))
 
 
 for _w in ("w3", "w9", "w4", "w4t", "w6"):
