@@ -8,7 +8,8 @@ gives each byte's probability as a mixture over all depths.
 Everything is counted and looked up by block. Texts are dealt to blocks of about `block_bytes` by a hash; a block lists
 its distinct byte runs (context and next byte) and words with their counts in training texts. Those are summed over the
 corpus, the tree is weighted bottom-up where subtrees of one two-byte context meet, and each block gets back one number
-for each of its distinct runs and words. No model is broadcast, whatever its size.
+for each of its distinct runs and words. Items travel as sorted, packed lists, dealt to parts whose number follows the
+input. No model is broadcast, whatever its size. Prices of runs travel in single precision (a relative error of 1e-7).
 
 Defined cases: a null text is empty: one end token; a null doc_id hashes as the empty string; rows are scored one by one, so
 repeats do not matter (and count each in training); with no training text the base has N = V = 0 and the tree is uniform.
@@ -17,6 +18,7 @@ repeats do not matter (and count each in training); with no training text the ba
 from __future__ import annotations
 
 import math
+import zlib
 from collections import Counter
 from collections.abc import Iterator
 
@@ -27,6 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Scratch, WordHashes, low_bytes, signed, text_key
+from .common import mix as scramble
 
 #: What closes a word, what closes a text, and what stands before it. None can be in a word.
 SPACE, END, BEFORE = b" ", b"\n", b"\n"
@@ -91,6 +94,23 @@ class Level:
         return u, add(zeros), add(ones), (add(weighted) if weighted is not None else None)
 
 
+#: Set in the items that are hashes of words.
+WORD = np.uint64(1 << 63)
+
+
+def part_of(items: np.ndarray, parts: int) -> np.ndarray:
+    """Items are dealt to parts evenly, by a hash."""
+    return (scramble(items) % np.uint64(parts)).astype(np.int32)
+
+
+def pack_sorted(items: np.ndarray) -> bytes:
+    return zlib.compress(np.diff(items, prepend=np.uint64(0)).astype("<u8").tobytes(), 1)
+
+
+def unpack_sorted(data: bytes) -> np.ndarray:
+    return np.cumsum(np.frombuffer(zlib.decompress(data), "<u8"), dtype=np.uint64)
+
+
 def decisions(grams: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """For each run its eight (context, prefix) keys and bits. A prefix is 1 followed by the bits so far."""
     byte, context = grams & np.uint64(255), grams >> np.uint64(8)
@@ -159,7 +179,7 @@ class ContextTree:
         return -self.log10(text) / math.log10(2) / len(stream(tokens(text)))
 
 
-def score(documents: DataFrame, training, depth: int = 5, block_bytes: int = 8 << 20) -> DataFrame:
+def score(documents: DataFrame, training, depth: int = 5, block_bytes: int = 24 << 20, part_bytes: int = 8 << 20) -> DataFrame:
     """Per row: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, code_length (bits a byte).
 
     `training` is a Column over `documents`: true for the rows to learn from.
@@ -167,7 +187,9 @@ def score(documents: DataFrame, training, depth: int = 5, block_bytes: int = 8 <
     spark = documents.sparkSession
     scratch = Scratch(spark)
     size = documents.agg(F.sum(F.octet_length("text")).alias("n")).first()["n"] or 0
-    blocks = max(1, -(-size // block_bytes))
+    if depth > 6:
+        raise ValueError("runs and their byte must leave the top bit to words")
+    blocks, parts = max(1, -(-size // block_bytes)), max(8, -(-size // part_bytes))
     own = documents.select(F.col("doc_id"), F.coalesce(training, F.lit(False)).alias("train"), F.coalesce("text", F.lit("")).cast("binary").alias("text"), text_key(F.col("text")).alias("k"))
     own = own.select(F.pmod(F.xxhash64("doc_id", "k"), F.lit(blocks)).cast("int").alias("block"), "doc_id", "train", "text")
 
@@ -201,11 +223,29 @@ def score(documents: DataFrame, training, depth: int = 5, block_bytes: int = 8 <
                         have = 0
         if grams:
             fold()
-            yield pd.DataFrame({"block": np.int32(key[0]), "kind": np.int32(0), "item": signed(grams[0]), "n": counts[0]})
-            yield pd.DataFrame({"block": np.int32(key[0]), "kind": np.int32(1), "item": signed(known.of(list(words))), "n": np.fromiter(words.values(), np.int64, len(words))})
-
-    lists = scratch.store(own.groupBy("block").applyInPandas(listed, "block int, kind int, item long, n long"), "lists")
-    sums = scratch.store(lists.groupBy("kind", "item").agg(F.sum("n").alias("n")), "sums")
+            items = np.concatenate([grams[0], known.of(list(words)) | WORD])
+            n = np.concatenate([counts[0], np.fromiter(words.values(), np.int64, len(words))])
+            part = part_of(items, parts)
+            rows = []
+            order = np.lexsort((items, part))
+            for p, at in zip(*np.unique(part[order], return_index=True), strict=True):
+                to = np.searchsorted(part[order], p, side="right")
+                mine = order[at:to]
+                rows.append((int(p), int(key[0]), pack_sorted(items[mine]), zlib.compress(n[mine].astype("<u4" if n.max() < 2**32 else "<u8").tobytes(), 1), int(n.max() >= 2**32)))
+            yield pd.DataFrame(rows, columns=["part", "block", "items", "n", "wide"])
+
+    lists = scratch.store(own.groupBy("block").applyInPandas(listed, "part int, block int, items binary, n binary, wide int"), "lists")
+
+    def summed(key: tuple, batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        items, n = np.empty(0, np.uint64), np.empty(0, np.int64)
+        for b in batches:
+            new = [unpack_sorted(x) for x in b["items"]]
+            more = [np.frombuffer(zlib.decompress(x), "<u8" if wide else "<u4").astype(np.int64) for x, wide in zip(b["n"], b["wide"], strict=True)]
+            u, back = np.unique(np.concatenate([items, *new]), return_inverse=True)
+            items, n = u, np.rint(np.bincount(back, np.concatenate([n, *more]), len(u))).astype(np.int64)
+        yield pd.DataFrame({"part": np.int32(key[0]), "kind": (items >= WORD).astype(np.int32), "item": signed(items), "n": n})
+
+    sums = scratch.store(lists.groupBy("part").applyInPandas(summed, "part int, kind int, item long, n long"), "sums")
     facts = sums.where((F.col("kind") == 1) & (F.col("n") > 0)).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("N"), F.count("*").alias("V")).first()
     total, distinct = facts["N"], facts["V"]
 
@@ -243,33 +283,45 @@ def score(documents: DataFrame, training, depth: int = 5, block_bytes: int = 8 <
             left, made = walk(head, 0, g, np.ones((8, len(g))), np.zeros((8, len(g))), False)
             _, made = walk(tail, joint, g, left, made, True)
             out[at : at + (1 << 16)] = np.log10(made).sum(0)
-        return pd.DataFrame({"kind": np.int32(0), "item": rows["item"], "x": out})
+        return pd.DataFrame({"part": part_of(grams, parts), "item": rows["item"], "x": out})
 
-    prices = low.groupBy("joint").applyInPandas(priced, "kind int, item long, x double")
-    words = sums.where("kind = 1").select("kind", "item", F.col("n").cast("double").alias("x"))
+    prices = low.groupBy("joint").applyInPandas(priced, "part int, item long, x double")
+    words = sums.where("kind = 1").select("part", "item", F.col("n").cast("double").alias("x"))
     prices = scratch.store(prices.unionByName(words), "prices")
-    back = lists.select("block", "kind", "item").join(prices, ["kind", "item"]).select("block", "kind", "item", "x")
+
+    def answered(key: tuple, asked: pd.DataFrame, known: pd.DataFrame) -> pd.DataFrame:
+        item = known["item"].to_numpy(np.int64).view(np.uint64)
+        order = np.argsort(item)
+        item, x = item[order], known["x"].to_numpy()[order]
+        out = []
+        for block, packed in zip(asked["block"], asked["items"], strict=True):
+            mine = unpack_sorted(packed)
+            got = x[np.searchsorted(item, mine)]
+            cut = int(np.searchsorted(mine, WORD))  # grams, then words
+            out.append((block, packed, got[:cut].astype("<f4").tobytes(), zlib.compress(got[cut:].astype("<f8").tobytes(), 1)))
+        return pd.DataFrame(out, columns=["block", "items", "grams", "words"])
+
+    back = lists.select("part", "block", "items").groupBy("part").cogroup(prices.groupBy("part")).applyInPandas(answered, "block int, items binary, grams binary, words binary")
     doc_type = documents.schema["doc_id"].dataType.simpleString()
 
     def scored(key: tuple, docs: pd.DataFrame, known: pd.DataFrame) -> pd.DataFrame:
-        tables = []
-        for kind in (0, 1):
-            part = known[known["kind"] == kind]
-            item = part["item"].to_numpy(np.int64).view(np.uint64)
-            order = np.argsort(item)
-            tables.append((item[order], part["x"].to_numpy()[order]))
-        look = lambda kind, x: tables[kind][1][np.searchsorted(tables[kind][0], x)]
+        item = [unpack_sorted(x) for x in known["items"]]
+        x = [np.concatenate([np.frombuffer(g, "<f4").astype(float), np.frombuffer(zlib.decompress(w), "<f8")]) for g, w in zip(known["grams"], known["words"], strict=True)]
+        item, x = np.concatenate(item), np.concatenate(x)
+        order = np.argsort(item)
+        item, x = item[order], x[order]
+        look = lambda wanted: x[np.searchsorted(item, wanted)]
         hashes = WordHashes()
         out: list[tuple] = []
         bottom = math.log10(total + distinct + 1)
         for text in docs["text"]:
             t = tokens(text)
-            c = look(1, hashes.of(t))
+            c = look(hashes.of(t) | WORD)
             data, s = stream(t), 0.0
             for at in range(0, len(data), 1 << 20):
                 before = data[max(0, at - depth) : at].rjust(depth, BEFORE)
                 g = runs(before + data[at : at + (1 << 20)], depth)[depth:] if at else runs(data[: 1 << 20], depth)
-                s += float(look(0, g).sum())
+                s += float(look(g).sum())
             out.append((len(t), int((c > 0).sum()), float(np.log10(c + 1).sum() - len(t) * bottom), s, -s / math.log10(2) / len(data)))
         cols = list(zip(*out, strict=True)) if out else [()] * 5
         return pd.DataFrame({"doc_id": docs["doc_id"], "held_out": ~docs["train"].astype(bool), "n_tokens": cols[0], "n_known": cols[1], "base_score": cols[2], "score": cols[3], "code_length": cols[4]})
