@@ -1,9 +1,8 @@
 """Language ID with a bit-sliced Bloom filter: one lookup returns the set of languages that contain an n-gram.
 
 Fitting counts byte n-grams of lower-cased letters per language over a bounded, hash-chosen sample of labelled rows
-(`per_language` documents each, a documented bound: the classifier stops gaining long before). An n-gram goes into the
-filter of a language when it is `contrast` times as frequent there as in the language where it is rarest... see `fit`.
-The filter has 2**`log_slots` words; bit l of a word belongs to language l, and an n-gram's languages are the AND of its
+(`per_language` documents each, a documented bound). An n-gram joins the filters of all languages in which it is at least
+half as frequent as in the language where it is most frequent, so that a lookup can return several languages. The filter has 2**`log_slots` words; bit l of a word belongs to language l, and an n-gram's languages are the AND of its
 `probes` words. A text's n-grams are looked up once; per-language popcounts, corrected for the filter's false
 positives, decide. The model has a fixed size, whatever the input.
 
