@@ -5,15 +5,15 @@ from __future__ import annotations
 import pytest
 
 from compare import differs
-from joinspace import relops, streams, workloads
+from joinspace import relops, streams, surfaces, workloads
 
 #: The heavier clustering queries run in test_clustering.
 CHEAP = [n for n in workloads.SQL if n.startswith(("size_w9", "size_w4", "count_", "rep_box_w9", "rep_box_w12", "report_box_w12", "value_weights_w12", "class_", "nearest_w12", "kth_", "kmeans1d", "farthest_first_flat", "reduce", "group_", "cost_w9"))]
 
 
-@pytest.mark.parametrize("name", sorted(relops.SQL))
+@pytest.mark.parametrize("name", sorted(surfaces.SQL))
 def test_operator(spark, sf, name):
-    assert differs(spark, relops.QUERIES[name], relops.SQL[name], sf) == ""
+    assert differs(spark, surfaces.QUERIES[name], surfaces.SQL[name], sf) == ""
 
 
 @pytest.mark.parametrize("name", sorted(CHEAP))
