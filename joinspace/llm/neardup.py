@@ -7,8 +7,8 @@ probability under 3e-5, one at 0.9 with under 1e-9. Links are confirmed on the f
 
 Documents with equal sets are one node. Buckets never emit all their pairs: (A) every document is tested against one
 partner, the least of its buckets' least members; (B) in buckets that still hold several components, one member of each is
-tested; (C) in buckets still mixed, pairs across components under the signature distance are tested, which leaves no link
-between different components untested. Pairs inside a component cannot change it.
+tested; (C) where buckets are still mixed, all pairs across components under the signature distance are tested, block against
+block, and only links that join components come out. Pairs inside a component cannot change it.
 
 Defined cases: null texts and texts without a word have no shingles and link with nothing; fewer words than a shingle give
 one shingle of all; rows with a null doc_id take no part (component null, kept); rows that share a doc_id are one node;
@@ -20,6 +20,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -89,15 +90,59 @@ def _pack(own: np.ndarray) -> bytes:
     return (own >> np.uint64(16)).astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
 
 
-def _unpack(data: pa.Buffer) -> np.ndarray:
+def _unpack(data) -> np.ndarray:
     six = np.frombuffer(data, np.uint8).reshape(-1, 6)
     out = np.zeros((len(six), 8), np.uint8)
     out[:, :6] = six
     return out.view("<u8").ravel()
 
 
+def joined_links(rows: pd.DataFrame, percent: int, distance: int, columns: int = 16_384) -> pd.DataFrame:
+    """Links (a, b) between nodes of different labels, as far as they join labels not joined yet."""
+    node, label, n = (rows[c].to_numpy() for c in ("node", "label", "n"))
+    sig = np.stack(rows["signature"].to_numpy()).astype(np.int64).view(np.uint16)
+    maybe = np.zeros((len(node), len(node)), bool)
+    for i in range(len(node)):
+        far = (sig[i] != sig[i + 1 :]).sum(1)
+        maybe[i, i + 1 :] = (far <= distance) & (label[i] != label[i + 1 :]) & (100 * np.minimum(n[i], n[i + 1 :]) >= percent * np.maximum(n[i], n[i + 1 :]))
+    use = np.flatnonzero(maybe.any(0) | maybe.any(1))
+    if not len(use):
+        return pd.DataFrame({"a": np.empty(0, np.int64), "b": np.empty(0, np.int64)})
+    items = [_unpack(rows["packed"].iloc[i]) for i in use]
+    who = np.repeat(np.arange(len(use)), [len(x) for x in items])
+    known, what = np.unique(np.concatenate(items), return_inverse=True)
+    shared = np.zeros((len(use), len(use)), np.float32)
+    order = np.argsort(what, kind="stable")
+    who, what = who[order], what[order]
+    for at in range(0, len(known), columns):
+        lo, hi = np.searchsorted(what, [at, at + columns])
+        part = np.zeros((len(use), min(columns, len(known) - at)), np.float32)
+        part[who[lo:hi], what[lo:hi] - at] = 1
+        shared += part @ part.T
+    both = shared.astype(np.int64)
+    either = n[use][:, None] + n[use][None, :] - both
+    hit = maybe[np.ix_(use, use)] & (100 * both >= percent * either)
+    root = {x: x for x in set(label.tolist())}
+
+    def find(x):
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    a, b = [], []
+    for i, j in zip(*np.nonzero(hit), strict=True):
+        p, q = find(label[use[i]]), find(label[use[j]])
+        if p != q:
+            root[p] = q
+            a.append(min(node[use[i]], node[use[j]]))
+            b.append(max(node[use[i]], node[use[j]]))
+    return pd.DataFrame({"a": np.array(a, np.int64), "b": np.array(b, np.int64)})
+
+
 class NearDuplicates:
-    def __init__(self, documents: DataFrame, words: int = 5, percent: int = 80, chunks: int = 10, per_chunk: int = 6, distance: int | None = None):
+    def __init__(self, documents: DataFrame, words: int = 5, percent: int = 80, chunks: int = 10, per_chunk: int = 6, distance: int | None = None, block: int = 384, family: int = 16_384):
+        self.block, self.family = block, family
         self.documents, self.words, self.percent = documents, words, percent
         self.chunks, self.per_chunk = chunks, per_chunk
         k = chunks * per_chunk
@@ -200,23 +245,50 @@ class NearDuplicates:
                 labels = connected(links, scratch, "cc-b")
             again = self._mixed(again.select("node", "key"), labels, "c")
         if again is not None:
-            signatures = own.select(F.col("doc_id").alias("node"), "signature").dropDuplicates(["node"])
-            full = store(again.join(signatures, "node"), "full")
-            x = full.select("key", F.col("node").alias("a"), F.col("label").alias("la"), F.col("signature").alias("sa"))
-            y = full.select("key", F.col("node").alias("b"), F.col("label").alias("lb"), F.col("signature").alias("sb"))
-            near = (F.col("x.key") == F.col("y.key")) & (F.col("la") < F.col("lb")) & (mismatches(F.col("sa"), F.col("sb"), self.longs) <= self.distance)
-            pairs = x.alias("x").join(y.alias("y"), near).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-            pairs = store(pairs.join(first, ["a", "b"], "left_anti"), "pairs-c")
-            more = store(self._confirmed(pairs, sets), "links-c")
+            more = store(self._across(again, own, sets), "links-c")
             if not more.isEmpty():
                 labels = connected(links.unionByName(more), scratch, "cc-c")
         labels = store(labels, "labels")
-        scratch.drop("groups", "buckets", "members", "sets", "links-a", "links-b", "links-c", "pairs-b", "pairs-c", "mixed-b", "mixed-c", "least", "hubs", "full", *(f"cc-{x}-{i}" for x in "abc" for i in range(61)))
+        scratch.drop("groups", "buckets", "members", "sets", "links-a", "links-b", "links-c", "pairs-b", "pairs-c", "mixed-b", "mixed-c", "least", "hubs", "full", "kin", *(f"cc-{x}-{i}" for x in "abck" for i in range(61)))
         named = place.join(labels.withColumnRenamed("label", "component_id"), "node", "left").select(F.col("doc_id").alias("d"), F.col("text_key").alias("t"), F.coalesce("component_id", "node").alias("c")).groupBy("d", "t").agg(F.min("c").alias("c"))
         out = profile.select("doc_id", "text_key", "n_shingles").join(named, (F.col("doc_id") == F.col("d")) & (F.col("text_key") == F.col("t")), "left")
         component = F.coalesce("c", "doc_id")
         return out.select("doc_id", "text_key", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
+    def _across(self, again: DataFrame, own: DataFrame, sets: DataFrame) -> DataFrame:
+        """Links between components that share a bucket, without listing pairs.
+
+        Nodes that buckets tie together are a family. A family is cut into blocks, and a task takes two blocks: signatures
+        first, then the intersections of all sets of the nodes left, as products of a 0/1 matrix; only links come out, and of
+        those only what joins components. Families over `family` nodes would send their sets too often: their buckets are
+        joined instead, and each near pair is confirmed as in the rounds before.
+        """
+        scratch, store, block = self.scratch, self.scratch.store, self.block
+        signatures = own.select(F.col("doc_id").alias("node"), "signature").dropDuplicates(["node"])
+        hubs = again.groupBy("key").agg(F.min("node").alias("a"))
+        kin = connected(again.select("key", F.col("node").alias("b")).join(hubs, "key").select("a", "b").where("a < b"), scratch, "cc-k")
+        sizes = kin.groupBy("label").agg(F.count("*").alias("size"))
+        kin = store(kin.join(sizes, "label").select("node", F.col("label").alias("kin"), "size"), "kin")
+        labelled = again.select("node", "label").distinct()
+        full = labelled.join(kin.where(F.col("size") <= self.family), "node").join(sets, "node").join(signatures, "node")
+        blocks = F.ceil(F.col("size") / block).cast("int")
+        full = full.withColumn("mine", F.pmod(F.xxhash64("node"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+        full = full.select("kin", F.least("mine", "other").alias("x"), F.greatest("mine", "other").alias("y"), "node", "label", "n", "packed", "signature")
+        percent, distance = self.percent, self.distance
+
+        def run(rows: pd.DataFrame) -> pd.DataFrame:
+            return joined_links(rows, percent, distance)
+
+        found = full.groupBy("kin", "x", "y").applyInPandas(run, "a long, b long")
+        large = again.join(kin.where(F.col("size") > self.family).select("node"), "node").join(signatures, "node")
+        x = large.select("key", F.col("node").alias("a"), F.col("label").alias("la"), F.col("signature").alias("sa"))
+        y = large.select("key", F.col("node").alias("b"), F.col("label").alias("lb"), F.col("signature").alias("sb"))
+        near = (F.col("x.key") == F.col("y.key")) & (F.col("la") < F.col("lb")) & (mismatches(F.col("sa"), F.col("sb"), self.longs) <= self.distance)
+        if kin.where(F.col("size") > self.family).isEmpty():
+            return found
+        pairs = x.alias("x").join(y.alias("y"), near).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        return found.unionByName(self._confirmed(store(pairs, "pairs-c"), sets))
+
     def _mixed(self, members: DataFrame, labels: DataFrame, name: str) -> DataFrame | None:
         """(node, key, label) of the buckets that hold several components; None if there is none."""
         named = members.select("node", "key").join(labels, "node", "left").select("node", "key", F.coalesce("label", "node").alias("label"))
