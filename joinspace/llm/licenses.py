@@ -1,8 +1,8 @@
 """License scans: sparse TF-IDF cosine of header passages and licence files to templates, then inheritance by path.
 
 Native. A passage is a line, cut again behind sentence ends. Only passages with an anchor term are scored: each
-template's anchors are its heaviest terms, taken until the rest has less than `threshold` of its length, so by
-Cauchy-Schwarz a passage without any anchor cannot reach the threshold. A file takes its best passage. A file without
+template's anchors are its heaviest terms, rarer words first, taken until the rest has less than `threshold` of its length, so by
+Cauchy-Schwarz a passage without any anchor cannot reach the threshold; the terms that do occur bound it once more. A file takes its best passage. A file without
 a licence of its own takes that of the licence file in the nearest ancestor directory, found by joining its directory's
 prefixes to the directories that have one.
 
@@ -17,7 +17,7 @@ import math
 import re
 from collections import Counter
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import Scratch, text_key
@@ -33,6 +33,8 @@ TEMPLATES = {
     "MIT": "Released under the MIT License.",
     "MPL-2.0": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",
 }
+#: Fixed value: frequent words, which are the last to become anchors.
+FREQUENT = frozenset("a and are by for form in is of or source that the this to under use v work 0 2 3 4".split())
 TERM = "[a-z0-9]+"
 CUT = r"([.!?;])\s+"
 
@@ -58,9 +60,9 @@ def template_weights(templates: dict[str, str]) -> list[tuple[str, str, float]]:
 def anchors(templates: dict[str, str], threshold: float) -> list[str]:
     found: set[str] = set()
     for name in templates:
-        own = sorted(((w, t) for n, t, w in template_weights(templates) if n == name), reverse=True)
-        rest = sum(w * w for w, _ in own)
-        for w, t in own:
+        own = sorted(((t not in FREQUENT, w, t) for n, t, w in template_weights(templates) if n == name), reverse=True)
+        rest = sum(w * w for _, w, _ in own)
+        for _, w, t in own:
             if rest < (threshold * 0.999) ** 2:
                 break
             found.add(t)
@@ -68,14 +70,29 @@ def anchors(templates: dict[str, str], threshold: float) -> list[str]:
     return sorted(found)
 
 
+def reachable(terms: Column, templates: dict[str, str], threshold: float) -> Column:
+    """False only where the score must be below the threshold: it is at most the root of the squared weights of the
+    template's terms that occur (Cauchy-Schwarz again)."""
+    any_of = F.lit(False)
+    for name in templates:
+        mass = F.lit(0.0)
+        for n, t, w in template_weights(templates):
+            if n == name:
+                mass = mass + F.when(F.array_contains(terms, t), w * w).otherwise(0.0)
+        any_of = any_of | (mass >= (threshold * 0.999) ** 2)
+    return any_of
+
+
 def own_licences(files: DataFrame, templates: dict[str, str] = TEMPLATES, threshold: float = 0.75) -> DataFrame:
     """(path, text_key, licence, score) of files with a passage at or over the threshold."""
     spark = files.sparkSession
     known, other = idf(templates)
     weights = F.broadcast(spark.createDataFrame(template_weights(templates), "licence string, term string, w double"))  # fixed size
     passages = files.select("path", text_key(F.col("text")).alias("text_key"), F.posexplode(F.split(F.regexp_replace(F.lower("text"), CUT, "$1\n"), "\n")).alias("no", "passage"))
-    passages = passages.where(F.col("passage").rlike(r"\b(" + "|".join(anchors(templates, threshold)) + r")\b")).distinct()
-    terms = passages.select("path", "text_key", "no", F.explode(F.regexp_extract_all("passage", F.lit(TERM), F.lit(0))).alias("term"))
+    passages = passages.where(F.col("passage").rlike(r"\b(" + "|".join(anchors(templates, threshold)) + r")\b"))
+    passages = passages.withColumn("terms", F.regexp_extract_all("passage", F.lit(TERM), F.lit(0))).where(reachable(F.col("terms"), templates, threshold))
+    # rows that repeat a path and text count once
+    terms = passages.groupBy("path", "text_key", "no").agg(F.first("terms").alias("terms")).select("path", "text_key", "no", F.explode("terms").alias("term"))
     counts = terms.groupBy("path", "text_key", "no", "term").agg(F.count("*").alias("n"))
     table = F.broadcast(spark.createDataFrame([(t, v) for t, v in known.items()], "term string, idf double"))
     weighed = counts.join(table, "term", "left").withColumn("x", F.col("n") * F.coalesce("idf", F.lit(other)))
