@@ -103,6 +103,27 @@ def part_of(items: np.ndarray, parts: int) -> np.ndarray:
     return (scramble(items) % np.uint64(parts)).astype(np.int32)
 
 
+class Lookup:
+    """Numbers by item: items in order of a hash, with the place where each hash prefix starts. All asked items are there."""
+
+    def __init__(self, items: np.ndarray, x: np.ndarray):
+        bits = max(4, int(len(items)).bit_length() + 1)
+        self.shift = np.uint64(64 - bits)
+        h = scramble(items) >> self.shift
+        order = np.argsort(h, kind="stable")
+        self.items, self.x = items[order], x[order]
+        self.start = np.zeros(1 << bits, np.int32)
+        np.cumsum(np.bincount(h.astype(np.int64), minlength=1 << bits)[:-1], out=self.start[1:])
+
+    def of(self, wanted: np.ndarray) -> np.ndarray:
+        place = self.start[(scramble(wanted) >> self.shift).astype(np.int64)]
+        todo = np.flatnonzero(self.items[place] != wanted)
+        while len(todo):
+            place[todo] += 1
+            todo = todo[self.items[place[todo]] != wanted[todo]]
+        return self.x[place]
+
+
 def pack_sorted(items: np.ndarray) -> bytes:
     return zlib.compress(np.diff(items, prepend=np.uint64(0)).astype("<u8").tobytes(), 1)
 
@@ -199,10 +220,16 @@ def score(documents: DataFrame, training, depth: int = 5, block_bytes: int = 24
         counts: list[np.ndarray] = []
         words: dict[bytes, int] = {}
 
+        fresh: dict[bool, list[np.ndarray]] = {True: [], False: []}
+
         def fold() -> None:
-            u, back = np.unique(np.concatenate(grams), return_inverse=True)
-            n = np.bincount(back, np.concatenate(counts), len(u)).astype(np.int64)
-            grams[:], counts[:] = [u], [n]
+            """Sorts what has come in, training texts and others apart, and counts runs of equal items."""
+            for train, new in fresh.items():
+                if new:
+                    u, n = np.unique(np.concatenate(new), return_counts=True)
+                    grams.append(u)
+                    counts.append(n if train else np.zeros(len(u), np.int64))
+                    new.clear()
 
         have = 0
         for batch in batches:
@@ -215,14 +242,17 @@ def score(documents: DataFrame, training, depth: int = 5, block_bytes: int = 24
                 for at in range(0, len(data), 1 << 20):
                     before = data[max(0, at - depth) : at].rjust(depth, BEFORE)
                     g = runs(before + data[at : at + (1 << 20)], depth)[depth:] if at else runs(data[: 1 << 20], depth)
-                    grams.append(g)
-                    counts.append(np.full(len(g), int(train)))
+                    fresh[bool(train)].append(g)
                     have += len(g)
-                    if have > 1 << 20:
+                    if have > 1 << 22:
                         fold()
                         have = 0
+        fold()
         if grams:
-            fold()
+            u, n = np.concatenate(grams), np.concatenate(counts)
+            order = np.argsort(u, kind="stable")
+            first = np.flatnonzero(np.diff(u[order], prepend=u[order[0]] ^ np.uint64(1)))
+            grams[:], counts[:] = [u[order[first]]], [np.add.reduceat(n[order], first)]
             items = np.concatenate([grams[0], known.of(list(words)) | WORD])
             n = np.concatenate([counts[0], np.fromiter(words.values(), np.int64, len(words))])
             part = part_of(items, parts)
@@ -308,9 +338,8 @@ def score(documents: DataFrame, training, depth: int = 5, block_bytes: int = 24
         item = [unpack_sorted(x) for x in known["items"]]
         x = [np.concatenate([np.frombuffer(g, "<f4").astype(float), np.frombuffer(zlib.decompress(w), "<f8")]) for g, w in zip(known["grams"], known["words"], strict=True)]
         item, x = np.concatenate(item), np.concatenate(x)
-        order = np.argsort(item)
-        item, x = item[order], x[order]
-        look = lambda wanted: x[np.searchsorted(item, wanted)]
+        find = Lookup(item, x)
+        look = find.of
         hashes = WordHashes()
         out: list[tuple] = []
         bottom = math.log10(total + distinct + 1)
