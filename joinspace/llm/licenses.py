@@ -1,6 +1,8 @@
 """License scans: sparse TF-IDF cosine of header passages and licence files to templates, then inheritance by path.
 
-Native. A passage is a line, cut again behind sentence ends. Only passages with an anchor term are scored: each
+Native. A passage is a line, cut again behind sentence ends, and is scored against one-line notices. Lines, paragraphs, the header (the
+leading comment) and the whole text are also scored against the forms of `licence_forms`: titles, header paragraphs and whole licence texts, by
+the cosine of distinct terms, as the words of running text all repeat in a long licence. Only passages with all key words of a form have it. For the notices, only passages with an anchor term are scored: each
 template's anchors are its heaviest terms, rarer words first, taken until the rest has less than `threshold` of its length, so by
 Cauchy-Schwarz a passage without any anchor cannot reach the threshold; the terms that do occur bound it once more. A file takes its best passage. A file without
 a licence of its own takes that of the licence file in the nearest ancestor directory, found by joining its directory's
@@ -16,10 +18,13 @@ from __future__ import annotations
 import math
 import re
 from collections import Counter
+from functools import reduce
+from operator import and_, or_
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import licence_forms
 from .common import Scratch, text_key
 
 #: Short notices by SPDX identifier.
@@ -38,6 +43,11 @@ FREQUENT = frozenset("a and are by for form in is of or source that the this to
 TERM = "[a-z0-9]+"
 CUT = r"([.!?;])\s+"
 
+#: A line of a comment, or one without terms.
+COMMENT = r"^\s*(#|//|/\*|\*|--|;|%|<!--|dnl\b|rem\b)|^[^a-z0-9]*$"
+#: A comment from the start of the text whose lines need no mark of their own, behind a line for the interpreter.
+BLOCK = r"^(?:(?:#!|<\?)[^\n]*\n)?\s*(?:/\*[\s\S]*?\*/|<!--[\s\S]*?-->|\"\"\"[\s\S]*?\"\"\"|'''[\s\S]*?'''|\(\*[\s\S]*?\*\))"
+
 
 def idf(templates: dict[str, str]) -> tuple[dict[str, float], float]:
     """Smoothed inverse document frequencies over the templates, and that of any other term."""
@@ -83,14 +93,15 @@ def reachable(terms: Column, templates: dict[str, str], threshold: float) -> Col
     return any_of
 
 
-def own_licences(files: DataFrame, templates: dict[str, str] = TEMPLATES, threshold: float = 0.75) -> DataFrame:
-    """(path, text_key, licence, score) of files with a passage at or over the threshold."""
+def own_licences(files: DataFrame, templates: dict[str, str] = TEMPLATES, threshold: float = 0.75, forms: list[tuple[str, list[str], str]] | None = None) -> DataFrame:
+    """(path, text_key, licence, score) of files with a passage at or over the threshold; forms: those of `licence_forms` by default."""
     spark = files.sparkSession
     known, other = idf(templates)
     weights = F.broadcast(spark.createDataFrame(template_weights(templates), "licence string, term string, w double"))  # fixed size
     passages = files.select("path", text_key(F.col("text")).alias("text_key"), F.posexplode(F.split(F.regexp_replace(F.lower("text"), CUT, "$1\n"), "\n")).alias("no", "passage"))
     passages = passages.where(F.col("passage").rlike(r"\b(" + "|".join(anchors(templates, threshold)) + r")\b"))
-    passages = passages.withColumn("terms", F.regexp_extract_all("passage", F.lit(TERM), F.lit(0))).where(reachable(F.col("terms"), templates, threshold))
+    passages = passages.withColumn("terms", F.regexp_extract_all("passage", F.lit(TERM), F.lit(0)))
+    passages = passages.where(F.exists(F.array("terms"), lambda terms: reachable(terms, templates, threshold)))  # terms are cut once, not once a template
     # rows that repeat a path and text count once
     terms = passages.groupBy("path", "text_key", "no").agg(F.first("terms").alias("terms")).select("path", "text_key", "no", F.explode("terms").alias("term"))
     counts = terms.groupBy("path", "text_key", "no", "term").agg(F.count("*").alias("n"))
@@ -99,15 +110,67 @@ def own_licences(files: DataFrame, templates: dict[str, str] = TEMPLATES, thresh
     per = weighed.groupBy("path", "text_key", "no").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("size"), F.collect_list(F.struct("term", "x")).alias("terms"))
     dots = per.select("path", "text_key", "no", "size", F.explode("terms").alias("t")).select("path", "text_key", "no", "size", "t.*").join(weights, "term").groupBy("path", "text_key", "no", "size", "licence").agg(F.sum(F.col("x") * F.col("w")).alias("dot"))
     scored = dots.withColumn("score", F.round(F.col("dot") / F.col("size"), 6)).where(F.col("score") >= threshold)
+    forms = licence_forms.forms() if forms is None else forms
+    scored = scored.select("path", "text_key", "licence", "score")
+    scored = scored.unionByName(with_forms(files, forms, threshold)) if forms else scored
     best = F.min(F.struct((-F.col("score")).alias("s"), "licence"))
     return scored.groupBy("path", "text_key").agg(best.alias("b")).select("path", "text_key", F.col("b.licence").alias("licence"), (-F.col("b.s")).alias("score"))
 
 
-def scan(files: DataFrame, templates: dict[str, str] = TEMPLATES, threshold: float = 0.75, licence_file: str = r"(^|/)(LICEN[CS]E|COPYING)(\.[a-z]+)?$", broadcast_rows: int = 100_000) -> DataFrame:
+def form_weights(forms: list[tuple[str, list[str], str]]) -> tuple[list[tuple[int, str, float, int]], dict[str, float], float]:
+    """(form, term, unit weight, 1 for key words) of each form's distinct terms; their idf, and that of any other term."""
+    sets = [sorted({*re.findall(TERM, spelled(text)), *key}) for _, key, text in forms]
+    known, other = idf({str(i): " ".join(x) for i, x in enumerate(sets)})
+    sizes = [math.sqrt(sum(known[t] ** 2 for t in x)) for x in sets]
+    return [(i, t, known[t] / sizes[i], int(t in forms[i][1])) for i, x in enumerate(sets) for t in x], known, other
+
+
+def spelled(text: str) -> str:
+    return text.lower().replace("licence", "license")
+
+
+def form_passages(low: Column) -> Column:
+    """Lines, paragraphs, the header and the whole of a lower-case text."""
+    lines = F.split(low, "\n")
+    marks = F.transform(lines, lambda x: x.rlike(COMMENT))
+    ends = F.array_position(marks, False)
+    header = F.when(ends > 1, F.array_join(F.slice(lines, 1, (ends - 1).cast("int")), "\n"))
+    found = F.concat(lines, F.split(F.regexp_replace(low, CUT, "$1\n"), "\n"), F.split(low, r"\n[^a-z0-9]*\n"), F.array(header, F.regexp_extract(low, BLOCK, 0), low))
+    return F.array_distinct(F.array_compact(found))
+
+
+def with_forms(files: DataFrame, forms: list[tuple[str, list[str], str]], threshold: float) -> DataFrame:
+    """(path, text_key, licence, score) of each file's passages and forms at or over the threshold."""
+    spark = files.sparkSession
+    rows, known, other = form_weights(forms)
+    weights = F.broadcast(spark.createDataFrame(rows, "form int, term string, w double, is_key int"))  # fixed size
+    names = F.broadcast(spark.createDataFrame([(i, name, len(set(key))) for i, (name, key, _) in enumerate(forms)], "form int, licence string, n_key int"))
+    table = F.broadcast(spark.createDataFrame(list(known.items()), "term string, idf double"))
+    rarest = r"\b(" + "|".join(sorted({key[0] for _, key, _ in forms})) + r")\b"
+    low = files.select("path", text_key(F.col("text")).alias("text_key"), F.regexp_replace(F.lower("text"), "licence", "license").alias("low")).where(F.col("low").rlike(rarest))
+    passages = low.select("path", "text_key", F.posexplode(form_passages(F.col("low"))).alias("no", "passage")).where(F.col("passage").rlike(rarest))
+    passages = passages.select("path", "text_key", "no", F.array_distinct(F.regexp_extract_all("passage", F.lit(TERM), F.lit(0))).alias("terms"))
+    sets = sorted({tuple(key) for _, key, _ in forms})
+    has = lambda terms: reduce(or_, (reduce(and_, (F.array_contains(terms, t) for t in key)) for key in sets))
+    passages = passages.where(F.exists(F.array("terms"), has))
+    # No term weighs more than an unknown one, so by Cauchy-Schwarz too many unknown ones for those known keep every score below the threshold.
+    strange = F.size(F.array_except("terms", F.array(*[F.lit(t) for t in sorted(known)])))
+    passages = passages.where(strange * threshold**2 * 0.999 <= (1 - threshold**2) * (F.size("terms") - strange))
+    # rows that repeat a path and text count once
+    passages = passages.groupBy("path", "text_key", "no").agg(F.first("terms").alias("terms"))
+    terms = passages.select("path", "text_key", "no", F.explode("terms").alias("term")).join(table, "term", "left").withColumn("x", F.coalesce("idf", F.lit(other)))
+    sizes = terms.groupBy("path", "text_key", "no").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("size"), F.collect_list(F.struct("term", "x")).alias("terms"))
+    hits = sizes.select("path", "text_key", "no", "size", F.explode("terms").alias("t")).select("path", "text_key", "no", "size", "t.*").join(weights, "term")
+    dots = hits.groupBy("path", "text_key", "no", "size", "form").agg(F.sum(F.col("x") * F.col("w")).alias("dot"), F.sum("is_key").alias("keys"))
+    scored = dots.withColumn("score", F.round(F.col("dot") / F.col("size"), 6)).where(F.col("score") >= threshold).join(names, "form")
+    return scored.where(F.col("keys") == F.col("n_key")).select("path", "text_key", "licence", "score")
+
+
+def scan(files: DataFrame, templates: dict[str, str] = TEMPLATES, threshold: float = 0.75, licence_file: str = r"(^|/)(LICEN[CS]E|COPYING)(\.[a-z]+)?$", broadcast_rows: int = 100_000, forms: list[tuple[str, list[str], str]] | None = None) -> DataFrame:
     """files (path, text, ...) -> (path, text_key, own_licence, score, licence, licence_from, inherited)."""
     spark = files.sparkSession
     scratch = Scratch(spark)
-    own = scratch.store(own_licences(files, templates, threshold), "own")
+    own = scratch.store(own_licences(files, templates, threshold, forms), "own")
     folder = F.regexp_replace("path", r"/?[^/]*$", "")
     given = own.where(F.col("path").rlike(licence_file)).withColumn("folder", folder)
     given = given.groupBy("folder").agg(F.min(F.struct((-F.col("score")).alias("s"), "path", "licence")).alias("b")).select(F.col("folder").alias("above"), F.col("b.licence").alias("given"), F.col("b.path").alias("given_by"))

@@ -129,6 +129,42 @@ def test_license_scan_brute_force(spark, sf):
         assert got[r["path"]] == (min(best)[1] if best else None)
 
 
+def test_license_headers_and_texts(spark):
+    """Headers wrapped as in source files, whole licence files with a holder, and titles; words alone are none."""
+    import textwrap
+
+    from joinspace.llm import licence_forms
+
+    def comment(mark, *paragraphs):
+        return f"\n{mark}\n".join("\n".join(f"{mark} {x}" for x in textwrap.wrap(p, 64)) for p in paragraphs) + "\nint f(int x) { return x + 1; }\n"
+
+    gpl = "This program is free software: you can redistribute it and/or modify it under the terms of the GNU {} as published by the Free Software Foundation, either version {} of the License, or (at your option) any later version."
+    apache = 'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License. You may obtain a copy of the License at'
+    text = {p.stem: p.read_text() for p in licence_forms.TEXTS.glob("*.txt")}
+    body = text["BSD-3-Clause"].replace("the copyright holder", "Example Widgets Ltd")
+    cases = [
+        ("gpl.c", "GPL-3.0", comment("//", "Copyright (C) 2019 Ann Example", gpl.format("General Public License", 3), "You should have received a copy along with it.")),
+        ("gpl2.c", "GPL-2.0", comment(" *", "A small tool", gpl.format("General Public License", 2).replace("software:", "software;"))),
+        ("lgpl.c", "LGPL-2.1", comment("#", gpl.format("Lesser General Public License", "2.1"))),
+        ("agpl.py", "AGPL-3.0", comment("#", gpl.format("Affero General Public License", 3))),
+        ("apache.py", "Apache-2.0", comment("#", "Copyright 2021 Ann Example. All rights reserved.", apache, "http://www.apache.org/licenses/LICENSE-2.0")),
+        ("bsd.c", "BSD-3-Clause", "/*\n" + body + "*/\nint x;\n"),
+        ("bsd2.c", "BSD-2-Clause", comment("#", *text["BSD-2-Clause"].split("\n\n"))),
+        ("mit.js", "MIT", "/* " + text["MIT"].replace("\n", "\n   ") + "*/\nlet x;\n"),
+        ("t1", "MIT", "MIT License\nand words"),
+        ("t2", "MIT", "# The MIT License (MIT)"),
+        ("t3", "MIT", "Licensed under the MIT license."),
+        ("t4", "GPL-3.0", "                    GNU GENERAL PUBLIC LICENSE\n                       Version 3, 29 June 2007\n\nwords"),
+        ("t5", "Apache-2.0", "// SPDX-License-Identifier: Apache-2.0\nint x;"),
+        ("n1", None, "mit\nEr kommt mit. Ein Text mit Worten, die mit nichts zu tun haben."),
+        ("n2", None, "The license was granted in 2007. The general public may redistribute version 3 of the work under the terms of it."),
+        ("n3", None, "hereby\napache\ngnu\nspdx\nlesser"),
+    ]
+    cases += [(f"{n}/LICENSE", n, "Copyright (c) 2020 Ann Example and others\n\n" + t) for n, t in text.items()]
+    got = {r["path"]: r["own_licence"] for r in licenses.scan(spark.createDataFrame([Row(path=p, text=t) for p, _, t in cases])).collect()}
+    assert got == {p: want for p, want, _ in cases}
+
+
 def test_lm_matches_tree(spark, sf, odd, none):
     from pyspark.sql import functions as F
 
