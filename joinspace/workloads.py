@@ -433,16 +433,22 @@ for _w in ("w4", "w4t"):
         _method(_w, _name)
 
 
-def _explosive(spark, sf, solve, objective):
-    """Never materialised: the estimate comes from the method, and every tuple is within it by a ball query."""
+def _explosive(spark, sf, solve, objective, eps):
+    """Never materialised: the estimate comes from the method. For centers, a ball query around them finds every tuple
+    within (1 + eps) times the estimate."""
     space = bind(spark, sf, "w3", scaled=True)
-    found = solve(space)
+    tree = lazy_tree(space, eps=eps)
+    found = solve(space, tree)
     inside = space.count([Box.at(x) for x in found.centres])
-    return one(spark, n=space.size(), k_ok=len(found.centres) <= K, members=bool((inside > 0).all()), finite=bool(0 < found.estimate < math.inf))
+    finite = 0 < found.estimate < math.inf
+    if finite and objective == "center":
+        tree.reset()
+        finite = tree.count(found.centres, found.estimate) == tree.n
+    return one(spark, n=space.size(), k_ok=len(found.centres) <= K, members=bool((inside > 0).all()), finite=bool(finite))
 
 
-add("kcenter_w3_coreset", f"SELECT count(*) AS n, TRUE AS k_ok, TRUE AS members, TRUE AS finite FROM {join_sql(WORKLOADS['w3'])}", lambda spark, sf: _explosive(spark, sf, lambda s: kcenter.search(s, K, 1.0), "center"))
-add("kmeans_w3", f"SELECT count(*) AS n, TRUE AS k_ok, TRUE AS members, TRUE AS finite FROM {join_sql(WORKLOADS['w3'])}", lambda spark, sf: _explosive(spark, sf, lambda s: kmeans.solve(s, K, 1.0, 2), "means"))
+add("kcenter_w3_coreset", f"SELECT count(*) AS n, TRUE AS k_ok, TRUE AS members, TRUE AS finite FROM {join_sql(WORKLOADS['w3'])}", lambda spark, sf: _explosive(spark, sf, lambda s, tree: kcenter.coreset_solve(s, K, 1.0, tree), "center", 0.2))
+add("kmeans_w3", f"SELECT count(*) AS n, TRUE AS k_ok, TRUE AS members, TRUE AS finite FROM {join_sql(WORKLOADS['w3'])}", lambda spark, sf: _explosive(spark, sf, lambda s, tree: kmeans.solve(s, K, 1.0, 2, tree=tree), "means", 1.0))
 
 
 def _bicriteria(spark, sf, power):
