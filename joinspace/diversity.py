@@ -53,10 +53,13 @@ def farthest_first_slow(space, k: int, eps: float = 0.25, tree: SpatialTree | No
 
 
 def farthest_first(space, k: int, eps: float = 0.5, tree: SpatialTree | None = None, most: int = 400, **options) -> np.ndarray:
-    """k-center with more centres, about k / eps^d, then a flat traversal of them."""
+    """k-center with more centres, about k / eps^d, then a flat traversal of them. Where that asks for over `most`
+    centres, one farthest query for each step, with the same factor, takes their place."""
     tree = tree or lazy_tree(space, eps=eps / 5, **options)
     d = len(tree.root.region.outer.lo)
-    many = int(min(most, max(2 * k, k * eps**-d)))
+    many = math.ceil(max(2 * k, k * eps**-d))
+    if many > most:
+        return farthest_first_slow(space, k, eps, tree)
     found = kcenter.refine(space, many, eps, tree)
     return local.farthest_first(found.centres, k)
 

@@ -8,7 +8,7 @@ from itertools import combinations
 import numpy as np
 import pytest
 
-from joinspace import baselines, coreset, hypergraph, kcenter, kmeans, local, measures, mixed, radius
+from joinspace import baselines, coreset, diversity, hypergraph, kcenter, kmeans, local, measures, mixed, radius
 from joinspace.region import Box, Region, centroid_shrink, fair_split, tight
 from joinspace.spec import WORKLOADS
 from joinspace.tree import flat_tree, sample_size
@@ -180,6 +180,16 @@ def test_diversity_values():
     assert sorted(groups[at]) == ["a", "a", "b", "b"]
 
 
+@pytest.mark.parametrize(("k", "most"), [(12, 30), (60, 40)])
+def test_farthest_first_above_the_cap(k, most):
+    """k points come back, each at least (1 - eps) times as far from those before as any tuple is."""
+    p = np.random.default_rng(9).uniform(0, 100, (500, 2))
+    got = diversity.farthest_first(None, k, 0.5, flat_tree(p, leaf_cap=100, eps=0.1), most=most)
+    assert len(np.unique(got, axis=0)) == k
+    for i in range(1, k):
+        assert local.assign(got[i : i + 1], got[:i])[1][0] >= 0.5 * local.assign(p, got[:i])[1].max() - 1e-9
+
+
 def test_complement_pieces():
     b = Box(np.zeros(2), np.full(2, 4.0))
     parts = baselines._minus(b, Box(np.array([1.0, 1]), np.array([2.0, 9])))
