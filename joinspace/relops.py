@@ -269,26 +269,29 @@ def op_pivot(spark, sf):
 
 # windows
 
-_O = Window.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey")
 _OW = "OVER (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey)"
 
 
+def _by_price():
+    return Window.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey")
+
+
 def _window(name: str, expression: Callable, sql: str):
     @op(f"SELECT o_orderkey, {sql} AS v FROM orders", name)
     def run(spark, sf):
         return t(spark, sf, "orders").select("o_orderkey", expression().alias("v"))
 
 
-_window("op_win_row_number", lambda: F.row_number().over(_O).cast("long"), f"row_number() {_OW}")
+_window("op_win_row_number", lambda: F.row_number().over(_by_price()).cast("long"), f"row_number() {_OW}")
 _window("op_win_rank", lambda: F.rank().over(Window.partitionBy("o_custkey").orderBy("o_orderpriority")).cast("long"), "rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority)")
 _window("op_win_dense", lambda: F.dense_rank().over(Window.partitionBy("o_custkey").orderBy("o_orderpriority")).cast("long"), "dense_rank() OVER (PARTITION BY o_custkey ORDER BY o_orderpriority)")
-_window("op_win_pct", lambda: F.round(F.percent_rank().over(_O), 6), f"round(percent_rank() {_OW}, 6)")
-_window("op_win_cume", lambda: F.round(F.cume_dist().over(_O), 6), f"round(cume_dist() {_OW}, 6)")
-_window("op_win_ntile", lambda: F.ntile(4).over(_O).cast("long"), f"ntile(4) {_OW}")
-_window("op_win_nth", lambda: F.nth_value("o_orderkey", 2).over(_O), f"nth_value(o_orderkey, 2) {_OW}")
-_window("op_win_first_last", lambda: F.last("o_orderkey").over(_O.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)) - F.first("o_orderkey").over(_O), "last_value(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) - first_value(o_orderkey) " + _OW)
-_window("op_win_rows_cum", lambda: F.round(F.sum("o_totalprice").over(_O.rowsBetween(Window.unboundedPreceding, 0)), 2), "round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey ROWS UNBOUNDED PRECEDING), 2)")
-_window("op_win_rows_sliding", lambda: F.round(F.avg("o_totalprice").over(_O.rowsBetween(-2, 0)), 4), "round(avg(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey ROWS 2 PRECEDING), 4)")
+_window("op_win_pct", lambda: F.round(F.percent_rank().over(_by_price()), 6), f"round(percent_rank() {_OW}, 6)")
+_window("op_win_cume", lambda: F.round(F.cume_dist().over(_by_price()), 6), f"round(cume_dist() {_OW}, 6)")
+_window("op_win_ntile", lambda: F.ntile(4).over(_by_price()).cast("long"), f"ntile(4) {_OW}")
+_window("op_win_nth", lambda: F.nth_value("o_orderkey", 2).over(_by_price()), f"nth_value(o_orderkey, 2) {_OW}")
+_window("op_win_first_last", lambda: F.last("o_orderkey").over(_by_price().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)) - F.first("o_orderkey").over(_by_price()), "last_value(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) - first_value(o_orderkey) " + _OW)
+_window("op_win_rows_cum", lambda: F.round(F.sum("o_totalprice").over(_by_price().rowsBetween(Window.unboundedPreceding, 0)), 2), "round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey ROWS UNBOUNDED PRECEDING), 2)")
+_window("op_win_rows_sliding", lambda: F.round(F.avg("o_totalprice").over(_by_price().rowsBetween(-2, 0)), 4), "round(avg(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey ROWS 2 PRECEDING), 4)")
 
 
 @op("SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
