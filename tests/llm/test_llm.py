@@ -73,7 +73,21 @@ def test_token_counts(spark, odd, none):
     for i, x in enumerate(texts):
         assert got[i]["n_tokens"] == len(t.encode(x or "", add_special_tokens=False).ids)
         assert got[i]["n_bytes"] == len((x or "").encode()) and got[i]["over_limit"] == (got[i]["n_tokens"] > 1024)
+    for head in (0, 5):
+        same = {r["doc_id"]: r for r in tokens.token_counts(docs.withColumn("row", docs["text"]).withColumn("n", docs["text"]), path, head=head).collect()}
+        assert same == got
     assert tokens.token_counts(none, path).count() == 0
+    assert tokens.token_counts(odd, path).where("doc_id = 2").count() == 2
+
+
+def test_pieces_are_listed_once(spark):
+    """Each distinct pre-token is one row, however many documents have it."""
+    import public_tokenizers
+
+    text = open(public_tokenizers.path("byte_bpe_50k.json"), encoding="utf-8").read()
+    docs = spark.createDataFrame([("the cat, the cat",), ("the cat's 12",), (None,), ("naïve ³ the",)], "text string").repartition(3)
+    rows = [r["piece"] for r in tokens.distinct_pieces(docs, spark.sparkContext.broadcast(text), most=2).collect()]
+    assert sorted(rows) == sorted({"the", " cat", ",", " the", "'s", " 12", "naïve", " ³"})
 
 
 def test_token_counts_on_documents(spark, sf):
