@@ -238,6 +238,43 @@ def test_language(spark, odd, none):
     assert language.predict(odd, language.fit(none)).where("lang_pred <> 'und'").count() == 0
 
 
+def test_language_brute_force(spark, sf):
+    """Exact n-gram sets of the same sample, built in plain Python; the filter adds only its false positives, whose number is corrected."""
+    docs = spark.read.parquet(f"{sf}/documents.parquet").where("doc_id < 120")
+    some, languages = language.sampled(docs.select("text", "lang"), 4000)
+    fold = lambda t: " " + " ".join("".join(c if c.isascii() and c.isalpha() or not c.isascii() else " " for c in t.lower()).split(" ")) + " "
+
+    def grams(t):
+        raw = b" ".join(fold(t).encode().split())
+        raw = b" " + raw + b" "
+        return [raw[i : i + 5] for i in range(len(raw) - 4)]
+
+    sets: dict[int, set] = {b: set() for b in range(len(languages))}
+    for r in some.collect():
+        sets[r["bit"]].update(grams(r["text"]))
+    model = language.fit(docs.select("text", "lang"))
+    assert model.languages == languages
+    for b, own in sets.items():  # all languages that contain an n-gram, and few others
+        keys = np.array([int.from_bytes(g, "big") for g in sorted(own)], np.uint64)
+        masks = model.masks(keys)
+        assert ((masks >> np.uint64(b)) & np.uint64(1) == 1).all()
+        for other, theirs in ((o, t) for o, t in sets.items() if o != b):
+            strange = np.array([g not in theirs for g in sorted(own)])
+            assert np.mean((masks[strange] >> np.uint64(other)) & np.uint64(1) == 1) < 0.08
+    wrong = 0
+    got = {r["doc_id"]: r for r in language.predict(docs, model).collect()}
+    for r in docs.collect():
+        count = [sum(g in s for g in grams(r["text"] or "")) for s in sets.values()]
+        if not any(c.isalpha() for c in r["text"] or "") or not sum(count):
+            assert got[r["doc_id"]]["lang_pred"] == "und"
+        elif sorted(count)[-1] > 1.1 * sorted(count)[-2]:
+            assert got[r["doc_id"]]["lang_pred"] == languages[int(np.argmax(count))]
+            assert got[r["doc_id"]]["score"] == pytest.approx(max(count) / sum(count), abs=0.05)
+        else:
+            wrong += 1
+    assert wrong < 12
+
+
 def test_bloom_returns_all_languages():
     sets = [np.arange(0, 3000, dtype=np.uint64), np.arange(2000, 5000, dtype=np.uint64)]
     model = language.SlicedBloom.build(["a", "b"], sets, 16)
@@ -376,6 +413,12 @@ def test_warc_round_trip(spark):
 def test_mixing(spark, odd, none):
     got = mixing.rates(odd.select("doc_id", "text", "source")).collect()
     assert len(got) == 9 and all(r["copies"] <= 3 for r in got)
+    clash = mixing.rates(odd.withColumn("target", odd["text"]).withColumn("source_size", odd["text"]))
+    pick = ["doc_id", "source", "size", "source_size", "target", "copies"]
+    assert sorted(map(str, clash.select(pick).collect())) == sorted(map(str, mixing.rates(odd.select("doc_id", "text", "source")).select(pick).collect()))
+    assert sorted(clash.columns) == sorted({*odd.columns, *mixing.ADDED})
+    huge = spark.createDataFrame([(f"s{i:03}", 10**13) for i in range(100)], "source string, source_size long")
+    assert sum(r["target"] for r in mixing.targets(huge).collect()) == pytest.approx(1e15)
     sources = spark.createDataFrame([("a", 10), ("b", 1000), ("c", 100), (None, 50)], "source string, source_size long")
     t = {r["source"]: r["target"] for r in mixing.targets(sources).collect()}
     assert t["a"] == 30 and sum(t.values()) == pytest.approx(1160) and t[None] == 150
