@@ -51,7 +51,7 @@ def op4_lm_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     documents = table(spark, sf_dir, "documents")
-    held = crc("doc_id", 4) == 2
+    held = F.coalesce(crc("doc_id", 4) == 2, F.lit(False))  # a null doc_id is not held out
     model = language.fit(documents.where(~held).select("text", "lang"))
     return language.predict(documents.select("doc_id", held.alias("held_out"), "text"), model).select("doc_id", "held_out", "lang_pred", "score")
 
