@@ -396,7 +396,8 @@ def test_substrings_brute_force(spark):
 def test_warc_round_trip(spark):
     big = "<p>" + "é" * 200 + "\r\n\r\n</p>"
     rows = [(1, "http://B.example.com/x?y=1", big), (2, "https://a.b.example.com:8443/", big), (3, None, None), (4, "http://b.example.com/x?y=1", "tiny"), (5, "u", "tiny"), (None, "http://c.example.com", big), (2, "https://a.b.example.com:8443/", big)]
-    archive = warc.Archive.create(spark.createDataFrame(rows, "page_id long, url string, html string"), block_lines=2)
+    pages = spark.createDataFrame([(*r, "x") for r in rows], "page_id long, url string, html string, digest string")
+    archive = warc.Archive.create(pages, block_lines=2, directory_rows=2)
     got = archive.captures().collect()
     assert len(got) == 7
     assert sorted((r["page_id"] or 0, r["record_type"], r["refers_to"]) for r in got if r["payload_bytes"] > 100) == [(0, "revisit", 1), (1, "response", None), (2, "revisit", 1), (2, "revisit", 1)]
@@ -407,9 +408,37 @@ def test_warc_round_trip(spark):
     assert again["record_type"] == "revisit" and archive.fetch(again) == big.encode()
     assert warc.surt("http://m.a.org:80/x?y#z") == "org,a,m)/x?y"
     assert archive.lookup("http://nowhere.example.org/") == []
+    assert all(archive.fetch(x) for h in got if h["url"] for x in archive.lookup(h["url"]))
     assert warc.Archive.create(spark.createDataFrame([], "page_id long, url string, html string")).captures().count() == 0
 
 
+def test_warc_repeated_smallest_row(spark):
+    """Only one of several equal rows with the smallest page_id is the response; the others point to it."""
+    big = "z" * 300
+    rows = [(1, "u1", big), (1, "u1", big), (1, "u0", big), (4, "u4", big), (None, "n", "y" * 200), (None, "n", "y" * 200)]
+    archive = warc.Archive.create(spark.createDataFrame(rows, "page_id long, url string, html string"))
+    got = sorted((r["page_id"] or 0, r["record_type"], r["refers_to"] or 0) for r in archive.captures().collect())
+    assert got == [(0, "response", 0), (0, "response", 0), (1, "response", 0), (1, "revisit", 1), (1, "revisit", 1), (4, "revisit", 1)]
+    rows = [(7, "u", big), (7, "u", big), (8, "u", big)]
+    archive = warc.Archive.create(spark.createDataFrame(rows, "page_id long, url string, html string"))
+    assert sorted(r["record_type"] for r in archive.captures().collect()) == ["response", "revisit", "revisit"]
+    assert {archive.fetch(x) for x in archive.lookup("u")} == {big.encode()}
+
+
+def test_warc_files_are_bounded(spark, tmp_path):
+    """Files hold about `file_bytes`, whatever the pages' sizes."""
+    import random
+
+    draw = random.Random(1)
+    noise = lambda n: "".join(chr(draw.randrange(33, 126)) for _ in range(n))
+    pages = spark.createDataFrame([(i, f"u{i}", noise(30_000 if i == 5 else 2000)) for i in range(60)], "page_id long, url string, html string").coalesce(1)
+    scratch = Scratch(spark)
+    warc.write(pages, str(tmp_path / "w"), scratch, run_bytes=10_000, file_bytes=60_000)
+    sizes = [p.stat().st_size for p in (tmp_path / "w").glob("part-*")]
+    assert len(sizes) > 2 and max(sizes) < 70_000
+    assert warc.read(spark, str(tmp_path / "w")).count() == 60
+
+
 def test_mixing(spark, odd, none):
     got = mixing.rates(odd.select("doc_id", "text", "source")).collect()
     assert len(got) == 9 and all(r["copies"] <= 3 for r in got)
