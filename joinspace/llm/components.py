@@ -8,23 +8,25 @@ from pyspark.sql import functions as F
 from .common import Scratch
 
 
-def connected(edges: DataFrame, scratch: Scratch, name: str = "cc", most: int = 60) -> DataFrame:
-    """edges (a, b) -> (node, label): the least node reachable. Nodes without an edge do not appear."""
+def connected(edges: DataFrame, scratch: Scratch, name: str = "cc") -> DataFrame:
+    """edges (a, b) -> (node, label): the least node reachable. Nodes without an edge do not appear.
+
+    A round takes the least label among a node's neighbours and then the label of that label, so long chains shrink by
+    halves; it runs until nothing moves, however many rounds that takes, as every round that is not the last lowers a label. Edges with a null end are
+    left out; loops and repeated edges change nothing; no edges give no rows; other columns are ignored.
+    """
     both = edges.select("a", "b").unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a <> b").distinct()
     both = scratch.store(both, f"{name}-edges")
     labels = scratch.store(both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("label")), f"{name}-0")
-    step = 0
-    for step in range(1, most + 1):
+    step, moved = 0, True
+    while moved:
+        step += 1
         near = both.join(labels.select(F.col("node").alias("b"), "label"), "b").groupBy("a").agg(F.min("label").alias("m"))
         near = labels.join(near.withColumnRenamed("a", "node"), "node").select("node", "label", F.least("label", "m").alias("next"))
         above = labels.select(F.col("node").alias("next"), F.col("label").alias("up"))
         new = scratch.store(near.join(above, "next", "left").select("node", F.coalesce("up", "next").alias("label"), (F.coalesce("up", "next") < F.col("label")).alias("moved")), f"{name}-{step}")
-        done = new.where("moved").isEmpty()
+        moved = not new.where("moved").isEmpty()
         labels = new.select("node", "label")
         scratch.drop(f"{name}-{step - 1}")
-        if done:
-            break
-    else:
-        raise RuntimeError("labels still move")
     scratch.drop(f"{name}-edges")
     return labels

@@ -11,8 +11,9 @@ tested; (C) where buckets are still mixed, all pairs across components under the
 block, and only links that join components come out. Pairs inside a component cannot change it.
 
 Defined cases: null texts and texts without a word have no shingles and link with nothing; fewer words than a shingle give
-one shingle of all; rows with a null doc_id take no part (component null, kept); rows that share a doc_id are one node;
-empty tables give empty results; extra columns stay.
+one shingle of all; rows with a null doc_id take no part (component null, kept); rows that share a doc_id are in one component, and
+each text's own links count; doc_ids are whole numbers (text ids are cast, and an error says so if that fails); very long texts are shingled
+whole; empty tables give empty results; extra columns stay, whatever their names.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Rolling, Scratch, WordHashes, low_bytes, signed, text_key
@@ -74,17 +75,6 @@ class Shingler:
         return padded.view(np.uint64)
 
 
-def mismatches(a: Column, b: Column, longs: int) -> Column:
-    """Number of 16-bit lanes in which two packed signatures differ."""
-    out = F.lit(0)
-    for i in range(longs):
-        x = a[i].bitwiseXOR(b[i])
-        for by in (8, 4, 2, 1):  # the lowest bit of a lane becomes the OR of its 16 bits
-            x = x.bitwiseOR(F.shiftrightunsigned(x, by))
-        out = out + F.bit_count(x.bitwiseAND(F.lit(0x0001000100010001)))
-    return out
-
-
 def _pack(own: np.ndarray) -> bytes:
     """The upper 48 bits of each fingerprint; order is kept."""
     return (own >> np.uint64(16)).astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6].tobytes()
@@ -98,13 +88,17 @@ def _unpack(data) -> np.ndarray:
 
 
 def joined_links(rows: pd.DataFrame, percent: int, distance: int, columns: int = 16_384) -> pd.DataFrame:
-    """Links (a, b) between nodes of different labels, as far as they join labels not joined yet."""
-    node, label, n = (rows[c].to_numpy() for c in ("node", "label", "n"))
+    """Links (a, b) between nodes of different labels, as far as they join labels not joined yet. Rows of two blocks are compared
+    across the blocks only: pairs inside a block have a task of their own."""
+    rows = rows.sort_values("mine", kind="stable")
+    node, label, n, mine = (rows[c].to_numpy() for c in ("node", "label", "n", "mine"))
     sig = np.stack(rows["signature"].to_numpy()).astype(np.int64).view(np.uint16)
     maybe = np.zeros((len(node), len(node)), bool)
-    for i in range(len(node)):
-        far = (sig[i] != sig[i + 1 :]).sum(1)
-        maybe[i, i + 1 :] = (far <= distance) & (label[i] != label[i + 1 :]) & (100 * np.minimum(n[i], n[i + 1 :]) >= percent * np.maximum(n[i], n[i + 1 :]))
+    second = int(np.searchsorted(mine, mine[0], side="right"))  # where the other block starts
+    for i in range(len(node) if second == len(node) else second):
+        to = i + 1 if second == len(node) else second
+        far = (sig[i] != sig[to:]).sum(1)
+        maybe[i, to:] = (far <= distance) & (label[i] != label[to:]) & (100 * np.minimum(n[i], n[to:]) >= percent * np.maximum(n[i], n[to:]))
     use = np.flatnonzero(maybe.any(0) | maybe.any(1))
     if not len(use):
         return pd.DataFrame({"a": np.empty(0, np.int64), "b": np.empty(0, np.int64)})
@@ -141,15 +135,14 @@ def joined_links(rows: pd.DataFrame, percent: int, distance: int, columns: int =
 
 
 class NearDuplicates:
-    def __init__(self, documents: DataFrame, words: int = 5, percent: int = 80, chunks: int = 10, per_chunk: int = 6, distance: int | None = None, block: int = 384, family: int = 16_384):
-        self.block, self.family = block, family
+    def __init__(self, documents: DataFrame, words: int = 5, percent: int = 80, chunks: int = 10, per_chunk: int = 6, distance: int | None = None, block: int = 64, copies: int = 12, widest: int = 2048):
+        self.block, self.copies, self.widest = block, copies, widest
         self.documents, self.words, self.percent = documents, words, percent
         self.chunks, self.per_chunk = chunks, per_chunk
         k = chunks * per_chunk
         miss = 1 - percent / 100
         # five standard deviations over the mean at the threshold, at least the distance the buckets guarantee
         self.distance = distance if distance is not None else max(2 * chunks - 1, int(np.ceil(k * miss + 5 * np.sqrt(k * miss * (1 - miss)))))
-        self.longs = -(-k // LANES)
         self.scratch = Scratch(documents.sparkSession)
 
     def _profile(self) -> DataFrame:
@@ -176,7 +169,7 @@ class NearDuplicates:
         return texts.mapInArrow(run, schema)
 
     def _sets(self, wanted: DataFrame) -> DataFrame:
-        """(node, n, packed) for nodes (node, text_key): their full shingle sets."""
+        """(node, n, packed) for (node, doc_id, text_key): their full shingle sets."""
         words, chunks, per_chunk = self.words, self.chunks, self.per_chunk
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -186,8 +179,8 @@ class NearDuplicates:
                     sets = [own.shingles(t.as_buffer().to_pybytes()) for t in batch.column(1).slice(at, 500)]
                     yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, 500), pa.array([len(s) for s in sets], pa.int64()), pa.array([_pack(s) for s in sets], pa.binary())], ["node", "n", "packed"])
 
-        texts = self.documents.select(F.col("doc_id").cast("long").alias("node"), text_key(F.col("text")).alias("text_key"), "text")
-        return texts.join(wanted, ["node", "text_key"]).select("node", "text").mapInArrow(run, "node long, n long, packed binary").dropDuplicates(["node"])
+        texts = self.documents.select(F.col("doc_id").cast("long").alias("doc_id"), text_key(F.col("text")).alias("text_key"), "text")
+        return texts.join(wanted, ["doc_id", "text_key"]).select("node", "text").mapInArrow(run, "node long, n long, packed binary").dropDuplicates(["node"])
 
     def _confirmed(self, pairs: DataFrame, sets: DataFrame) -> DataFrame:
         """Pairs (a, b) of set nodes whose sets are similar enough."""
@@ -220,13 +213,22 @@ class NearDuplicates:
         groups = linked.groupBy("set_id").agg(F.min(F.struct("doc_id", "text_key")).alias("m"), F.count("*").alias("c"))
         groups = store(groups.where("c > 1").select(F.col("set_id").alias("s"), F.col("m.doc_id").alias("least"), F.col("m.text_key").alias("least_key")), "groups")
         mapped = linked.join(groups, F.col("set_id") == F.col("s"), "left")
-        place = store(mapped.select("doc_id", "text_key", F.coalesce("least", "doc_id").alias("node")), "place")
-        own = mapped.where(F.col("least").isNull() | ((F.col("doc_id") == F.col("least")) & (F.col("text_key") == F.col("least_key"))))
-        entered = own.select(F.col("doc_id").alias("node"), "text_key", F.explode("keys").alias("key"))
+        mapped = mapped.withColumn("first", F.coalesce("least", "doc_id")).withColumn("first_key", F.coalesce("least_key", "text_key"))
+        first_row = (F.col("doc_id") == F.col("first")) & (F.col("text_key") == F.col("first_key"))
+        # a doc_id with several sets: all but one of them get a node number of their own
+        several = store(mapped.where(first_row).groupBy("first").agg(F.min("first_key").alias("m"), F.max("first_key").alias("x")).where("m < x").select(F.col("first").alias("f"), "m"), "several")
+        repeated = not several.isEmpty()
+        node = F.col("first")
+        if repeated:
+            mapped = mapped.join(several, F.col("first") == F.col("f"), "left")
+            node = F.when(F.col("first_key") > F.col("m"), -1 - F.shiftrightunsigned(F.xxhash64("first", "first_key"), 2)).otherwise(node)
+        place = store(mapped.select("doc_id", "text_key", node.alias("node")), "place")
+        own = mapped.where(first_row).select("doc_id", "text_key", node.alias("node"), "keys", "signature")
+        entered = own.select("node", "doc_id", "text_key", F.explode("keys").alias("key"))
         buckets = entered.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi"))
         buckets = store(buckets.where("lo < hi").select(F.col("key").alias("k"), "lo"), "buckets")
-        members = store(entered.join(buckets, F.col("key") == F.col("k")).select("node", "text_key", "key", "lo"), "members")
-        sets = store(self._sets(members.select("node", "text_key").distinct()), "sets")
+        members = store(entered.join(buckets, F.col("key") == F.col("k")).select("node", "doc_id", "text_key", "key", "lo"), "members")
+        sets = store(self._sets(members.select("node", "doc_id", "text_key").distinct()), "sets")
         # a doc_id on several rows ties their sets together
         tied = place.groupBy("doc_id").agg(F.min("node").alias("a"), F.max("node").alias("b"), F.collect_set("node").alias("all")).where("a < b").select("a", F.explode("all").alias("b")).where("a < b")
         first = members.where("lo < node").groupBy("node").agg(F.min("lo").alias("lo")).select(F.col("lo").alias("a"), F.col("node").alias("b"))
@@ -249,8 +251,12 @@ class NearDuplicates:
             if not more.isEmpty():
                 labels = connected(links.unionByName(more), scratch, "cc-c")
         labels = store(labels, "labels")
-        scratch.drop("groups", "buckets", "members", "sets", "links-a", "links-b", "links-c", "pairs-b", "pairs-c", "mixed-b", "mixed-c", "least", "hubs", "full", "kin", *(f"cc-{x}-{i}" for x in "abck" for i in range(61)))
-        named = place.join(labels.withColumnRenamed("label", "component_id"), "node", "left").select(F.col("doc_id").alias("d"), F.col("text_key").alias("t"), F.coalesce("component_id", "node").alias("c")).groupBy("d", "t").agg(F.min("c").alias("c"))
+        scratch.drop(*[x for x in scratch.made if x not in ("profile", "place", "labels")])
+        named = place.join(labels, "node", "left").select(F.col("doc_id").alias("d"), F.col("text_key").alias("t"), F.coalesce("label", "node").alias("c"))
+        if repeated:  # labels may be node numbers that are no doc_id
+            least = named.groupBy("c").agg(F.min("d").alias("least"))
+            named = named.join(least, "c").select("d", "t", F.col("least").alias("c"))
+        named = named.groupBy("d", "t").agg(F.min("c").alias("c"))
         out = profile.select("doc_id", "text_key", "n_shingles").join(named, (F.col("doc_id") == F.col("d")) & (F.col("text_key") == F.col("t")), "left")
         component = F.coalesce("c", "doc_id")
         return out.select("doc_id", "text_key", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
@@ -258,36 +264,30 @@ class NearDuplicates:
     def _across(self, again: DataFrame, own: DataFrame, sets: DataFrame) -> DataFrame:
         """Links between components that share a bucket, without listing pairs.
 
-        Nodes that buckets tie together are a family. A family is cut into blocks, and a task takes two blocks: signatures
-        first, then the intersections of all sets of the nodes left, as products of a 0/1 matrix; only links come out, and of
-        those only what joins components. Families over `family` nodes would send their sets too often: their buckets are
-        joined instead, and each near pair is confirmed as in the rounds before.
+        Nodes that buckets tie together are a family. A family is cut into blocks, and a task takes one block, or two against
+        each other: signatures first, then the intersections of all sets of the nodes left, as products of a 0/1 matrix; only
+        links come out, and of those only what joins components. A block has a `copies`-th of its family, but at least `block` and at
+        most `widest` nodes: so a set travels about `copies` times, more only in families beyond copies * widest, and no task
+        holds more than two blocks, however large the family.
         """
-        scratch, store, block = self.scratch, self.scratch.store, self.block
-        signatures = own.select(F.col("doc_id").alias("node"), "signature").dropDuplicates(["node"])
+        scratch, store = self.scratch, self.scratch.store
+        signatures = own.select("node", "signature").dropDuplicates(["node"])
         hubs = again.groupBy("key").agg(F.min("node").alias("a"))
         kin = connected(again.select("key", F.col("node").alias("b")).join(hubs, "key").select("a", "b").where("a < b"), scratch, "cc-k")
         sizes = kin.groupBy("label").agg(F.count("*").alias("size"))
         kin = store(kin.join(sizes, "label").select("node", F.col("label").alias("kin"), "size"), "kin")
         labelled = again.select("node", "label").distinct()
-        full = labelled.join(kin.where(F.col("size") <= self.family), "node").join(sets, "node").join(signatures, "node")
+        full = labelled.join(kin, "node").join(sets, "node").join(signatures, "node")
+        block = F.least(F.lit(self.widest), F.greatest(F.lit(self.block), F.ceil(F.col("size") / self.copies)))
         blocks = F.ceil(F.col("size") / block).cast("int")
         full = full.withColumn("mine", F.pmod(F.xxhash64("node"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
-        full = full.select("kin", F.least("mine", "other").alias("x"), F.greatest("mine", "other").alias("y"), "node", "label", "n", "packed", "signature")
+        full = full.select("kin", F.least("mine", "other").alias("x"), F.greatest("mine", "other").alias("y"), "mine", "node", "label", "n", "packed", "signature")
         percent, distance = self.percent, self.distance
 
         def run(rows: pd.DataFrame) -> pd.DataFrame:
             return joined_links(rows, percent, distance)
 
-        found = full.groupBy("kin", "x", "y").applyInPandas(run, "a long, b long")
-        large = again.join(kin.where(F.col("size") > self.family).select("node"), "node").join(signatures, "node")
-        x = large.select("key", F.col("node").alias("a"), F.col("label").alias("la"), F.col("signature").alias("sa"))
-        y = large.select("key", F.col("node").alias("b"), F.col("label").alias("lb"), F.col("signature").alias("sb"))
-        near = (F.col("x.key") == F.col("y.key")) & (F.col("la") < F.col("lb")) & (mismatches(F.col("sa"), F.col("sb"), self.longs) <= self.distance)
-        if kin.where(F.col("size") > self.family).isEmpty():
-            return found
-        pairs = x.alias("x").join(y.alias("y"), near).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-        return found.unionByName(self._confirmed(store(pairs, "pairs-c"), sets))
+        return full.groupBy("kin", "x", "y").applyInPandas(run, "a long, b long")
 
     def _mixed(self, members: DataFrame, labels: DataFrame, name: str) -> DataFrame | None:
         """(node, key, label) of the buckets that hold several components; None if there is none."""

@@ -311,8 +311,8 @@ def test_near_duplicates(spark, odd, none):
     assert neardup.NearDuplicates(none).components().count() == 0
 
 
-@pytest.mark.parametrize("family", [16_384, 1])
-def test_near_duplicates_chain(spark, family):
+@pytest.mark.parametrize("shape", [(64, 12, 2048), (4, 3, 8), (1, 100, 1)])
+def test_near_duplicates_chain(spark, shape):
     """Copies with growing edits: each links with its neighbours only, and all with each other over them."""
     rng = np.random.default_rng(5)
     words = [f"v{i}" for i in range(3000)]
@@ -340,17 +340,26 @@ def test_near_duplicates_chain(spark, family):
             if 100 * both >= 80 * (len(sets[i]) + len(sets[j]) - both):
                 a, b = find(i), find(j)
                 root[max(a, b)] = min(a, b)
-    got = {r["doc_id"]: r["component_id"] for r in neardup.NearDuplicates(docs, words=2, block=16, family=family).components().collect()}
+    got = {r["doc_id"]: r["component_id"] for r in neardup.NearDuplicates(docs, words=2, block=shape[0], copies=shape[1], widest=shape[2]).components().collect()}
     assert got == {i: find(i) for i in sets}
 
 
-def test_mismatches_in_lanes(spark):
-    from pyspark.sql import functions as F
+def test_near_duplicates_of_repeated_ids(spark):
+    """A doc_id on rows with different texts: the links of each of its texts count, and the rows are one component."""
+    text = lambda a, n=40: " ".join(f"{a}{i}" for i in range(n))
+    rows = [(5, text("x")), (5, text("y")), (5, text("z")), (2, text("y") + " more"), (9, text("z") + " end"), (7, text("q")), (9, text("q") + " q")]
+    got = {(r["doc_id"], r["component_id"], r["kept"]) for r in neardup.NearDuplicates(spark.createDataFrame(rows, "doc_id long, text string"), words=2).components().collect()}
+    assert got == {(5, 2, False), (2, 2, True), (9, 2, False), (7, 2, False)}
+
+
+def test_components(spark):
+    """A long chain, a loop, repeated and null edges."""
+    from joinspace.llm.components import connected
 
-    a, b = np.arange(8, dtype=np.uint16), np.array([0, 1, 9, 3, 4, 65535, 6, 8], np.uint16)
-    rows = [(a.view(np.int64).tolist(), b.view(np.int64).tolist())]
-    d = spark.createDataFrame(rows, "a array<long>, b array<long>").select(neardup.mismatches(F.col("a"), F.col("b"), 2).alias("d")).first()["d"]
-    assert d == 3
+    rows = [(i, i + 1) for i in range(300)] + [(500, 501), (501, 500), (700, 700), (None, 3), (4, None), (500, 501)]
+    got = {r["node"]: r["label"] for r in connected(spark.createDataFrame(rows, "a long, b long"), Scratch(spark)).collect()}
+    assert got == {**dict.fromkeys(range(301), 0), 500: 500, 501: 500}
+    assert connected(spark.createDataFrame([], "a long, b long"), Scratch(spark)).count() == 0
 
 
 def test_substrings(spark, odd, none):
