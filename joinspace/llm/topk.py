@@ -1,15 +1,19 @@
 """Exact top-k inner products over norm-sorted vectors with SVD-rotated partial sums.
 
-Candidates are cut into chunks of similar size, queries into blocks; a task takes one block against one chunk, so both
-sides scale out and nothing that grows is broadcast. A task holds its chunk by descending length. The leading
-coordinates after rotation by the eigenvectors of the Gram matrix give a partial inner product; Cauchy-Schwarz on the
-rest bounds the score. A candidate is dropped when that bound is below the query's k-th best score so far, first found
-on the longest vectors; whole rows of the chunk are dropped once length times length is too small. What survives is
-scored in integers, so results and ties are exact.
-
-Defined cases: vectors that are null or hold null or non-finite components take no part; vectors of unequal length are
-padded with zeros; equal scores rank by smaller vec_id; fewer than k candidates give fewer rows; a repeated vec_id is
-never its own neighbour; empty tables give no rows.
+Candidates are sorted by length into ranges, longest first, and a range into chunks of about `chunk_rows`. A query's floor is its k-th best
+score among the `longest` longest candidates; by Cauchy-Schwarz it needs no range whose longest vector is shorter than floor / |query|, its
+cutoff. Queries are sorted by cutoff into bands, and a band into blocks of about `block_rows`: a block meets exactly the chunks of the ranges
+down to the smallest cutoff of its band, and all other pairs are dropped before anything is shuffled. A task takes one block against one
+chunk, so both sides scale out; what is broadcast is the rotation, `longest` vectors, and at most `bounds` lengths a side.
+
+In a task the chunk lies by descending length. The leading coordinates after rotation by the eigenvectors of the Gram matrix give a partial
+inner product; Cauchy-Schwarz on the rest bounds the score. A candidate is dropped when that bound is below the query's k-th
+best score so far; the walk ends once length times length is too small. What survives is scored in integers, so results and ties are exact.
+
+Defined cases: vectors that are null or hold null or non-finite components take no part, nor do those with a component of 2**20 or more,
+whose scores may leave 64 bits, nor rows with a null vec_id; vectors of unequal length are padded with zeros; equal scores rank by smaller
+vec_id; fewer than k candidates give fewer rows; a repeated vec_id is never its own neighbour, each of its rows is a candidate, and
+as a query it is its least vector (in the order of arrays); empty tables give no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -25,10 +29,14 @@ from pyspark.sql import functions as F
 from .common import Scratch
 
 
+#: Stands for a missing floor; below every score.
+NO_FLOOR = -(2**63)
+
+
 def whole(vectors: DataFrame, scale: int = 256) -> DataFrame:
     """(vec_id, v array<long>): floor(scale * x), rows that take part only."""
     x = F.col("embedding").cast("array<double>")
-    bad = F.exists(x, lambda y: y.isNull() | F.isnan(y) | (F.abs(y) == float("inf")))
+    bad = F.exists(x, lambda y: y.isNull() | F.isnan(y) | (F.abs(y) >= float(1 << 20)))
     own = vectors.select("vec_id", x.alias("embedding")).where(x.isNotNull() & F.col("vec_id").isNotNull()).where(~F.coalesce(bad, F.lit(True)))
     return own.select("vec_id", F.transform("embedding", lambda y: F.floor(y * scale)).alias("v"))
 
@@ -101,50 +109,96 @@ class Chunk:
         return have_i, have_s
 
 
-def top_k(candidates: DataFrame, queries: DataFrame, k: int = 5, chunk_rows: int = 16_384, block_rows: int = 512, head_share: float = 0.5, longest: int = 2048) -> DataFrame:
+def bounds_of(frame: DataFrame, column: str, pieces: int) -> np.ndarray:
+    """Descending lower ends of about equally large ranges of a column; the last range has no lower end."""
+    if pieces < 2:
+        return np.empty(0)
+    cuts = frame.select(F.percentile_approx(column, [i / pieces for i in range(1, pieces)], 100_000).alias("x")).first()["x"]
+    return np.unique(np.array(cuts, float))[::-1]
+
+
+def top_k(candidates: DataFrame, queries: DataFrame, k: int = 5, chunk_rows: int = 16_384, block_rows: int = 1024, head_share: float = 0.5, longest: int = 2048, bounds: int = 1024) -> DataFrame:
     """(query_id, rank, vec_id, score) from `whole` candidates and queries."""
     spark = candidates.sparkSession
     scratch = Scratch(spark)
     norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double")))
-    pool = scratch.store(candidates.withColumn("norm", norm), "candidates")
-    asked = scratch.store(queries.dropDuplicates(["vec_id"]), "queries")
+    pool = scratch.store(candidates.select("vec_id", "v", norm.alias("norm")), "candidates")
+    asked = scratch.store(queries.groupBy("vec_id").agg(F.min("v").alias("v")), "queries")
     facts = pool.agg(F.count("*").alias("n"), F.max(F.size("v")).alias("w")).first()
     wide = asked.agg(F.count("*").alias("n"), F.max(F.size("v")).alias("w")).first()
-    result = "query_id long, vec_id long, score long"
     if not facts["n"] or not wide["n"]:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
     width = max(facts["w"], wide["w"], 1)
     turn = np.linalg.eigh(gram(pool, width))[1][:, ::-1].copy()
     head = max(1, int(width * head_share))
-    chunks, blocks = -(-facts["n"] // chunk_rows), -(-wide["n"] // block_rows)
     top = pool.orderBy(F.desc("norm"), "vec_id").limit(longest).select("vec_id", "v").toPandas()  # `longest` rows, a parameter
     shared = spark.sparkContext.broadcast((turn, top["vec_id"].to_numpy(np.int64), _matrix(list(top["v"]), width)))
 
+    def floors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        start = Chunk(*shared.value[1:], shared.value[0], head)
+        for batch in batches:
+            ids, vectors = batch.column(0).to_numpy(), _matrix(batch.column(1), width)
+            floor, cutoff = [], []
+            for own, q in zip(ids, vectors, strict=True):
+                got, scores = start.best(own, q, k, None)
+                # a vec_id that counts twice towards k gives no floor
+                sure = len(got) >= k and len(set(got.tolist())) == len(got)
+                size = float(np.linalg.norm(q.astype(float)))
+                floor.append(int(scores[k - 1]) if sure else NO_FLOOR)
+                cutoff.append(max(0.0, float(scores[k - 1]) / size * (1 - 1e-9) - 1e-6) if sure and size else 0.0)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(floor, pa.int64()), pa.array(cutoff, pa.float64())], ["vec_id", "v", "floor", "cutoff"])
+
+    asked = scratch.store(asked.select("vec_id", "v").mapInArrow(floors, "vec_id long, v array<long>, floor long, cutoff double"), "floors")
+    chunks, blocks = -(-facts["n"] // chunk_rows), -(-wide["n"] // block_rows)
+    ranges, bands = bounds_of(pool, "norm", min(chunks, bounds)), bounds_of(asked, "cutoff", min(blocks, bounds))
+    chunk_salts, block_salts = -(-chunks // (len(ranges) + 1)), -(-blocks // (len(bands) + 1))
+    # the longest vector of a range and the smallest cutoff of a band, exactly
+    tallest, least = np.full(len(ranges) + 1, -np.inf), np.full(len(bands) + 1, np.inf)
+    for r in pool.groupBy(numbered(F.col("norm"), ranges).alias("r")).agg(F.max("norm").alias("x")).collect():  # at most `bounds` rows
+        tallest[r["r"]] = r["x"]
+    for r in asked.groupBy(numbered(F.col("cutoff"), bands).alias("r")).agg(F.min("cutoff").alias("x")).collect():
+        least[r["r"]] = r["x"]
+    spread = lambda n, salt: F.pmod(F.xxhash64(F.col("vec_id"), F.lit(salt)), F.lit(n)).cast("int")
+    # a range is needed by the bands from first[range] on, a band needs the ranges down to last[band]
+    first = [int(min(np.flatnonzero(least <= t), default=len(least))) for t in tallest]
+    last = [max((r for r, f in enumerate(first) if f <= b), default=-1) for b in range(len(least))]
+    number = lambda values: F.element_at(F.array(*[F.lit(v) for v in values]), F.col("r") + 1)
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    left = pool.withColumn("r", numbered(F.col("norm"), ranges)).where(number(first) < len(least))
+    left = left.select("vec_id", "v", F.col("r").alias("range"), spread(chunk_salts, "c").alias("chunk"), F.explode(F.sequence(number(first), F.lit(len(least) - 1))).alias("band"))
+    left = left.select("*", every(block_salts).alias("block"))
+    right = asked.withColumn("r", numbered(F.col("cutoff"), bands)).where(number(last) >= 0).select("vec_id", "v", "floor", F.col("r").alias("band"), spread(block_salts, "b").alias("block"), F.explode(F.sequence(F.lit(0), number(last))).alias("range"))
+    right = right.select("*", every(chunk_salts).alias("chunk"))
+
     def of(rows: pd.DataFrame) -> tuple[np.ndarray, np.ndarray]:
         return rows["vec_id"].to_numpy(np.int64), _matrix(list(rows["v"]), width)
 
     def run(key: tuple, left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
-        turn, ids, vectors = shared.value
-        start = Chunk(ids, vectors, turn, head)
-        chunk = Chunk(*of(left), turn, head)
+        chunk = Chunk(*of(left), shared.value[0], head)
         out_q, out_i, out_s = [], [], []
-        for own, q in zip(*of(right), strict=True):
-            # the longest vectors may repeat a vec_id, which must not count twice towards k
-            ids0, scores0 = start.best(own, q, k, None)
-            floor = int(scores0[k - 1]) if len(ids0) >= k and len(set(ids0.tolist())) == len(ids0) else None
-            i, s = chunk.best(own, q, k, floor)
+        for own, q, floor in zip(*of(right), right["floor"].tolist(), strict=True):
+            i, s = chunk.best(own, q, k, None if floor == NO_FLOOR else floor)
             out_q.append(np.full(len(i), own)), out_i.append(i), out_s.append(s)
         flat = lambda x: np.concatenate(x) if x else np.empty(0, np.int64)
         return pd.DataFrame({"query_id": flat(out_q), "vec_id": flat(out_i), "score": flat(out_s)})
 
-    spread = lambda n, salt: F.pmod(F.xxhash64(F.col("vec_id"), F.lit(salt)), F.lit(n)).cast("int")
-    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
-    left = pool.select("vec_id", "v", spread(chunks, "c").alias("chunk"), every(blocks).alias("block"))
-    right = asked.select("vec_id", "v", spread(blocks, "b").alias("block"), every(chunks).alias("chunk"))
-    each = left.groupBy("chunk", "block").cogroup(right.groupBy("chunk", "block")).applyInPandas(run, result)
+    pair = ["range", "chunk", "band", "block"]
+    each = left.groupBy(*pair).cogroup(right.groupBy(*pair)).applyInPandas(run, "query_id long, vec_id long, score long")
     return ranked(each, k)
 
 
+def numbered(x: Column, lower: np.ndarray) -> Column:
+    """`range_of` as an expression: the number of bounds above x, by bisection over nested conditions."""
+
+    def cut(lo: int, hi: int) -> Column:
+        if lo == hi:
+            return F.lit(lo)
+        mid = (lo + hi) // 2
+        return F.when(x >= F.lit(float(lower[mid])), cut(lo, mid)).otherwise(cut(mid + 1, hi))
+
+    return cut(0, len(lower))
+
+
 def ranked(scores: DataFrame, k: int) -> DataFrame:
     """At most k rows a chunk come in for a query: a small window."""
     order: Column = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")

@@ -299,6 +299,25 @@ def test_top_k(spark):
             want |= {(q, n + 1, i, -s) for n, (s, i) in enumerate(best)}
     assert {(r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in got} == want
     assert topk.top_k(v.limit(0), v.limit(0)).count() == 0
+    huge = spark.createDataFrame([(1, [1e30]), (2, [1.0]), (None, [1.0]), (50, [2.0])], "vec_id long, embedding array<double>")
+    h = topk.whole(huge)
+    assert [tuple(r) for r in topk.top_k(h, h.where("vec_id = 50")).collect()] == [(50, 1, 2, 131072)]
+
+
+def test_top_k_skips_ranges(spark):
+    """Long vectors first: blocks meet only the ranges that can still matter, and results stay exact."""
+    rng = np.random.default_rng(8)
+    base = rng.normal(size=(600, 6)) * np.exp(-np.arange(600) / 60)[:, None]
+    t = spark.createDataFrame([(i, [float(x) for x in v]) for i, v in enumerate(base)], "vec_id long, embedding array<double>")
+    v = topk.whole(t)
+    got = topk.top_k(v, v.where("vec_id % 50 = 0"), 5, chunk_rows=50, block_rows=3, longest=40, bounds=8)
+    whole = np.floor(base * 256).astype(int)
+    want = set()
+    for q in range(0, 600, 50):
+        best = sorted((-int(whole[q] @ whole[i]), i) for i in range(600) if i != q)[:5]
+        want |= {(q, n + 1, i, -s) for n, (s, i) in enumerate(best)}
+    assert {(r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in got.collect()} == want
+    assert topk.bounds_of(v.select(topk.F.size("v").alias("x")), "x", 4).tolist() == [6.0]
 
 
 def test_near_duplicates(spark, odd, none):
