@@ -7,12 +7,17 @@ gives each byte's probability as a mixture over all depths.
 
 Everything is counted and looked up by block. Texts are dealt to blocks of about `block_bytes` by a hash; a block lists
 its distinct byte runs (context and next byte) and words with their counts in training texts. Those are summed over the
-corpus, the tree is weighted bottom-up where subtrees of one two-byte context meet, and each block gets back one number
-for each of its distinct runs and words. Items travel as sorted, packed lists, dealt to parts whose number follows the
-input. No model is broadcast, whatever its size. Prices of runs travel in single precision (a relative error of 1e-7).
+corpus, the tree is weighted bottom-up, and each block gets back one number for each of its distinct runs and words. Subtrees below a
+three-byte context are weighted in one part; the three levels above are sums over the cluster, and a part gets those nodes of them that
+its contexts need. Items travel as sorted, packed lists, dealt to parts whose number follows the input. What is broadcast are the two uppermost levels,
+at most 256 * 255 + 255 nodes. Prices of runs travel in single precision (a relative error of 1e-7).
+
+Words are counted by 63-bit hashes, runs exactly: two words with one hash would be counted as one, in c, V and n_known alike. Among
+a billion distinct words that has a probability of about 5 %, and it would move one word.
 
 Defined cases: a null text is empty: one end token; a null doc_id hashes as the empty string; rows are scored one by one, so
-repeats do not matter (and count each in training); with no training text the base has N = V = 0 and the tree is uniform.
+repeats do not matter (and count each in training); with no training text the base has N = V = 0 and the tree is uniform; very long texts
+and words are read in pieces of 2**20 bytes with their contexts; extra columns are ignored, whatever their names; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -34,6 +39,8 @@ from .common import mix as scramble
 #: What closes a word, what closes a text, and what stands before it. None can be in a word.
 SPACE, END, BEFORE = b" ", b"\n", b"\n"
 _HALF = math.log(0.5)
+#: Depth from which a part holds whole subtrees; the levels above it are folded over the cluster.
+TOP = 3
 
 
 def tokens(text: str | bytes | None) -> list[bytes]:
@@ -56,42 +63,26 @@ def runs(data: bytes, depth: int) -> np.ndarray:
     return out
 
 
-def log_kt(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Log probability that the KT estimator gives to any sequence of a zeros and b ones."""
-    return _lgamma(a + 0.5) + _lgamma(b + 0.5) - 2 * math.lgamma(0.5) - _lgamma(a + b + 1.0)
-
-
-def _lgamma(x: np.ndarray) -> np.ndarray:
-    """Stirling's series after shifting small arguments up; error below 1e-12."""
-    x = np.asarray(x, float)
-    shift = np.zeros_like(x)
-    y = x.copy()
-    for _ in range(8):
-        small = y < 8
-        shift = np.where(small, shift - np.log(np.where(small, y, 1.0)), shift)
-        y = np.where(small, y + 1, y)
-    z = 1.0 / (y * y)
-    series = (1 / 12 - z * (1 / 360 - z * (1 / 1260 - z * (1 / 1680 - z / 1188)))) / y
-    return shift + (y - 0.5) * np.log(y) - y + 0.5 * math.log(2 * math.pi) + series
+#: log gamma of i + 1/2 and of i + 1, by i.
+_SMALL = 4096
+_HALVES = np.array([math.lgamma(i + 0.5) for i in range(_SMALL)])
+_WHOLES = np.array([math.lgamma(i + 1.0) for i in range(_SMALL)])
 
 
-class Level:
-    """Decision nodes of one depth: sorted keys (context, prefix), counts, own and weighted log probabilities."""
+def log_kt(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Log probability that the KT estimator gives to any sequence of a zeros and b ones."""
+    return _lgamma(a, _HALVES, 0.5) + _lgamma(b, _HALVES, 0.5) - math.log(math.pi) - _lgamma(a + b, _WHOLES, 1.0)
 
-    def __init__(self, keys: np.ndarray, zeros: np.ndarray, ones: np.ndarray, children: np.ndarray | None):
-        self.keys, self.zeros, self.ones = keys, zeros, ones
-        own = log_kt(zeros, ones)
-        if children is None:
-            self.weighted, self.stop = own, np.ones(len(keys))
-        else:
-            self.weighted = np.logaddexp(_HALF + own, _HALF + children)
-            self.stop = np.exp(_HALF + own - self.weighted)
 
-    @staticmethod
-    def merge(keys: np.ndarray, zeros: np.ndarray, ones: np.ndarray, weighted: np.ndarray | None) -> tuple[np.ndarray, ...]:
-        u, back = np.unique(keys, return_inverse=True)
-        add = lambda x: np.bincount(back, x, len(u))
-        return u, add(zeros), add(ones), (add(weighted) if weighted is not None else None)
+def _lgamma(n: np.ndarray, small: np.ndarray, more: float) -> np.ndarray:
+    """log gamma of n + more: from a table, or by Stirling's series, whose error is below 1e-12 there."""
+    out = small[np.minimum(n, _SMALL - 1).astype(np.int64)]
+    big = np.flatnonzero(n >= _SMALL)
+    if len(big):
+        y = n[big] + more
+        z = 1.0 / (y * y)
+        out[big] = (y - 0.5) * np.log(y) - y + 0.5 * math.log(2 * math.pi) + (1 / 12 - z * (1 / 360 - z / 1260)) / y
+    return out
 
 
 #: Set in the items that are hashes of words.
@@ -148,58 +139,127 @@ def shorten(keys: np.ndarray, to: int) -> np.ndarray:
     return keys & np.uint64((1 << (8 * (to + 1))) - 1)
 
 
-def tree(grams: np.ndarray, counts: np.ndarray, deep: int, shallow: int) -> list[Level]:
-    """Levels `deep` down to `shallow`, deepest first."""
-    keys, bits = decisions(grams)
-    flat, ones = keys.ravel(), (bits * counts.astype(np.uint64)).ravel().astype(float)
-    zeros = np.tile(counts, 8).astype(float) - ones
-    out = [Level(*Level.merge(flat, zeros, ones, None))]
-    return _upward(out, deep, shallow)
+class Level:
+    """Decision nodes of one depth by sorted key (context, prefix): counts, weighted log probability, and the weight of stopping here.
 
+    After `descend`, zero and one are the probabilities that all depths down to this one give to a next bit of 0 and of 1, and left is
+    the weight that is left for deeper ones."""
 
-def _upward(out: list[Level], deep: int, shallow: int) -> list[Level]:
+    def __init__(self, keys: np.ndarray, zeros: np.ndarray, ones: np.ndarray, children: np.ndarray | None):
+        self.keys, self.zeros, self.ones = keys, zeros, ones
+        own = log_kt(zeros, ones)
+        if children is None:
+            self.weighted, self.stop = own, np.ones(len(keys))
+        else:
+            self.weighted = np.logaddexp(_HALF + own, _HALF + children)
+            self.stop = np.exp(_HALF + own - self.weighted)
+        self.up: np.ndarray | None = None  # place of each node's parent in the level above
+
+    def shorter(self, depth: int) -> Level:
+        """The level above, at that depth."""
+        u, self.up = np.unique(shorten(self.keys, depth), return_inverse=True)
+        add = lambda x: np.bincount(self.up, x, len(u))
+        return Level(u, add(self.zeros), add(self.ones), add(self.weighted))
+
+    def descend(self, zero, one, left) -> None:
+        """From what the parents of these nodes have; 0, 0, 1 at the root's depth."""
+        share, total = left * self.stop, self.zeros + self.ones + 1.0
+        self.zero, self.one, self.left = zero + share * (self.zeros + 0.5) / total, one + share * (self.ones + 0.5) / total, left * (1.0 - self.stop)
+
+    def find(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(place, whether it is there) of each key."""
+        if not len(self.keys):
+            return np.zeros(keys.shape, np.int64), np.zeros(keys.shape, bool)
+        place = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
+        return place, self.keys[place] == keys
+
+
+def deepest(grams: np.ndarray, counts: np.ndarray) -> tuple[Level, np.ndarray]:
+    """The level of the whole contexts of sorted distinct runs, and the place of each run's eight decisions in it. Runs in order
+    have the keys of each decision in order, so nodes are found by comparing neighbours."""
+    keys, bits = decisions(grams)
+    places, parts = np.empty(keys.shape, np.int64), []
+    at = 0
+    for j in range(8):
+        start = np.flatnonzero(np.concatenate([[True], keys[j, 1:] != keys[j, :-1]]))
+        ones, both = (np.add.reduceat(x, start).astype(float) for x in (counts * bits[j].astype(np.int64), counts))
+        places[j] = at + np.repeat(np.arange(len(start)), np.diff(np.append(start, len(grams))))
+        parts.append((keys[j, start], both - ones, ones))
+        at += len(start)
+    flat, zeros, ones = (np.concatenate(x) for x in zip(*parts, strict=True))
+    order = np.argsort(flat, kind="stable")
+    back = np.empty(len(order), np.int64)
+    back[order] = np.arange(len(order))
+    return Level(flat[order], zeros[order], ones[order], None), back[places]
+
+
+def tree(grams: np.ndarray, counts: np.ndarray, deep: int, shallow: int) -> tuple[list[Level], np.ndarray]:
+    """Levels `deep` down to `shallow`, deepest first, of sorted distinct runs; the places of their decisions in the deepest."""
+    first, places = deepest(grams, counts)
+    out = [first]
     for d in range(deep - 1, shallow - 1, -1):
-        low = out[-1]
-        out.append(Level(*Level.merge(shorten(low.keys, d), low.zeros, low.ones, low.weighted)))
+        out.append(out[-1].shorter(d))
+    return out, places
+
+
+def prices(grams: np.ndarray, counts: np.ndarray, above: list[Level], depth: int) -> np.ndarray:
+    """log10 probabilities of the last byte of sorted distinct runs. above: the levels 0, 1, ... already descended, with all parents of
+    the runs that were counted. Runs that were not take, for each decision, what the deepest context seen gives, and half of what is left."""
+    out, live = np.empty(len(grams)), counts > 0
+    levels: list[Level] = []
+    if live.any():
+        levels, places = tree(grams[live], counts[live], depth, len(above))
+        at, _ = above[-1].find(shorten(levels[-1].keys, len(above) - 1))
+        levels[-1].descend(above[-1].zero[at], above[-1].one[at], above[-1].left[at])
+        for low, high in zip(levels[-2::-1], levels[:0:-1], strict=True):
+            low.descend(high.zero[low.up], high.one[low.up], high.left[low.up])
+        _, bits = decisions(grams[live])
+        out[live] = np.log10(np.where(bits == 1, levels[0].one[places], levels[0].zero[places])).sum(0)
+    new = np.flatnonzero(~live)
+    for start in range(0, len(new), 1 << 16):
+        part = new[start : start + (1 << 16)]
+        keys, bits = decisions(grams[part])
+        made, left = np.zeros(keys.shape), np.ones(keys.shape)
+        for d, level in enumerate([*above, *levels[::-1]]):
+            at, seen = level.find(shorten(keys, d))
+            if len(level.keys):
+                made = np.where(seen, np.where(bits == 1, level.one[at], level.zero[at]), made)
+                left = np.where(seen, level.left[at], left)
+        out[part] = np.log10(made + 0.5 * left).sum(0)
     return out
 
 
-def walk(levels: list[Level], first: int, grams: np.ndarray, left: np.ndarray, made: np.ndarray, last: bool) -> tuple[np.ndarray, np.ndarray]:
-    """From depth `first` on, levels shallow first: adds to `made` what each depth gives to each decision's bit and takes it
-    from `left`. Both have a row for each of a run's eight decisions. After the last level all that is left is given."""
-    keys, bits = decisions(grams)
-    for d, level in enumerate(levels, first):
-        at = shorten(keys, d)
-        place = np.searchsorted(level.keys, at)
-        place = np.minimum(place, max(0, len(level.keys) - 1))
-        seen = (level.keys[place] == at) if len(level.keys) else np.zeros(at.shape, bool)
-        n1, n0 = (level.ones[place], level.zeros[place]) if len(level.keys) else (0.0, 0.0)
-        p = np.where(seen, (np.where(bits == 1, n1, n0) + 0.5) / (n0 + n1 + 1.0), 0.5)
-        stop = np.where(seen, level.stop[place] if len(level.keys) else 1.0, 1.0)  # below an unseen context all is even
-        made = made + left * stop * p
-        left = left * (1.0 - stop)
-    return (np.zeros_like(left) if last else left), made
-
-
 class ContextTree:
-    """The same model in memory, for small corpora and as the reference of the tests."""
+    """The same model in memory, for small corpora."""
 
     def __init__(self, texts: list, depth: int = 5):
         self.depth = depth
         grams = np.concatenate([runs(stream(tokens(t)), depth) for t in texts]) if texts else np.empty(0, np.uint64)
-        u, n = np.unique(grams, return_counts=True)
-        self.levels = tree(u, n, depth, 0)[::-1]
+        self.grams, self.counts = np.unique(grams, return_counts=True)
+        self.root = Level(*(np.empty(0, t) for t in (np.uint64, float, float)), None)
+        if texts:
+            self.root = tree(self.grams, self.counts, depth, 0)[0][-1]
+        self.root.descend(0.0, 0.0, 1.0)
+
+    def of_runs(self, grams: np.ndarray) -> np.ndarray:
+        both = np.union1d(self.grams, grams)
+        counts = np.zeros(len(both), np.int64)
+        counts[np.searchsorted(both, self.grams)] = self.counts
+        return prices(both, counts, [self.root], self.depth)[np.searchsorted(both, grams)]
 
     def log10(self, text) -> float:
-        grams = runs(stream(tokens(text)), self.depth)
-        one = np.ones((8, len(grams)))
-        _, made = walk(self.levels, 0, grams, one, np.zeros_like(one), True)
-        return float(np.log10(made).sum())
+        return float(self.of_runs(runs(stream(tokens(text)), self.depth)).sum())
 
     def bits_per_byte(self, text) -> float:
         return -self.log10(text) / math.log10(2) / len(stream(tokens(text)))
 
 
+def columns_of(nodes: pd.DataFrame) -> tuple[np.ndarray, ...]:
+    """(keys, zeros, ones, stop) in order of the keys."""
+    nodes = nodes.sort_values("node")  # contexts of up to two bytes: no key is negative
+    return nodes["node"].to_numpy(np.int64).view(np.uint64), *(nodes[c].to_numpy(float) for c in ("zeros", "ones", "stop"))
+
+
 def score(documents: DataFrame, training, depth: int = 5, block_bytes: int = 24 << 20, part_bytes: int = 8 << 20) -> DataFrame:
     """Per row: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, code_length (bits a byte).
 
@@ -208,8 +268,8 @@ def score(documents: DataFrame, training, depth: int = 5, block_bytes: int = 24
     spark = documents.sparkSession
     scratch = Scratch(spark)
     size = documents.agg(F.sum(F.octet_length("text")).alias("n")).first()["n"] or 0
-    if depth > 6:
-        raise ValueError("runs and their byte must leave the top bit to words")
+    if not TOP <= depth <= 6:
+        raise ValueError("contexts of 3 to 6 bytes: runs and their byte must leave the top bit to words")
     blocks, parts = max(1, -(-size // block_bytes)), max(8, -(-size // part_bytes))
     own = documents.select(F.col("doc_id"), F.coalesce(training, F.lit(False)).alias("train"), F.coalesce("text", F.lit("")).cast("binary").alias("text"), text_key(F.col("text")).alias("k"))
     own = own.select(F.pmod(F.xxhash64("doc_id", "k"), F.lit(blocks)).cast("int").alias("block"), "doc_id", "train", "text")
@@ -279,45 +339,64 @@ def score(documents: DataFrame, training, depth: int = 5, block_bytes: int = 24
     facts = sums.where((F.col("kind") == 1) & (F.col("n") > 0)).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("N"), F.count("*").alias("V")).first()
     total, distinct = facts["N"], facts["V"]
 
-    # subtrees below a two-byte context are whole in a group; a group has at most 256**(depth - 1) runs
-    joint = min(2, depth)
-    low = sums.where("kind = 0").select("item", "n", F.shiftrightunsigned("item", 8).bitwiseAND(F.lit((1 << (8 * joint)) - 1)).alias("joint"))
+    # subtrees below a three-byte context are whole in a part; a two-byte context with many runs is spread by its third byte
+    pair, third = (F.shiftrightunsigned("item", 8).bitwiseAND(F.lit((1 << (8 * d)) - 1)) for d in (2, 3))
+    low = sums.where("kind = 0").select("item", "n", pair.alias("pair"), third.alias("third"))
+    sizes = scratch.store(low.groupBy("pair").agg(F.count("*").alias("size")), "sizes")  # at most 256**2 rows
+    grams_in = sizes.agg(F.sum("size")).first()[0] or 0
+    heavy = F.broadcast(sizes.where(F.col("size") > grams_in / parts).select("pair", F.lit(True).alias("heavy")))
+    home = F.pmod(F.when(F.col("heavy"), F.xxhash64("third", F.lit(1))).otherwise(F.xxhash64("pair")), F.lit(parts)).cast("int")
+    low = scratch.store(low.join(heavy, "pair", "left").select("item", "n", "pair", home.alias("home")), "low")
 
     def upper(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        live = rows[rows["n"] > 0]
-        top = tree(live["item"].to_numpy(np.int64).view(np.uint64), live["n"].to_numpy(), depth, joint)[-1]
-        return pd.DataFrame({"joint": key[0], "node": signed(top.keys), "zeros": top.zeros, "ones": top.ones, "weighted": top.weighted})
-
-    tops = scratch.store(low.groupBy("joint").applyInPandas(upper, "joint long, node long, zeros double, ones double, weighted double"), "tops")
-    # the levels above: at most 256**joint * 255 nodes, whatever the corpus
-    t = tops.toPandas()
-    keys, order = np.unique(t["node"].to_numpy(np.int64).view(np.uint64), return_index=True)
-    t = t.iloc[order]
-    edge = Level(keys, t["zeros"].to_numpy(), t["ones"].to_numpy(), None)
-    edge.weighted = t["weighted"].to_numpy()
-    head = _upward([edge], joint, 0)[1:][::-1] if joint else []
-    shared = spark.sparkContext.broadcast([(x.keys, x.zeros, x.ones, x.stop) for x in head])
-
-    def priced(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        head = []
-        for k, z, o, s in shared.value:
+        live = rows[rows["n"] > 0].sort_values("item")
+        if not len(live):
+            return pd.DataFrame({"node": [], "zeros": [], "ones": [], "children": []})
+        top = tree(live["item"].to_numpy(np.int64).view(np.uint64), live["n"].to_numpy(), depth, TOP)[0][-1]
+        return pd.DataFrame({"node": signed(top.keys), "zeros": top.zeros, "ones": top.ones, "children": top.weighted})
+
+    def folded(nodes: DataFrame, d: int) -> DataFrame:
+        """The level of depth d from that of d + 1."""
+        short = F.col("node").bitwiseAND(F.lit((1 << (8 * (d + 1))) - 1))
+
+        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for b in batches:
+                x = Level(b["node"].to_numpy(np.int64), b["zeros"].to_numpy(), b["ones"].to_numpy(), b["children"].to_numpy())
+                yield pd.DataFrame({"node": x.keys, "zeros": x.zeros, "ones": x.ones, "children": x.weighted, "stop": x.stop})
+
+        own = nodes.groupBy(short.alias("node")).agg(*[F.sum(c).alias(c) for c in ("zeros", "ones", "children")])
+        return scratch.store(own.mapInPandas(run, "node long, zeros double, ones double, children double, stop double"), f"level{d}")
+
+    nodes = scratch.store(low.groupBy("home").applyInPandas(upper, "node long, zeros double, ones double, children double"), "tops")
+    for d in range(TOP - 1, -1, -1):
+        nodes = folded(nodes, d)
+    held: list[tuple] = []
+    for d in range(TOP - 1):  # at most 255 and 256 * 255 nodes, whatever the corpus
+        held.append(columns_of(spark.read.parquet(scratch.path(f"level{d}")).select("node", "zeros", "ones", "stop").toPandas()))
+    shared = spark.sparkContext.broadcast(held)
+    asked = low.select("home", "pair").distinct()
+    second = spark.read.parquet(scratch.path(f"level{TOP - 1}")).select(F.shiftrightunsigned("node", 8).alias("pair"), "node", "zeros", "ones", "stop")
+    second = scratch.store(asked.join(second, "pair").drop("pair"), "second")
+
+    def priced(key: tuple, rows: pd.DataFrame, nodes: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values("item")
+        above: list[Level] = []
+        for level in [*shared.value, columns_of(nodes)]:
             x = Level.__new__(Level)
-            x.keys, x.zeros, x.ones, x.stop = k, z, o, s
-            head.append(x)
-        n = rows["n"].to_numpy()
+            x.keys, x.zeros, x.ones, x.stop = level
+            if above:
+                at, _ = above[-1].find(shorten(x.keys, len(above) - 1))
+                x.descend(*((above[-1].zero[at], above[-1].one[at], above[-1].left[at]) if len(x.keys) else (0.0, 0.0, 1.0)))
+            else:
+                x.descend(0.0, 0.0, 1.0)
+            above.append(x)
         grams = rows["item"].to_numpy(np.int64).view(np.uint64)
-        tail = tree(grams[n > 0], n[n > 0], depth, joint)[::-1]
-        out = np.empty(len(grams))
-        for at in range(0, len(grams), 1 << 16):
-            g = grams[at : at + (1 << 16)]
-            left, made = walk(head, 0, g, np.ones((8, len(g))), np.zeros((8, len(g))), False)
-            _, made = walk(tail, joint, g, left, made, True)
-            out[at : at + (1 << 16)] = np.log10(made).sum(0)
-        return pd.DataFrame({"part": part_of(grams, parts), "item": rows["item"], "x": out})
-
-    prices = low.groupBy("joint").applyInPandas(priced, "part int, item long, x double")
+        return pd.DataFrame({"part": part_of(grams, parts), "item": rows["item"], "x": prices(grams, rows["n"].to_numpy(), above, depth)})
+
+    known = low.groupBy("home").cogroup(second.groupBy("home")).applyInPandas(priced, "part int, item long, x double")
     words = sums.where("kind = 1").select("part", "item", F.col("n").cast("double").alias("x"))
-    prices = scratch.store(prices.unionByName(words), "prices")
+    known = scratch.store(known.unionByName(words), "prices")
+    scratch.drop("low", "tops", "sums", "second")
 
     def answered(key: tuple, asked: pd.DataFrame, known: pd.DataFrame) -> pd.DataFrame:
         item = known["item"].to_numpy(np.int64).view(np.uint64)
@@ -331,7 +410,7 @@ def score(documents: DataFrame, training, depth: int = 5, block_bytes: int = 24
             out.append((block, packed, got[:cut].astype("<f4").tobytes(), zlib.compress(got[cut:].astype("<f8").tobytes(), 1)))
         return pd.DataFrame(out, columns=["block", "items", "grams", "words"])
 
-    back = lists.select("part", "block", "items").groupBy("part").cogroup(prices.groupBy("part")).applyInPandas(answered, "block int, items binary, grams binary, words binary")
+    back = lists.select("part", "block", "items").groupBy("part").cogroup(known.groupBy("part")).applyInPandas(answered, "block int, items binary, grams binary, words binary")
     doc_type = documents.schema["doc_id"].dataType.simpleString()
 
     def scored(key: tuple, docs: pd.DataFrame, known: pd.DataFrame) -> pd.DataFrame:

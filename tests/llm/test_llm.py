@@ -200,15 +200,81 @@ def test_lm_matches_tree(spark, sf, odd, none):
     assert lm.score(none, F.lit(True)).count() == 0
 
 
+class PlainTree:
+    """Context-tree weighting from its definition: dictionaries, one decision at a time, no code of the operator."""
+
+    def __init__(self, streams, depth):
+        self.depth, self.counts, self.below = depth, {}, {}
+        for data in streams:
+            padded = b"\n" * depth + data
+            for i, byte in enumerate(data):
+                for j in range(8):
+                    prefix, bit = format(byte, "08b")[:j], byte >> (7 - j) & 1
+                    for d in range(depth + 1):
+                        context = padded[i + depth - d : i + depth]
+                        self.counts.setdefault((context, prefix), [0, 0])[bit] += 1
+                        if d:
+                            self.below.setdefault((context[1:], prefix), set()).add(context)
+        self.known = {}
+
+    def kt(self, node):
+        a, b = self.counts[node]
+        return math.lgamma(a + 0.5) + math.lgamma(b + 0.5) - math.lgamma(a + b + 1) - math.log(math.pi)
+
+    def weighted(self, node):
+        if node not in self.known:
+            own = self.kt(node)
+            if len(node[0]) < self.depth:
+                deeper = sum(self.weighted((c, node[1])) for c in self.below[node])
+                top = max(own, deeper)
+                own = top + math.log(0.5 * math.exp(own - top) + 0.5 * math.exp(deeper - top))
+            self.known[node] = own
+        return self.known[node]
+
+    def bit(self, context, prefix, bit, d=0):
+        """Probability of the next bit, mixed over this depth and all deeper ones."""
+        node = (context[len(context) - d :], prefix)
+        if node not in self.counts:
+            return 0.5
+        a, b = self.counts[node]
+        own = ((b if bit else a) + 0.5) / (a + b + 1)
+        if d == self.depth:
+            return own
+        stop = 0.5 * math.exp(self.kt(node) - self.weighted(node))
+        return stop * own + (1 - stop) * self.bit(context, prefix, bit, d + 1)
+
+    def log10(self, data):
+        padded, out = b"\n" * self.depth + data, 0.0
+        for i, byte in enumerate(data):
+            for j in range(8):
+                out += math.log10(self.bit(padded[i : i + self.depth], format(byte, "08b")[:j], byte >> (7 - j) & 1))
+        return out
+
+
+def test_lm_brute_force(spark):
+    """The distributed model, the one in memory, and one built from the definition agree, on training texts and on others."""
+    from pyspark.sql import functions as F
+
+    texts = ["abra cadabra abra", "Abracadabra  the abracus", "a", "", None, "the cat sat on the mat; the rat sat", "zebra \u00e9t\u00e9 crab", "the brat"]
+    stream = lambda t: (" ".join([*(t or "").lower().split(), ""]).rstrip(" ") + " \n").lstrip(" ").encode() if (t or "").split() else b"\n"
+    assert all(lm.stream(lm.tokens(t)) == stream(t) for t in texts)
+    plain = PlainTree([stream(t) for t in texts[:6]], 4)
+    flat = lm.ContextTree(texts[:6], 4)
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r for r in lm.score(docs, F.col("doc_id") < 6, depth=4, block_bytes=40, part_bytes=10).collect()}
+    for i, t in enumerate(texts):
+        want = plain.log10(stream(t))
+        assert flat.log10(t) == pytest.approx(want, rel=1e-9)
+        assert got[i]["score"] == pytest.approx(want, rel=1e-6) and got[i]["held_out"] == (i >= 6)
+        assert got[i]["code_length"] == pytest.approx(-want / math.log10(2) / len(stream(t)), rel=1e-6)
+
+
 def test_lm_is_a_distribution():
-    """Probabilities of all bytes after a context sum to one."""
+    """Probabilities of all bytes after a context sum to one, whether it was seen or not."""
     model = lm.ContextTree(["abra cadabra", "abracadabra abra"], 3)
-    total = 0.0
-    for b in range(256):
-        g = np.array([int.from_bytes(b"bra" + bytes([b]), "big")], np.uint64)
-        _, made = lm.walk(model.levels, 0, g, np.ones((8, 1)), np.zeros((8, 1)), True)
-        total += float(np.prod(made))
-    assert total == pytest.approx(1.0, abs=1e-9)
+    for context in (b"bra", b"xyz", b"zra"):
+        grams = np.array([int.from_bytes(context + bytes([b]), "big") for b in range(256)], np.uint64)
+        assert float((10 ** model.of_runs(grams)).sum()) == pytest.approx(1.0, abs=1e-9)
 
 
 def test_ctw_against_sequential_updates():
