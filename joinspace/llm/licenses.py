@@ -8,20 +8,21 @@ Cauchy-Schwarz a passage without any anchor cannot reach the threshold; the term
 a licence of its own takes that of the licence file in the nearest ancestor directory, found by joining its directory's
 prefixes to the directories that have one.
 
-Defined cases: a null text has no licence; a null path has no directory and inherits nothing; equal scores go to the
+Defined cases: a null text has no licence; very long texts are cut and scored whole; extra columns are ignored, whatever their names; a null path has no directory and inherits nothing; equal scores go to the
 template first by name; several licence files in one directory: the highest score, then the smallest path; rows that
 repeat a path and text get the same result each; empty tables give empty results.
 """
 
 from __future__ import annotations
 
+import json
 import math
 import re
 from collections import Counter
 from functools import reduce
 from operator import and_, or_
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import licence_forms
@@ -49,6 +50,14 @@ COMMENT = r"^\s*(#|//|/\*|\*|--|;|%|<!--|dnl\b|rem\b)|^[^a-z0-9]*$"
 BLOCK = r"^(?:(?:#!|<\?)[^\n]*\n)?\s*(?:/\*[\s\S]*?\*/|<!--[\s\S]*?-->|\"\"\"[\s\S]*?\"\"\"|'''[\s\S]*?'''|\(\*[\s\S]*?\*\))"
 
 
+def literal_rows(spark: SparkSession, rows: list[tuple], *names: str) -> DataFrame:
+    """A small table out of one JSON literal: no Python task makes it."""
+    kinds = {int: "int", float: "double", str: "string"}
+    schema = ", ".join(f"{n} {kinds[type(v)]}" for n, v in zip(names, rows[0], strict=True))
+    text = json.dumps([dict(zip(names, r, strict=True)) for r in rows])
+    return spark.range(1).select(F.inline(F.from_json(F.lit(text), f"array<struct<{schema.replace(' ', ':')}>>".replace(",:", ","))))
+
+
 def idf(templates: dict[str, str]) -> tuple[dict[str, float], float]:
     """Smoothed inverse document frequencies over the templates, and that of any other term."""
     df = Counter(t for text in templates.values() for t in set(re.findall(TERM, text.lower())))
@@ -97,7 +106,7 @@ def own_licences(files: DataFrame, templates: dict[str, str] = TEMPLATES, thresh
     """(path, text_key, licence, score) of files with a passage at or over the threshold; forms: those of `licence_forms` by default."""
     spark = files.sparkSession
     known, other = idf(templates)
-    weights = F.broadcast(spark.createDataFrame(template_weights(templates), "licence string, term string, w double"))  # fixed size
+    weights = F.broadcast(literal_rows(spark, template_weights(templates), "licence", "term", "w"))  # fixed size
     passages = files.select("path", text_key(F.col("text")).alias("text_key"), F.posexplode(F.split(F.regexp_replace(F.lower("text"), CUT, "$1\n"), "\n")).alias("no", "passage"))
     passages = passages.where(F.col("passage").rlike(r"\b(" + "|".join(anchors(templates, threshold)) + r")\b"))
     passages = passages.withColumn("terms", F.regexp_extract_all("passage", F.lit(TERM), F.lit(0)))
@@ -105,7 +114,7 @@ def own_licences(files: DataFrame, templates: dict[str, str] = TEMPLATES, thresh
     # rows that repeat a path and text count once
     terms = passages.groupBy("path", "text_key", "no").agg(F.first("terms").alias("terms")).select("path", "text_key", "no", F.explode("terms").alias("term"))
     counts = terms.groupBy("path", "text_key", "no", "term").agg(F.count("*").alias("n"))
-    table = F.broadcast(spark.createDataFrame([(t, v) for t, v in known.items()], "term string, idf double"))
+    table = F.broadcast(literal_rows(spark, list(known.items()), "term", "idf"))
     weighed = counts.join(table, "term", "left").withColumn("x", F.col("n") * F.coalesce("idf", F.lit(other)))
     per = weighed.groupBy("path", "text_key", "no").agg(F.sqrt(F.sum(F.col("x") * F.col("x"))).alias("size"), F.collect_list(F.struct("term", "x")).alias("terms"))
     dots = per.select("path", "text_key", "no", "size", F.explode("terms").alias("t")).select("path", "text_key", "no", "size", "t.*").join(weights, "term").groupBy("path", "text_key", "no", "size", "licence").agg(F.sum(F.col("x") * F.col("w")).alias("dot"))
@@ -143,15 +152,20 @@ def with_forms(files: DataFrame, forms: list[tuple[str, list[str], str]], thresh
     """(path, text_key, licence, score) of each file's passages and forms at or over the threshold."""
     spark = files.sparkSession
     rows, known, other = form_weights(forms)
-    weights = F.broadcast(spark.createDataFrame(rows, "form int, term string, w double, is_key int"))  # fixed size
-    names = F.broadcast(spark.createDataFrame([(i, name, len(set(key))) for i, (name, key, _) in enumerate(forms)], "form int, licence string, n_key int"))
-    table = F.broadcast(spark.createDataFrame(list(known.items()), "term string, idf double"))
+    weights = F.broadcast(literal_rows(spark, rows, "form", "term", "w", "is_key"))  # fixed size
+    names = F.broadcast(literal_rows(spark, [(i, name, len(set(key))) for i, (name, key, _) in enumerate(forms)], "form", "licence", "n_key"))
+    table = F.broadcast(literal_rows(spark, list(known.items()), "term", "idf"))
     rarest = r"\b(" + "|".join(sorted({key[0] for _, key, _ in forms})) + r")\b"
-    low = files.select("path", text_key(F.col("text")).alias("text_key"), F.regexp_replace(F.lower("text"), "licence", "license").alias("low")).where(F.col("low").rlike(rarest))
+    keys = sorted({tuple(key) for _, key, _ in forms})
+    low = files.select("path", text_key(F.col("text")).alias("text_key"), F.replace(F.lower("text"), F.lit("licence"), F.lit("license")).alias("low")).where(F.col("low").rlike(rarest))
+    # all key words of some form must stand in the text, and in the passage, if only as parts of words: a cheap test before any terms are cut
+    rare = lambda text: F.array_distinct(F.regexp_extract_all(text, F.lit(rarest), F.lit(0)))
+    spells = lambda text, found: reduce(or_, (reduce(and_, (F.array_contains(found, key[0]), *(F.contains(text, F.lit(t)) for t in key[1:]))) for key in keys))
+    low = low.withColumn("found", rare(F.col("low"))).where(spells(F.col("low"), F.col("found")))
     passages = low.select("path", "text_key", F.posexplode(form_passages(F.col("low"))).alias("no", "passage")).where(F.col("passage").rlike(rarest))
+    passages = passages.withColumn("found", rare(F.col("passage"))).where(spells(F.col("passage"), F.col("found")))
     passages = passages.select("path", "text_key", "no", F.array_distinct(F.regexp_extract_all("passage", F.lit(TERM), F.lit(0))).alias("terms"))
-    sets = sorted({tuple(key) for _, key, _ in forms})
-    has = lambda terms: reduce(or_, (reduce(and_, (F.array_contains(terms, t) for t in key)) for key in sets))
+    has = lambda terms: reduce(or_, (reduce(and_, (F.array_contains(terms, t) for t in key)) for key in keys))
     passages = passages.where(F.exists(F.array("terms"), has))
     # No term weighs more than an unknown one, so by Cauchy-Schwarz too many unknown ones for those known keep every score below the threshold.
     strange = F.size(F.array_except("terms", F.array(*[F.lit(t) for t in sorted(known)])))

@@ -111,14 +111,20 @@ def test_license_scan(spark):
         (None, "Released under the MIT License."),
     ]
     files = spark.createDataFrame([Row(path=p, text=t, licence="clash") for p, t in rows])
-    got = {r["path"]: (r["own_licence"], r["licence"], r["licence_from"], r["inherited"]) for r in licenses.scan(files.select("path", "text")).collect()}
+    got = {r["path"]: (r["own_licence"], r["licence"], r["licence_from"], r["inherited"]) for r in licenses.scan(files).collect()}
     assert got["r/LICENSE"][:2] == ("MIT", "MIT")
     assert got["r/a/x.py"] == (None, "MIT", "r/LICENSE", True)
     assert got["r/a/y.py"][:2] == ("Apache-2.0", "Apache-2.0")
     assert got["r/b/c/z.py"] == (None, "GPL-3.0", "r/b/LICENSE.txt", True)
     assert got["s/q.py"] == (None, None, None, False)
     assert got[None][:2] == ("MIT", "MIT")
-    assert licenses.scan(files.select("path", "text").limit(0)).count() == 0
+    assert licenses.scan(files.limit(0)).count() == 0
+    again = files.unionByName(files).withColumn("score", files["text"]).withColumn("term", files["path"])
+    both = [tuple(r) for r in licenses.scan(again).collect()]
+    assert sorted(map(str, both)) == sorted(map(str, [tuple(r) for r in licenses.scan(files).collect()] * 2))
+    long = spark.createDataFrame([Row(path="x/LICENSE", text=("word " * 20 + "\n") * 5000 + "Released under the MIT License."), Row(path="x/COPYING", text="Released under the MIT License."), Row(path="x/a", text="")])
+    tie = {r["path"]: (r["licence"], r["licence_from"]) for r in licenses.scan(long).collect()}
+    assert tie == {"x/LICENSE": ("MIT", "x/LICENSE"), "x/COPYING": ("MIT", "x/COPYING"), "x/a": ("MIT", "x/COPYING")}
 
 
 def test_license_scan_brute_force(spark, sf):
