@@ -8,7 +8,7 @@ A batch of boxes goes through together: box_id is one more key. The boxes are br
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import hypergraph
@@ -42,6 +42,7 @@ class JoinSpace:
         self.scale = scale or {}
         self.owned = owned or {r.name: ([c for c in r.coords if c in coords], [c for c in r.cats if c in cats]) for r in spec.relations}
         self.passes = 0
+        self.spans: dict[int, tuple[np.ndarray, np.ndarray]] = {}  # of the batch at work: the box around all its boxes
 
     @staticmethod
     def bind(spark: SparkSession, sf_dir: str, spec: JoinSpec, coords: list[str] | None = None, cats: list[str] | None = None, scale: dict[str, float] | None = None) -> JoinSpace:
@@ -60,9 +61,13 @@ class JoinSpace:
         return JoinSpace(self.spec, frames, self.coords, self.cats, self.tree, self.scale, self.owned)
 
     def cached(self) -> JoinSpace:
-        """Pre-aggregated relations stay in executors' memory or disk; every batch scans them again."""
+        """Pre-aggregated relations stay in executors' memory or disk; every batch scans them again. `release` frees them."""
         return self.with_frames({n: f.persist() for n, f in self.frames.items()})
 
+    def release(self) -> None:
+        for f in self.frames.values():
+            f.unpersist()
+
     def group(self, attribute: str, value) -> JoinSpace:
         """The part where a categorical attribute has a value: a filter on its one relation."""
         name = next(n for n, (_, cats) in self.owned.items() if attribute in cats)
@@ -118,6 +123,8 @@ class JoinSpace:
         test = F.lit(True)
         for c in mine:
             test = test & (F.col(c) >= F.col("lo")[at[c]]) & (F.col(c) < F.col("hi")[at[c]])
+            if (ends := self.spans.get(id(boxes))) is not None:  # what no box of the batch can hold goes before the join
+                f = f.where((F.col(c) >= F.lit(float(ends[0][at[c]]))) & (F.col(c) < F.lit(float(ends[1][at[c]]))))
         return f.join(F.broadcast(boxes), test).drop("lo", "hi")
 
     def upward(self, boxes: DataFrame | None, extra: dict[str, dict[str, Column]] | None = None, rep: bool = False, pairs: dict | None = None) -> DataFrame:
@@ -172,7 +179,10 @@ class JoinSpace:
         if len(boxes) > MAX_BOXES:
             raise ValueError("split the batch")
         rows = [(i, [float(v) for v in b.lo], [float(v) for v in b.hi]) for i, b in enumerate(boxes)]
-        return self.spark.createDataFrame(rows, "box_id int, lo array<double>, hi array<double>")
+        out = self.spark.createDataFrame(rows, "box_id int, lo array<double>, hi array<double>")
+        if boxes:
+            self.spans = {id(out): (np.min([b.lo for b in boxes], axis=0), np.max([b.hi for b in boxes], axis=0))}
+        return out
 
     def _batches(self, boxes: list[Box]):
         for at in range(0, len(boxes), MAX_BOXES):
@@ -286,13 +296,13 @@ class JoinSpace:
             sent[name] = f.groupBy("box_id", *[key(a) for a in tree.shared[name]]).agg(F.sum("w").cast(COUNT).alias("cnt"))
         return out
 
-    def sample(self, boxes: list[Box], draws: list[int], seed: int = 42, buckets: int = 32) -> list[np.ndarray]:
-        """draws[i] uniform tuples with replacement from box i.
+    def sample(self, boxes: list[Box], draws: list[int], seed: int = 42, bucket_rows: int = 65_536) -> list[np.ndarray]:
+        """draws[i] uniform tuples with replacement from box i, in time of the relations and the draws, not of their product.
 
-        The root's draws are split over hash buckets by a multinomial on the driver, then by exponential races. Going down,
-        every draw chooses a row of its key by a race weighted with the row's subtree: first among buckets of the key,
-        then in the bucket, so a key with very many rows is never scanned whole for a draw. Random numbers are hashes
-        of seed, draw and row: reruns agree.
+        Rows are dealt to hash buckets of about `bucket_rows`. The root's draws are split over its buckets by a multinomial on the
+        driver. Inside a bucket rows lie on [0, 1) one after the other, each as long as its share of the weight, a draw is a point, and one
+        sorted merge gives every draw its row. Going down, a draw first picks a bucket of its key and then a row in the bucket,
+        in the same way; rows of keys that no draw has are left out before sorting. Points are hashes of seed and draw: reruns agree.
         """
         out = [np.empty((0, len(self.coords))) for _ in boxes]
         if not boxes or not sum(draws):
@@ -302,10 +312,12 @@ class JoinSpace:
         for at, frame in self._batches(boxes):
             some = [int(z) for z in draws[at : at + MAX_BOXES]]
             rows = self._weighted(frame)
-            ident = {n: F.xxhash64(*[c for c in f.columns if c not in ("w", "box_id")]) for n, f in rows.items()}
-            rows = {n: f.withColumn("row_id", ident[n]).withColumn("bucket", F.pmod(F.col("row_id"), F.lit(buckets)).cast("int")) for n, f in rows.items()}
+            for n, f in rows.items():
+                buckets = max(1, -(-self.frames[n].count() // bucket_rows))
+                f = f.withColumn("row_id", F.xxhash64(*[c for c in f.columns if c not in ("w", "box_id")]))
+                rows[n] = f.withColumn("bucket", F.pmod(F.xxhash64("row_id"), F.lit(buckets)).cast("int"))
             root = rows[tree.root]
-            totals = root.groupBy("box_id", "bucket").agg(F.sum("w").cast("double").alias("t")).orderBy("box_id", "bucket").toPandas()  # boxes * buckets rows
+            totals = root.groupBy("box_id", "bucket").agg(F.sum("w").cast("double").alias("t")).orderBy("box_id", "bucket").toPandas()  # a row a box and bucket
             asked = []
             for box, part in totals.groupby("box_id"):
                 p = part["t"].to_numpy(float)
@@ -315,14 +327,14 @@ class JoinSpace:
                 continue
             wanted = self.spark.createDataFrame(asked, "box_id int, bucket int, n int")
             first = wanted.select("box_id", "bucket", F.explode(F.sequence(F.lit(1), F.col("n"))).alias("j"))
-            first = first.select("box_id", "bucket", F.xxhash64("box_id", "bucket", "j", F.lit(seed)).alias("draw"), F.struct("box_id", "bucket", "j").alias("no"))
-            picked = self._race(first, root, ["box_id", "bucket"], tree.root, seed)
+            first = first.select("box_id", "bucket", F.xxhash64("box_id", "bucket", "j", F.lit(seed)).alias("draw"))
+            picked = self._pick(first, root, ["box_id", "bucket"], tree.root, seed)
             for name in list(reversed(tree.upward()))[1:]:
                 on = ["box_id"] + [key(a) for a in tree.shared[name]]
                 f = rows[name]
-                sums = f.groupBy(*on, "bucket").agg(F.sum("w").cast(COUNT).alias("w")).withColumn("row_id", F.xxhash64("bucket"))
-                picked = self._race(picked, sums, on, f"{name}/bucket", seed, keep=["bucket"])
-                picked = self._race(picked, f, [*on, "bucket"], name, seed)
+                sums = f.groupBy(*on, "bucket").agg(F.sum("w").cast(COUNT).alias("w")).withColumn("row_id", F.col("bucket").cast("long"))
+                picked = self._pick(picked, sums, on, f"{name}/bucket", seed)
+                picked = self._pick(picked, f, [*on, "bucket"], name, seed)
             got = picked.select("box_id", *self.coords).toPandas()
             ids, points = got["box_id"].to_numpy(int), got[self.coords].to_numpy(float)
             for i in range(len(some)):
@@ -330,15 +342,25 @@ class JoinSpace:
         return out
 
     @staticmethod
-    def _race(draws: DataFrame, rows: DataFrame, on: list[str], name: str, seed: int, keep: list[str] | None = None) -> DataFrame:
-        """Each draw keeps the row with the least exponential arrival at a rate of its weight."""
-        new = keep or [c for c in rows.columns if c not in on and c not in ("w", "row_id", "bucket") and c not in draws.columns]
-        u = (F.pmod(F.xxhash64("draw", "row_id", F.lit(name), F.lit(seed)), F.lit(2**52)).cast("double") + 0.5) / F.lit(float(2**52))
-        race = draws.drop(*[c for c in ("bucket",) if c not in on]).join(rows, on)
-        race = race.withColumn("arrival", -F.log(u) / F.col("w").cast("double"))
-        old = [c for c in draws.columns if c not in ("no", "bucket")]
-        best = race.groupBy("no").agg(F.min_by(F.struct(*dict.fromkeys([*old, *new])), "arrival").alias("x"))
-        return best.select("no", "x.*")
+    def _pick(draws: DataFrame, rows: DataFrame, on: list[str], name: str, seed: int) -> DataFrame:
+        """Each draw with one row of its group `on`, by weight: a merge of the rows' prefix shares with the draws' points."""
+        old = [c for c in draws.columns if c not in on]
+        old = [c for c in old if c != "bucket"]
+        new = [c for c in rows.columns if c not in on and c not in ("w", "row_id") and c not in old]
+        rows = rows.join(F.broadcast(draws.select(*on).distinct()), on, "left_semi")  # at most a row a draw, and draws are few
+        group = Window.partitionBy(*on)
+        before = F.coalesce(F.sum("w").over(group.orderBy("row_id").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0).cast(COUNT))
+        rows = rows.withColumn("pos", before.cast("double") / F.sum("w").over(group).cast("double"))
+        u = (F.pmod(F.xxhash64("draw", F.lit(name), F.lit(seed)), F.lit(2**52)).cast("double") + 0.5) / F.lit(float(2**52))
+        payload, kept = F.struct(*new, F.lit(1).alias("_")), F.struct(*old)
+        rows = rows.select(*on, "pos", F.lit(0).alias("kind"), payload.alias("row"))
+        asked = draws.select(*on, u.alias("pos"), F.lit(1).alias("kind"), kept.alias("asked"))
+        merged = rows.unionByName(asked, allowMissingColumns=True)
+        along = group.orderBy("pos", "kind").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+        found = merged.withColumn("row", F.last("row", ignorenulls=True).over(along)).where("kind = 1")
+        out = found.select(*on, *[F.col(f"asked.{c}").alias(c) for c in old], *[F.col(f"row.{c}").alias(c) for c in new])
+        # as many rows as draws, which end on the driver anyway; going on from there, no step is computed twice
+        return out.sparkSession.createDataFrame(out.toArrow())
 
     def sample_regions(self, regions: list[Region], draws: list[int], seed: int = 42) -> list[np.ndarray]:
         """Per region a multinomial over its slabs' counts, then draws in the slabs: every tuple is equally likely."""
@@ -361,20 +383,75 @@ class JoinSpace:
 
     # sums over the whole space
 
+    def totals(self) -> dict[str, DataFrame]:
+        """Per relation its rows that take part, with `total`: the number of join tuples each is in.
+
+        One pass up multiplies the children's messages into each row; one pass down sends every child, by its keys, the weight of everything
+        outside its subtree. Each relation meets its neighbours' messages once, so the work is that of the relations, for all attributes together.
+        """
+        tree = self._need_tree()
+        self.passes += 2
+        rows: dict[str, DataFrame] = {}
+        sent: dict[str, DataFrame] = {}
+        for name in tree.upward():
+            f, inside = self.frames[name], F.col("w")
+            for child in tree.children(name):
+                m = sent[child].withColumnRenamed("cnt", f"cnt_{child}")
+                on = [key(a) for a in tree.shared[child]]
+                f = f.join(m, on) if on else f.crossJoin(m)  # without keys a message is one row
+                inside = (inside * F.col(f"cnt_{child}")).cast(COUNT)
+            rows[name] = f
+            sent[name] = f.groupBy(*[key(a) for a in tree.shared[name]]).agg(F.sum(inside).cast(COUNT).alias("cnt"))
+        rows[tree.root] = rows[tree.root].withColumn("outside", F.lit(1).cast(COUNT))
+        for name in reversed(tree.upward()):
+            children = tree.children(name)
+            for child in children:
+                others = (F.col("w") * F.col("outside")).cast(COUNT)
+                for c in children:
+                    if c != child:
+                        others = (others * F.col(f"cnt_{c}")).cast(COUNT)
+                on = [key(a) for a in tree.shared[child]]
+                m = rows[name].groupBy(*on).agg(F.sum(others).cast(COUNT).alias("outside"))
+                rows[child] = rows[child].join(m, on) if on else rows[child].crossJoin(m)
+        out = {}
+        for name, f in rows.items():
+            total = (F.col("w") * F.col("outside")).cast(COUNT)
+            for c in tree.children(name):
+                total = (total * F.col(f"cnt_{c}")).cast(COUNT)
+            out[name] = f.withColumn("total", total)
+        return out
+
     def value_weights(self, names: list[str] | None = None) -> DataFrame:
-        """(attr, value, w): number of join tuples with that value, for each attribute. The attribute rides in the messages."""
-        out = None
-        for a in names or [*self.coords, *self.cats]:
-            owner = next(n for n, (x, c) in self.owned.items() if a in x or a in c)
-            one = self.upward(None, extra={owner: {"v_value": F.col(a)}}).select(F.lit(a).alias("attr"), F.col("v_value").cast("string").alias("value"), F.col("cnt").alias("w"))
-            out = one if out is None else out.unionByName(one)
+        """(attr, value, w): number of join tuples with that value, for each attribute."""
+        out, rows = None, self.totals()
+        for n, (mine, cats) in self.owned.items():
+            own = [a for a in [*mine, *cats] if a in (names or [*self.coords, *self.cats])]
+            if own:
+                each = F.explode(F.array(*[F.struct(F.lit(a).alias("attr"), F.col(a).cast("string").alias("value")) for a in own])).alias("x")
+                one = rows[n].select(each, "total").groupBy("x.attr", "x.value").agg(F.sum("total").cast(COUNT).alias("w"))
+                out = one if out is None else out.unionByName(one)
         return out
 
     def moments(self, names: list[str] | None = None) -> DataFrame:
-        """(attr, n, mean, variance, least, greatest) over the join space."""
-        w = self.value_weights(names or self.coords).withColumn("x", F.col("value").cast("double")).withColumn("w", F.col("w").cast("double"))
-        mean = F.sum(F.col("w") * F.col("x")) / F.sum("w")
-        return w.groupBy("attr").agg(F.sum("w").alias("n"), mean.alias("mean"), (F.sum(F.col("w") * F.col("x") * F.col("x")) / F.sum("w") - mean * mean).alias("variance"), F.min("x").alias("least"), F.max("x").alias("greatest"))
+        """(attr, n, mean, variance, least, greatest) over the join space: one aggregation a relation."""
+        out, rows = None, self.totals()
+        for n, (mine, _) in self.owned.items():
+            own = [a for a in mine if a in (names or self.coords)]
+            if own:
+                w = F.col("total").cast("double")
+                ends = [F.first(F.col(a)).alias(f"at_{a}") for a in own]  # any value near the data: sums about it do not cancel
+                at = self.frames[n].agg(*ends).first()
+                sums = [F.sum(w).alias("n")]
+                for a in own:
+                    x = F.col(a) - F.lit(float(at[f"at_{a}"] or 0.0))
+                    sums += [F.sum(w * x).alias(f"s1_{a}"), F.sum(w * x * x).alias(f"s2_{a}"), F.min(a).alias(f"lo_{a}"), F.max(a).alias(f"hi_{a}")]
+                one = rows[n].agg(*sums)
+                shift = lambda a, at=at: F.lit(float(at[f"at_{a}"] or 0.0))
+                mean = lambda a: F.col(f"s1_{a}") / F.col("n")
+                each = [F.struct(F.lit(a).alias("attr"), F.col("n"), (shift(a) + mean(a)).alias("mean"), (F.col(f"s2_{a}") / F.col("n") - mean(a) * mean(a)).alias("variance"), F.col(f"lo_{a}").alias("least"), F.col(f"hi_{a}").alias("greatest")) for a in own]
+                one = one.select(F.inline(F.array(*each)))
+                out = one if out is None else out.unionByName(one)
+        return out
 
     def root_box(self) -> Box:
         """From the base tables alone."""
@@ -429,11 +506,11 @@ class JoinSpace:
                 f = f.join(sent[child].withColumnRenamed("best", "b2"), [key(a) for a in tree.shared[child]] + ["q"])
                 both = F.flatten(F.transform("best", lambda a: F.transform("b2", lambda b: F.struct((a["d"] + b["d"]).alias("d"), F.concat(a["x"], b["x"]).alias("x")))))
                 f = f.withColumn("best", F.slice(F.array_sort(both), 1, j)).drop("b2")
-            # the rows of a key are cut to j in two steps, so that a common key never meets in one place
-            slim = f.select("q", *[key(a) for a in tree.shared[name]], F.explode("best").alias("t"), F.pmod(F.xxhash64(*[c for c in f.columns if c not in ("best", "p")]), F.lit(64)).alias("salt"))
+            # only j rows of a key are kept, by a rank that Spark limits before the shuffle too; no list is longer than j
             by = ["q", *[key(a) for a in tree.shared[name]]]
-            part = slim.groupBy(*by, "salt").agg(F.slice(F.array_sort(F.collect_list("t")), 1, j).alias("best"))
-            sent[name] = part.groupBy(*by).agg(F.slice(F.array_sort(F.flatten(F.collect_list("best"))), 1, j).alias("best"))
+            slim = f.select(*by, F.explode("best").alias("t"))
+            ranked = slim.withColumn("rank", F.row_number().over(Window.partitionBy(*by).orderBy("t"))).where(F.col("rank") <= j)
+            sent[name] = ranked.groupBy(*by).agg(F.array_sort(F.collect_list("t")).alias("best"))
         order = self.rep_order()
         out: list = [(np.empty((0, len(self.coords))), np.empty(0))] * len(rows)
         for r in sent[tree.root].collect():

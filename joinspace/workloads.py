@@ -163,8 +163,8 @@ for _w in ("w3", "w6", "w9", "w11", "w2"):
     _spec = WORKLOADS[_w]
     add(
         f"moments_{_w}",
-        " UNION ALL ".join(f"SELECT '{c}' AS attr, CAST(count(*) AS DOUBLE) AS n, round(avg({c}), 3) AS mean, min({c}) AS least, max({c}) AS greatest, TRUE AS spread FROM {join_sql(_spec)}" for c in _spec.coords),
-        lambda spark, sf, w=_w: bind(spark, sf, w).moments().select("attr", "n", F.round("mean", 3).alias("mean"), "least", "greatest", (F.col("variance") > 0).alias("spread")),
+        " UNION ALL ".join(f"SELECT '{c}' AS attr, CAST(count(*) AS DOUBLE) AS n, round(avg({c}), 3) AS mean, round(stddev_pop({c}), 3) AS spread, min({c}) AS least, max({c}) AS greatest FROM {join_sql(_spec)}" for c in _spec.coords),
+        lambda spark, sf, w=_w: bind(spark, sf, w).moments().select("attr", "n", F.round("mean", 3).alias("mean"), F.round(F.sqrt("variance"), 3).alias("spread"), "least", "greatest"),
     )
     add(
         f"root_box_{_w}",
