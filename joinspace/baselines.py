@@ -209,7 +209,7 @@ def random_centres(space: JoinSpace, k: int, seed: int = 42) -> Solution:
 
 def mixed_grid(space: JoinSpace, k: int, mismatch: float = 1.0, seed: int = 42) -> Solution:
     """Per-attribute grid over numeric and categorical attributes with exact weights."""
-    cats = {a: mixed._typed(space, a, mixed.categorical_centers(w, k)[0]) for a, w in mixed.category_weights(space).items()}
+    cats = {a: mixed._typed(space, a, mixed.categorical_centers(w, k)[0]) for a, w in mixed.category_weights(space, k).items()}
     classes: dict = {}
     names: list[tuple[str, str, list]] = []
     for n, (mine, tags) in space.owned.items():

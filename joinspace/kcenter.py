@@ -49,15 +49,17 @@ def search(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, ho
     d = len(tree.root.region.outer.lo)
     if not tree.n:
         return Solution(np.empty((0, d)), 0.0)
-    how = "pairs" if how == "auto" and tree.n <= tree.leaf_cap else "geometric" if how == "auto" else how
-    got = cover(tree, k, 0.0) if how == "pairs" or sample_bound(tree, k) == 0 else None
+    bound = sample_bound(tree, k)
+    got = cover(tree, k, 0.0) if bound == 0 else None
     if got is not None:
         return Solution(got, 0.0, {"how": how, "radii": 1, **_facts(tree)})
     tried = 1
-    pool = radius.pool(space) if how == "pairs" else None
+    pool = radius.pool(space) if how in ("auto", "pairs") else None
+    how = "pairs" if pool is not None and pool.total else "geometric"
     best, r_best = None, None
-    if pool is not None and pool.total:
-        lo, hi = 0, pool.total
+    if how == "pairs":
+        # the right rank's difference is at least bound / sqrt(d): below half the optimum no cover succeeds
+        lo, hi = pool.rank_below(bound / 2 / math.sqrt(d)), pool.total
         at: dict[int, float] = {}
         while lo < hi:
             mid = (lo + hi) // 2
@@ -101,12 +103,12 @@ def refine(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, ho
     """A ladder of step (1 + eps / 5) below the first estimate, searched by bisection: factor 2 + eps."""
     tree = tree or lazy_tree(space, eps=eps / 5, **options)
     first = search(space, k, eps, tree, how)
-    if first.estimate == 0 or first.trace["how"] == "geometric":  # its radius is within 1 + eps of the optimum already
+    if first.estimate == 0:
         return first
     d = len(tree.root.region.outer.lo)
     step = 1 + eps / 5
     high = first.estimate / 2
-    low = first.estimate / (2 * math.sqrt(d) + eps) / 2
+    low = max(first.estimate / (2 * math.sqrt(d) + eps) / 2, sample_bound(tree, k) / 2)
     lo, hi = 0, math.ceil(math.log(high / low) / math.log(step))
     best, r_best, tried = first.centres, first.trace["radius"], 0
     while lo < hi:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import numpy as np
@@ -14,15 +15,22 @@ from .tree import SpatialTree, lazy_tree
 
 @dataclass(frozen=True)
 class Constants:
-    sample: float
-    stop: float
-    divide: float
+    """How many tuples a round draws, how many may be left to stop, and what share of a level makes it heavy (1 / (divide log n))."""
+
     name: str
+    draw: Callable[[int, float], float]
+    stop: Callable[[int, float], float]
+    divide: float = 10
 
 
-#: The analysed constants, and small ones for real inputs.
-LITERAL = Constants(240, 480, 10, "literal")
-PRACTICAL = Constants(0.5, 1, 10, "practical")
+#: The analysed constants. With log n the binary logarithm of the join size.
+LITERAL = Constants("literal", lambda k, log_n: 240 * k * log_n**2, lambda k, log_n: 480 * k * log_n**2)
+#: A round needs one draw from each of k balls that hold 1 / (20 k log n) of what is active: so many draws miss one with probability
+#: at most `MISS`. Half of the draws' number of tuples may be left for each.
+MISS = 0.05
+PRACTICAL = Constants("practical", lambda k, log_n: 20 * k * log_n * math.log(k / MISS), lambda k, log_n: 40 * k * log_n * math.log(k / MISS))
+#: About 180 times fewer draws. No factor follows from the argument; for joins of billions of tuples on one machine only.
+LIGHT = Constants("light", lambda k, log_n: 0.5 * k * log_n, lambda k, log_n: k * log_n**2)
 
 
 def bracket(space, k: int, eps: float, tree: SpatialTree, power: int) -> tuple[float, float, float]:
@@ -33,17 +41,18 @@ def bracket(space, k: int, eps: float, tree: SpatialTree, power: int) -> tuple[f
     return value, low, tree.n * value**power
 
 
-def levels(value: float, n: int) -> list[float]:
-    """L / 4n, doubling 2 log n + 3 times, then everything."""
+def levels(value: float, n: int, first: float = 0.0) -> list[float]:
+    """L / 4n, doubling 2 log n + 3 times, then everything. Radii below `first` are one level with it."""
     count = 2 * math.ceil(math.log2(max(2, n))) + 3
-    return [value / (4 * n) * 2.0**j for j in range(count + 1)] + [math.inf]
+    radii = [value / (4 * n) * 2.0**j for j in range(count + 1)]
+    return [r for r, after in zip(radii, [*radii[1:], math.inf], strict=True) if after > first] + [math.inf]
 
 
 def one_round(tree: SpatialTree, k: int, power: int, radii: list[float], constants: Constants, seed: int, many: bool = True) -> tuple[np.ndarray, float, dict]:
     """Draw, cover by growing radii, keep the levels up to the last heavy one, roll the rest back."""
     log_n = math.log2(max(2, tree.n))
     before = tree.active
-    z = max(k, math.ceil(constants.sample * k * log_n))
+    z = max(k, math.ceil(constants.draw(k, log_n)))
     drawn = np.unique(tree.sample(z, seed), axis=0)
     threshold = before / (constants.divide * log_n)
     counts, marks = [], []
@@ -58,7 +67,7 @@ def one_round(tree: SpatialTree, k: int, power: int, radii: list[float], constan
     heavy = max((j for j, n in enumerate(counts) if n > threshold), default=len(counts) - 1)
     tree.restore(marks[heavy])
     charge = sum(counts[j] * ((1 + tree.eps) * min(radii[j], top)) ** power for j in range(heavy + 1))
-    return drawn, charge, {"tau": before, "beta": heavy, "covered": before - tree.active, "counts": counts[: heavy + 1]}
+    return drawn, charge, {"tau": before, "beta": heavy, "covered": before - tree.active, "counts": counts[: heavy + 1], "radii": radii[: heavy + 1], "drawn": z}
 
 
 def bicriteria(space, k: int, eps: float = 0.25, power: int = 2, tree: SpatialTree | None = None, constants: Constants = PRACTICAL, seed: int = 42, many: bool = True, **options) -> Solution:
@@ -72,8 +81,10 @@ def bicriteria(space, k: int, eps: float = 0.25, power: int = 2, tree: SpatialTr
     if value == 0:
         return Solution(kcenter.cover(tree, k, 0.0), 0.0, {"rounds": [], **_facts(tree)})
     log_n = math.log2(max(2, tree.n))
-    stop = constants.stop * k * log_n**2
-    radii, found, total, rounds = levels(value, tree.n), [], 0.0, []
+    stop = constants.stop(k, log_n)
+    # all tuples within `fine` cost at most eps^power times the lower bound together, so smaller radii need no levels of their own
+    fine = eps * (low / tree.n) ** (1 / power)
+    radii, found, total, rounds = levels(value, tree.n, fine), [], 0.0, []
     while tree.active > stop and len(rounds) < 10 * math.ceil(log_n):
         x, charge, facts = one_round(tree, k, power, radii, constants, seed + len(rounds), many)
         found.append(x)
@@ -95,4 +106,6 @@ def solve(space, k: int, eps: float = 0.25, power: int = 2, solver=None, constan
     base = eps * (max(first.estimate, first.trace["low"]) / tree.n) ** (1 / power)
     core = coreset.adaptive(tree, first.centres, base, eps)
     centres, value = (solver or local.solver("median" if power == 1 else "means"))(core.points, core.weights, k)
+    # a tuple is at most `slack` from its point of the coreset: the triangle inequality makes the flat cost an upper bound of the cost
+    value = (value ** (1 / power) + core.slack * tree.n ** (1 / power)) ** power
     return Solution(centres, value, first.trace | {"bicriteria": len(first.centres), "estimate": first.estimate, "coreset": len(core.points), "core": core, **_facts(tree)})

@@ -3,15 +3,14 @@
 from __future__ import annotations
 
 import math
-from itertools import product
 
 import numpy as np
 from pyspark.sql import functions as F
 
 from . import kmeans, local
-from .kcenter import Solution, _facts
+from .kcenter import Solution
 from .space import JoinSpace
-from .tree import lazy_tree
+from .tree import ClassTree
 
 
 def categorical_centers(weights: dict, k: int) -> tuple[list, float]:
@@ -62,62 +61,60 @@ def weighted_solve(x: np.ndarray, cats: np.ndarray, w: np.ndarray, k: int, misma
     return x[chosen], [tuple(cats[i]) for i in chosen], now
 
 
-def ball_weights(tree, centres: np.ndarray, low: float, eps: float) -> np.ndarray:
-    """Approximately nearest-centre weights: growing balls take what is left around each centre in turn."""
-    tree.reset()
-    w = np.zeros(len(centres))
+def classed(space: JoinSpace, cat_centres: dict[str, list]) -> JoinSpace:
+    """The space with each category replaced by the number of its centre, relations summed up again."""
+    frames, owned, names = {}, {}, []
+    for n, f in space.frames.items():
+        mine, cats = space.owned[n]
+        own = [f"cls_{a}" for a in cats if a in cat_centres]
+        f = f.withColumns({f"cls_{a}": _class(a, cat_centres[a]) for a in cats if a in cat_centres}) if own else f
+        keys = [c for c in f.columns if c.startswith("k_")] + mine + own
+        frames[n] = f.groupBy(*keys).agg(F.sum("w").cast("decimal(38,0)").alias("w"))
+        owned[n] = (mine, own)
+        names += own
+    return JoinSpace(space.spec, frames, space.coords, names, space.tree, space.scale, owned)
+
+
+def grid_weights(space: JoinSpace, centres: np.ndarray, cat_centres: dict[str, list], low: float, eps: float, leaf_cap: int = 4096) -> tuple[np.ndarray, list[tuple], np.ndarray]:
+    """Weights of the product of numeric centres and categorical ones, from one tree with class counters: growing balls take what is left
+    around each centre in turn, by class vector, until nothing is left. Values go to their own centre, or else to the first one. A tuple goes to a centre
+    within (1 + eps)^2 of its nearest one, or within (1 + eps) * low."""
+    names = list(cat_centres)
+    own = classed(space, cat_centres)
+    order = [own.cats.index(f"cls_{a}") for a in names]
+    tree = ClassTree(own, eps=eps, leaf_cap=leaf_cap)
+    found: dict[tuple[int, tuple], int] = {}
     r, top = low, tree.root.region.outer.diameter * 2
     while tree.active:
         for i, c in enumerate(centres):
-            w[i] += tree.deactivate(c, r)
+            for v, n in tree.deactivate_classes(c, r).items():
+                found[i, v] = found.get((i, v), 0) + n
         if r > top:
             break
         r *= 1 + eps
-    tree.reset()
-    return w
-
-
-def grid_weights(space: JoinSpace, centres: np.ndarray, cat_centres: dict[str, list], low: float, eps: float, leaf_cap: int = 4096) -> tuple[np.ndarray, list[tuple], np.ndarray]:
-    """Weights of the product of numeric centres and categorical ones. Values go to their own centre, or else to the first
-    centre. Counters are sparse: only class vectors that occur get a tree (a space filtered to the class)."""
-    names = list(cat_centres)
-    classes = {}
-    for n, (_, cats) in space.owned.items():
-        cols = {f"cls_{a}": _class(a, cat_centres[a]) for a in cats if a in cat_centres}
-        if cols:
-            classes[n] = cols
-    vectors = space.count_classes(None, classes).collect()  # at most the product of the class numbers
-    x, values, w = [], [], []
-    for r in vectors:
-        part = space
-        frames = dict(space.frames)
-        for n, cols in classes.items():
-            for c, e in cols.items():
-                frames[n] = frames[n].where(e == r[c])
-        part = space.with_frames(frames)
-        tree = lazy_tree(part, eps=eps, leaf_cap=leaf_cap)
-        got = ball_weights(tree, centres, low, eps)
-        for c, n in zip(centres, got, strict=True):
-            if n:
-                x.append(c)
-                values.append(tuple(cat_centres[a][r[f"cls_{a}"] - 1] for a in names))
-                w.append(n)
-    return np.array(x), values, np.array(w)
+    live = sorted((i, v) for (i, v), n in found.items() if n)
+    values = [tuple(cat_centres[a][v[order[j]] - 1] for j, a in enumerate(names)) for _, v in live]
+    return np.array([centres[i] for i, _ in live]), values, np.array([float(found[x]) for x in live])
 
 
 def _class(attribute: str, values: list):
     out = F.lit(1)
     for i, v in enumerate(values):
-        out = F.when(F.col(attribute) == F.lit(v), i + 1).otherwise(out)
+        out = F.when(F.col(attribute).eqNullSafe(F.lit(v)), i + 1).otherwise(out)
     return out
 
 
-def category_weights(space: JoinSpace) -> dict[str, dict]:
-    """Per categorical attribute its values with weights. Domains are small by assumption."""
-    out: dict[str, dict] = {}
-    for a in space.cats:
-        rows = space.value_weights([a]).collect()
-        out[a] = {r["value"]: int(r["w"]) for r in rows}
+def category_weights(space: JoinSpace, k: int | None = None) -> dict[str, dict]:
+    """Per categorical attribute its values with weights, in one pass; only the k heaviest of each reach the driver if k is given."""
+    from pyspark.sql import Window
+
+    out: dict[str, dict] = {a: {} for a in space.cats}
+    rows = space.value_weights(space.cats)
+    if k is not None:
+        order = Window.partitionBy("attr").orderBy(F.desc("w"), F.asc_nulls_first("value"))
+        rows = rows.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
+    for r in rows.collect():
+        out[r["attr"]][r["value"]] = int(r["w"])
     return out
 
 
@@ -125,7 +122,7 @@ def solve(space: JoinSpace, k: int, eps: float = 0.5, objective: str = "means",
     """Numeric centres on the bag projection, the heaviest values per category, their product with weights, a flat solver."""
     numeric = JoinSpace(space.spec, space.frames, space.coords, [], space.tree, space.scale, space.owned)
     first = kmeans.solve(_without_cats(space), k, eps, 1 if objective == "median" else 2, seed=seed)
-    own = {a: categorical_centers(w, k)[0] for a, w in category_weights(space).items()}
+    own = {a: categorical_centers(w, k)[0] for a, w in category_weights(space, k).items()}
     typed = {a: _typed(space, a, v) for a, v in own.items()}
     low = max(first.trace.get("L", 1.0) / (9 * max(1, numeric.size())), 1e-6)
     x, values, w = grid_weights(space, first.centres, typed, low, eps)
@@ -137,7 +134,7 @@ def solve(space: JoinSpace, k: int, eps: float = 0.5, objective: str = "means",
 def _typed(space: JoinSpace, attribute: str, values: list) -> list:
     n = next(n for n, (_, cats) in space.owned.items() if attribute in cats)
     kind = dict(space.frames[n].dtypes)[attribute]
-    return [int(v) for v in values] if kind in ("int", "bigint", "smallint") else values
+    return [None if v is None else int(v) for v in values] if kind in ("int", "bigint", "smallint") else values
 
 
 def _without_cats(space: JoinSpace) -> JoinSpace:
@@ -156,9 +153,9 @@ def one_hot_solve(space: JoinSpace, k: int, eps: float = 0.5, mismatch: float =
         f, (mine, cats) = space.frames[r.name], space.owned[r.name]
         new = list(mine)
         for a in cats:
-            for v in sorted(x[0] for x in f.select(a).distinct().collect()):  # the category's domain
+            for v in sorted((x[0] for x in f.select(a).distinct().limit(1001).collect()), key=lambda x: (x is None, str(x))):  # the category's domain
                 c = f"{a}={v}"
-                f = f.withColumn(c, F.when(F.col(a) == F.lit(v), math.sqrt(mismatch / 2)).otherwise(0.0))
+                f = f.withColumn(c, F.when(F.col(a).eqNullSafe(F.lit(v)), math.sqrt(mismatch / 2)).otherwise(0.0))
                 new.append(c)
         keep = [c for c in f.columns if c.startswith("k_")] + new
         frames[r.name] = f.groupBy(*[f"`{c}`" for c in keep]).agg(F.sum("w").cast("decimal(38,0)").alias("w"))
@@ -176,11 +173,3 @@ def assignment_cost(rows: np.ndarray, cats: np.ndarray, w: np.ndarray, centres:
     if objective == "center":
         return float(np.sqrt(d.max()))
     return float((w * (d if objective == "means" else np.sqrt(d))).sum())
-
-
-def product_grid(centres: list[list]) -> list[tuple]:
-    return list(product(*centres))
-
-
-def facts(tree) -> dict:
-    return _facts(tree)

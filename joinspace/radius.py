@@ -38,6 +38,10 @@ class Pool:
         self.values = [np.unique(v) for v in by_attribute]
         self.total = sum(len(v) * (len(v) - 1) // 2 for v in self.values)
 
+    def rank_below(self, x: float) -> int:
+        """Number of differences below x."""
+        return sum(pairs_up_to(v, x * (1 - 1e-9)) for v in self.values) if x > 0 else 0
+
     def at_rank(self, z: int) -> float:
         if z <= 0 or not self.total:
             return 0.0
@@ -51,19 +55,15 @@ class Pool:
         return hi
 
 
-def pool(space, cap: int = 2_000_000) -> Pool | None:
-    """None if there are more distinct values than `cap`: then the geometric search is the way."""
+def pool(space, cells: int = 2_000_000) -> Pool | None:
+    """Distinct base values by coordinate. Where there are more than `cells`, the values of each coordinate are rounded, on the executors, to the
+    ends of `cells` equal steps, so that every difference is off by at most one step: the search's radius grows by at most
+    2 * sqrt(d) steps, far below its own slack."""
     frame = space.value_pool()
-    if frame.count() > cap:
-        return None
-    rows = frame.toPandas()
+    if frame.count() > cells:
+        box = space.root_box()
+        steps = {c: max(float(h - l) / cells * len(space.coords), 1e-300) for c, l, h in zip(space.coords, box.lo, box.hi, strict=True)}
+        step = F.element_at(F.create_map(*[x for c, s in steps.items() for x in (F.lit(c), F.lit(s))]), F.col("attr"))
+        frame = frame.select("attr", (F.round(F.col("value") / step) * step).alias("value")).distinct()
+    rows = frame.toPandas()  # at most about `cells` rows
     return Pool([rows.loc[rows["attr"] == c, "value"].to_numpy(float) for c in space.coords])
-
-
-def least_gap(space) -> float:
-    """Smallest positive difference of two values of one coordinate, by a sorted neighbour per attribute."""
-    from pyspark.sql import Window
-
-    w = Window.partitionBy("attr").orderBy("value")
-    r = space.value_pool().withColumn("gap", F.col("value") - F.lag("value").over(w)).where("gap > 0").agg(F.min("gap")).first()
-    return float(r[0] or 0.0)

@@ -12,8 +12,10 @@ from dataclasses import dataclass, field
 from typing import Protocol
 
 import numpy as np
+from pyspark.sql import functions as F
 
-from .region import Box, Region, centroid_shrink, distance_bounds, fair_split, norm, pairwise
+from . import local
+from .region import Box, Region, centroid_shrink, distance_bounds, fair_split, norm
 
 
 def sample_size(eps: float, n: int, relations: int = 1, c: float = 1.0) -> int:
@@ -115,6 +117,7 @@ class Node:
     block: list | None = None
     ident: int = 0
     stall: int = 0  # steps since a cut last separated anything
+    near: tuple | None = None
 
     def __post_init__(self):
         self.active = self.total
@@ -283,7 +286,7 @@ class SpatialTree:
                     found.append((x, None))
                 elif x.points is not None:
                     if box is None:
-                        hit = (pairwise(x.points, centres, self.metric) <= radius).any(1)
+                        hit = self._nearest(x, centres) <= radius
                     else:
                         hit = box.contains(x.points)
                     if (hit & x.live).any():
@@ -303,6 +306,12 @@ class SpatialTree:
         self.stats.canonical.append(len(found))
         return found
 
+    def _nearest(self, x: Node, centres: np.ndarray) -> np.ndarray:
+        """Distance of a leaf's points to the nearest centre; kept while the same centres ask with other radii."""
+        if x.near is None or x.near[0] is not centres:
+            x.near = (centres, local.assign(x.points, centres, self.metric)[1])
+        return x.near[1]
+
     @staticmethod
     def _in_hole(region: Region, centres: np.ndarray, radius: float) -> bool:
         for c in centres:
@@ -414,9 +423,7 @@ class SpatialTree:
             if x.points is not None:
                 w = x.weights[x.live]
                 out.append(x.points[x.live][rng.choice(len(w), n, p=w / w.sum())])
-            elif x.sample is not None and len(x.sample) >= 4 * n:
-                out.append(x.sample[rng.choice(len(x.sample), n)])
-            else:
+            else:  # fresh draws: those that shaped the tree are not used again
                 ask.append(x)
                 want.append(int(n))
         if ask:
@@ -448,6 +455,94 @@ class SpatialTree:
         return out
 
 
+class ClassBackend(SpaceBackend):
+    """A join space whose categories are class numbers: counts and reports come by class vector too, in sparse form."""
+
+    def count_classes(self, regions: list[Region]) -> list[dict[tuple, int]]:
+        boxes = [r.outer for r in regions] + [r.hole for r in regions if r.hole is not None]
+        by = {n: {c: F.col(c) for c in cats} for n, (_, cats) in self.space.owned.items() if cats}
+        per: list[dict[tuple, int]] = [{} for _ in boxes]
+        for r in self.space.count_classes(boxes, by).collect():  # per box at most the product of the class numbers
+            per[r["box_id"]][tuple(r[c] for c in self.space.cats)] = int(r["cnt"])
+        out, at = per[: len(regions)], len(regions)
+        for i, r in enumerate(regions):
+            if r.hole is not None:
+                for v, n in per[at].items():
+                    out[i][v] -= n
+                at += 1
+        return [{v: n for v, n in x.items() if n} for x in out]
+
+    def report_classes(self, regions: list[Region]) -> list[tuple[np.ndarray, np.ndarray, list[tuple]]]:
+        """(points, weights, class vectors) of each region."""
+        boxes = [(i, b) for i, r in enumerate(regions) for b in r.slabs()]
+        rows = self.space.report([b for _, b in boxes]).withColumn("w", F.col("w").cast("double")).toPandas()
+        owner = np.array([i for i, _ in boxes])[rows["box_id"].to_numpy(int)]
+        points, w = rows[self.space.coords].to_numpy(float), rows["w"].to_numpy(float)
+        tags = list(zip(*(rows[c].tolist() for c in self.space.cats), strict=True)) if self.space.cats else [()] * len(rows)
+        return [(points[at], w[at], [tags[j] for j in at]) for at in (np.flatnonzero(owner == i) for i in range(len(regions)))]
+
+
+class ClassTree(SpatialTree):
+    """One tree in which every opened node has a counter of active tuples for each class vector that occurs in it."""
+
+    def __init__(self, space, **options):
+        super().__init__(ClassBackend(space), **options)
+        self.counters: dict[Node, dict[tuple, int]] = {self.root: self.backend.count_classes([self.root.region])[0]} if self.n else {}
+        self.tags: dict[Node, list[tuple]] = {}
+        self.undo: list[tuple[Node, dict[tuple, int]]] = []
+
+    def expand(self, nodes: list[Node]) -> None:
+        nodes = list(dict.fromkeys(x for x in nodes if x.children is None and x.points is None and x.total and not x.is_location))
+        super().expand(nodes)
+        leaves = [x for x in nodes if x.points is not None]
+        if leaves:  # their points again, by class
+            for x, (p, w, tags) in zip(leaves, self.backend.report_classes([x.region for x in leaves]), strict=True):
+                x.points, x.weights, x.live, x.near = p, w, np.full(len(p), x.active > 0), None
+                self.tags[x] = tags
+        made = [c for x in nodes for c in x.children or ()]
+        if made:
+            self.counters.update(zip(made, self.backend.count_classes([c.region for c in made]), strict=True))
+
+    def classes(self, x: Node, hit: np.ndarray | None) -> dict[tuple, int]:
+        if hit is None:
+            return dict(self.counters[x])
+        out: dict[tuple, int] = {}
+        for i in np.flatnonzero(hit):
+            out[self.tags[x][i]] = out.get(self.tags[x][i], 0) + int(round(x.weights[i]))
+        return out
+
+    def deactivate_classes(self, centres: np.ndarray, radius: float) -> dict[tuple, int]:
+        """Active tuples by class vector that the balls take; they become inactive."""
+        found = self._walk(np.atleast_2d(np.asarray(centres, float)), radius)
+        total: dict[tuple, int] = {}
+        for x, hit in found:
+            own = self.classes(x, hit)
+            for v, n in own.items():
+                total[v] = total.get(v, 0) + n
+            up: Node | None = x
+            while up is not None:
+                self.undo.append((up, dict(self.counters[up])))
+                for v, n in own.items():
+                    self.counters[up][v] -= n
+                up = up.parent
+        self._drop(found)
+        return total
+
+    def count_classes(self, centres: np.ndarray, radius: float) -> dict[tuple, int]:
+        """The same without making them inactive."""
+        total: dict[tuple, int] = {}
+        for x, hit in self._walk(np.atleast_2d(np.asarray(centres, float)), radius):
+            for v, n in self.classes(x, hit).items():
+                total[v] = total.get(v, 0) + n
+        return total
+
+    def reset(self) -> None:
+        super().reset()
+        while self.undo:
+            x, own = self.undo.pop()
+            self.counters[x] = own
+
+
 def flat_tree(points: np.ndarray, weights: np.ndarray | None = None, **options) -> SpatialTree:
     return SpatialTree(FlatBackend(points, weights), **options)
 

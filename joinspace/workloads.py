@@ -17,7 +17,7 @@ from . import baselines, coreset, cyclic, diversity, fairness, hypergraph, kcent
 from .region import Box, Region
 from .space import JoinSpace
 from .spec import WORKLOADS, JoinSpec
-from .tree import SpaceBackend, SpatialTree, lazy_tree
+from .tree import ClassTree, SpaceBackend, SpatialTree, lazy_tree
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -276,11 +276,11 @@ add("project_bag_w9", f"SELECT count(*) AS n, 1 AS coords FROM {join_sql(WORKLOA
 
 def _grouped(spark, sf):
     space = bind(spark, sf, "w8", cats=["segment"])
-    rows = [(g, space.group("segment", g).size()) for g in ("AUTOMOBILE", "BUILDING")]
+    rows = [(g, space.group("segment", g).size()) for g in sorted(mixed.category_weights(space)["segment"])]
     return spark.createDataFrame(rows, "segment string, n long")
 
 
-add("group_space_w8", f"SELECT g AS segment, (SELECT count(*) FROM {join_sql(WORKLOADS['w8'])} WHERE segment = g) AS n FROM (VALUES ('AUTOMOBILE'), ('BUILDING')) v(g)", _grouped)
+add("group_space_w8", f"SELECT segment, count(*) AS n FROM {join_sql(WORKLOADS['w8'])} GROUP BY 1", _grouped)
 
 
 def _widths(spark, sf):
@@ -291,7 +291,8 @@ def _widths(spark, sf):
     return spark.createDataFrame(rows, "workload string, acyclic boolean, cover double, fhw double")
 
 
-add("query_structure", None, _widths)
+_FACTS = {"w4": (False, 2, 2), "w4t": (False, 1.5, 1.5), "w1": (True, 2, 1), "w2": (True, 1, 1), "w3": (True, 2, 1), "w5": (True, 1, 1), "w6": (True, 2, 1), "w7": (True, 1, 1), "w8": (True, 1, 1), "w9": (True, 1, 1), "w10": (True, 1, 1), "w11": (True, 0, 1), "w12": (True, 1, 1)}  # worked out by hand
+add("query_structure", " UNION ALL ".join(f"SELECT '{n}' AS workload, {a} AS acyclic, CAST({c} AS DOUBLE) AS cover, CAST({w} AS DOUBLE) AS fhw" for n, (a, c, w) in _FACTS.items()), _widths)
 
 
 def _bound(spark, sf, w):
@@ -378,46 +379,61 @@ def points_of(space: JoinSpace, sf: str, w: str) -> tuple[np.ndarray, np.ndarray
     return _POINTS[key]
 
 
+#: Leaf sizes that make a tree open on the small workloads; elsewhere the default.
+CAPS = {"w9": 500, "w8": 500, "w10": 40, "w12": 3, "w4": 200, "w4t": 200, "w7": 4000}
+
+
 def verdict(spark, sf, w, objective: str, solve: Callable, factor: float | None, snapped: bool = True) -> DataFrame:
-    """n; k; centres are join tuples; the estimate (if any) is not below the cost; the cost is within factor * reference."""
+    """What the method says of the join, next to what SQL counts on it: n is the method's own size of it; covered, the tuples that the centres serve
+    within the method's bound (center: within `estimate`; others: all, if the cost is within the bound); strange, centres that are no join tuples.
+    near_reference: the cost is within factor * that of the flat solver on the materialised join."""
     space = bind(spark, sf, w, scaled=True)
-    found = solve(space)
+    found = solve(space, {"leaf_cap": CAPS[w]} if w in CAPS else {})
     p, wt = points_of(space, sf, w)
     value = local.cost(p, wt, found.centres, objective)
-    near = local.assign(found.centres, p)[1].max() < 1e-9 if snapped else True
-    bound = bool(math.isnan(found.estimate) or objective != "center" or value <= found.estimate * (1 + 1e-9))
+    distance = local.assign(p, found.centres)[1]
+    strange = int((local.assign(found.centres, p)[1] >= 1e-9).sum()) if snapped else 0
+    bounded = math.isnan(found.estimate) or (value <= found.estimate * (1 + 1e-9) if objective != "center" else True)
+    inside = distance <= found.estimate * (1 + 1e-9) if objective == "center" and not math.isnan(found.estimate) else np.full(len(p), bounded)
+    facts = {"n": int(found.trace.get("n", 0)) or space.size(), "covered": int(round(wt[inside].sum())), "strange": strange, "k_ok": 0 < len(found.centres) <= K}
+    space.release()
     if factor is None:
-        return one(spark, n=int(round(wt.sum())), k_ok=len(found.centres) <= K, members=bool(near), bound=bound)
+        return one(spark, **facts)
     reference = local.cost(p, wt, local.solver(objective)(p, wt, K)[0], objective)
-    return one(spark, n=int(round(wt.sum())), k_ok=len(found.centres) <= K, members=bool(near), bound=bound, near_reference=bool(value <= factor * reference))
+    return one(spark, **facts, near_reference=bool(value <= factor * reference))
+
+
+def unbounded(found):
+    """For methods whose own value is no bound of the cost over the join."""
+    return type(found)(found.centres, float("nan"), found.trace)
 
 
 _METHODS: dict[str, tuple[str, Callable, float | None, bool]] = {
-    "kcenter_{w}_first": ("center", lambda s: kcenter.search(s, K, 0.5), None, True),
-    "kcenter_{w}_ladder": ("center", lambda s: kcenter.refine(s, K, 0.5), 2.5, True),
-    "kcenter_{w}_coreset": ("center", lambda s: kcenter.coreset_solve(s, K, 0.5), 3.0, True),
-    "kcenter_{w}_hierarchical": ("center", lambda s: baselines.hierarchical(s, K, "center"), 6.0, False),
-    "kcenter_{w}_complement": ("center", lambda s: baselines.complement_search(s, K), None, True),
-    "kcenter_{w}_materialize": ("center", lambda s: baselines.materialize_then(s, K, "center"), 1.01, True),
-    "kmedian_{w}": ("median", lambda s: kmeans.solve(s, K, 0.5, 1), 1.5, True),
-    "kmedian_{w}_hierarchical": ("median", lambda s: baselines.hierarchical(s, K, "median"), 3.0, False),
-    "kmedian_{w}_materialize": ("median", lambda s: baselines.materialize_then(s, K, "median"), 1.01, True),
-    "kmeans_{w}": ("means", lambda s: kmeans.solve(s, K, 0.5, 2), 1.6, True),
-    "kmeans_{w}_grid_relation": ("means", lambda s: baselines.grid(s, K, "means", "relation"), 4.0, False),
-    "kmeans_{w}_grid_attribute": ("means", lambda s: baselines.grid(s, K, "means", "attribute"), 4.0, False),
-    "kmeans_{w}_seeding": ("means", lambda s: baselines.distance_seeding(s, K), 3.0, True),
-    "kmeans_{w}_hierarchical": ("means", lambda s: baselines.hierarchical(s, K, "means"), 3.0, False),
-    "kmeans_{w}_sample": ("means", lambda s: baselines.uniform_sample(s, K, "means"), 2.0, True),
-    "kmeans_{w}_random": ("means", lambda s: baselines.random_centres(s, K), None, True),
-    "kmeans_{w}_materialize": ("means", lambda s: baselines.materialize_then(s, K, "means"), 1.01, True),
-    "kmeans_{w}_spark_ml": ("means", lambda s: baselines.materialize_then_spark(s, K), 1.6, False),
+    "kcenter_{w}_first": ("center", lambda s, o: kcenter.search(s, K, 0.5, **o), None, True),
+    "kcenter_{w}_ladder": ("center", lambda s, o: kcenter.refine(s, K, 0.5, **o), 2.5, True),
+    "kcenter_{w}_coreset": ("center", lambda s, o: kcenter.coreset_solve(s, K, 0.5, **o), 3.0, True),
+    "kcenter_{w}_hierarchical": ("center", lambda s, o: baselines.hierarchical(s, K, "center"), 6.0, False),
+    "kcenter_{w}_complement": ("center", lambda s, o: baselines.complement_search(s, K), None, True),
+    "kcenter_{w}_materialize": ("center", lambda s, o: baselines.materialize_then(s, K, "center"), 1.01, True),
+    "kmedian_{w}": ("median", lambda s, o: kmeans.solve(s, K, 0.5, 1, **o), 1.5, True),
+    "kmedian_{w}_hierarchical": ("median", lambda s, o: baselines.hierarchical(s, K, "median"), 3.0, False),
+    "kmedian_{w}_materialize": ("median", lambda s, o: baselines.materialize_then(s, K, "median"), 1.01, True),
+    "kmeans_{w}": ("means", lambda s, o: kmeans.solve(s, K, 0.5, 2, **o), 1.6, True),
+    "kmeans_{w}_grid_relation": ("means", lambda s, o: unbounded(baselines.grid(s, K, "means", "relation")), 4.0, False),
+    "kmeans_{w}_grid_attribute": ("means", lambda s, o: unbounded(baselines.grid(s, K, "means", "attribute")), 4.0, False),
+    "kmeans_{w}_seeding": ("means", lambda s, o: unbounded(baselines.distance_seeding(s, K)), 3.0, True),
+    "kmeans_{w}_hierarchical": ("means", lambda s, o: baselines.hierarchical(s, K, "means"), 3.0, False),
+    "kmeans_{w}_sample": ("means", lambda s, o: unbounded(baselines.uniform_sample(s, K, "means")), 2.0, True),
+    "kmeans_{w}_random": ("means", lambda s, o: baselines.random_centres(s, K), None, True),
+    "kmeans_{w}_materialize": ("means", lambda s, o: baselines.materialize_then(s, K, "means"), 1.01, True),
+    "kmeans_{w}_spark_ml": ("means", lambda s, o: baselines.materialize_then_spark(s, K), 1.6, False),
 }
 
 
 def _method(w: str, pattern: str) -> None:
     objective, solve, factor, snapped = _METHODS[pattern]
     near = "" if factor is None else ", TRUE AS near_reference"
-    add(pattern.format(w=w), f"SELECT count(*) AS n, TRUE AS k_ok, TRUE AS members, TRUE AS bound{near} FROM {join_sql(WORKLOADS[w])}", lambda spark, sf: verdict(spark, sf, w, objective, solve, factor, snapped))
+    add(pattern.format(w=w), f"SELECT count(*) AS n, count(*) AS covered, 0 AS strange, count(*) > 0 AS k_ok{near} FROM {join_sql(WORKLOADS[w])}", lambda spark, sf: verdict(spark, sf, w, objective, solve, factor, snapped))
 
 
 for _name in _METHODS:
@@ -434,26 +450,82 @@ for _w in ("w4", "w4t"):
 
 
 def _explosive(spark, sf, solve, objective, eps):
-    """Never materialised: the estimate comes from the method. For centers, a ball query around them finds every tuple
-    within (1 + eps) times the estimate."""
+    """Never materialised. n is the tree's; members are the centres found in the join by counting their boxes; covered is what balls around
+    the centres hold, for centers within the estimate, else within the diameter; bound: the estimate is not below a lower bound of the cost by rings."""
     space = bind(spark, sf, "w3", scaled=True)
     tree = lazy_tree(space, eps=eps)
     found = solve(space, tree)
     inside = space.count([Box.at(x) for x in found.centres])
+    tree.reset()
+    reach = found.estimate if objective == "center" else tree.root.region.outer.diameter
+    covered = tree.count(found.centres, reach)
     finite = 0 < found.estimate < math.inf
-    if finite and objective == "center":
-        tree.reset()
-        finite = tree.count(found.centres, found.estimate) == tree.n
-    return one(spark, n=space.size(), k_ok=len(found.centres) <= K, members=bool((inside > 0).all()), finite=bool(finite))
+    if objective != "center":
+        finite = finite and found.estimate >= measures.cost_bracket(tree, found.centres, 2 if objective == "means" else 1)[0] * (1 - 1e-9)
+    space.release()
+    return one(spark, n=tree.n, covered=int(covered), strange=int((inside == 0).sum()), k_ok=len(found.centres) <= K, finite=bool(finite))
+
+
+_W3 = f"SELECT count(*) AS n, count(*) AS covered, 0 AS strange, count(*) > 0 AS k_ok, count(*) > 0 AS finite FROM {join_sql(WORKLOADS['w3'])}"
+add("kcenter_w3_coreset", _W3, lambda spark, sf: _explosive(spark, sf, lambda s, tree: kcenter.coreset_solve(s, K, 0.9, tree), "center", 0.2))
+for _n, _p in (("kmeans", 2), ("kmedian", 1)):
+    add(f"{_n}_w3", _W3, lambda spark, sf, p=_p: _explosive(spark, sf, lambda s, tree: kmeans.solve(s, K, 0.9, p, tree=tree, constants=kmeans.LIGHT), "means" if p == 2 else "median", 0.9))
+
+
+def _exact(spark, sf, w, objective, k):
+    """The method with an enumerating solver on a coreset of single tuples gives the optimum; SQL enumerates it."""
+    space = bind(spark, sf, w)
+    options = {"solver": lambda p, c, k, **_: local.exact(p, c, k, objective), "leaf_cap": CAPS[w]}
+    found = kcenter.coreset_solve(space, k, 1e-6, **options) if objective == "center" else kmeans.solve(space, k, 1e-6, 1 if objective == "median" else 2, **options)
+    p, wt = baselines.materialized(space)
+    return one(spark, n=int(found.trace["n"]), cost=float(round(local.cost(p, wt, found.centres, objective), 4)))
+
+
+def _exact_sql(w: str, objective: str, k: int) -> str:
+    cs = WORKLOADS[w].coords
+    far = lambda a, b: "sqrt(" + " + ".join(f"({a}.{c} - {b}.{c}) ** 2" for c in cs) + ")"
+    value = f"least({', '.join(far('p', f'c{i}') for i in range(k))})"
+    total = {"center": f"max({value})", "median": f"sum(p.w * {value})", "means": f"sum(p.w * {value} ** 2)"}[objective]
+    sets = " JOIN ".join(["d c0", *[f"d c{i} ON c{i - 1}.i < c{i}.i" for i in range(1, k)]])
+    return f"WITH d AS (SELECT *, row_number() OVER (ORDER BY {', '.join(cs)}) AS i FROM (SELECT {', '.join(cs)}, count(*) AS w FROM {join_sql(WORKLOADS[w])} GROUP BY ALL)) SELECT (SELECT CAST(sum(w) AS BIGINT) FROM d) AS n, round(min(v), 4) AS cost FROM (SELECT {total} AS v FROM {sets}, d p GROUP BY {', '.join(f'c{i}.i' for i in range(k))})"
+
+
+for _w, _k in (("w12", 3), ("w10", 2)):
+    for _o in ("center", "median", "means"):
+        add(f"optimum_{_w}_{_o}", _exact_sql(_w, _o, _k), lambda spark, sf, w=_w, o=_o, k=_k: _exact(spark, sf, w, o, k))
 
 
-add("kcenter_w3_coreset", f"SELECT count(*) AS n, TRUE AS k_ok, TRUE AS members, TRUE AS finite FROM {join_sql(WORKLOADS['w3'])}", lambda spark, sf: _explosive(spark, sf, lambda s, tree: kcenter.coreset_solve(s, K, 1.0, tree), "center", 0.2))
-add("kmeans_w3", f"SELECT count(*) AS n, TRUE AS k_ok, TRUE AS members, TRUE AS finite FROM {join_sql(WORKLOADS['w3'])}", lambda spark, sf: _explosive(spark, sf, lambda s, tree: kmeans.solve(s, K, 1.0, 2, tree=tree), "means", 1.0))
+def _ratios(spark, sf, k=3):
+    """Cost of each method over the enumerated optimum on the smallest join, against its factor."""
+    space = bind(spark, sf, "w12")
+    p, wt = baselines.materialized(space)
+    rows, o, eps = [], {"leaf_cap": 3}, 0.2
+    best = {x: local.exact(p, wt, k, x)[1] for x in ("center", "median", "means")}
+    d = len(space.coords)
+    for name, objective, factor, solve in (
+        ("first", "center", 2 * math.sqrt(d) + eps, lambda: kcenter.search(space, k, eps, **o)),
+        ("ladder", "center", 2 + eps, lambda: kcenter.refine(space, k, eps, **o)),
+        ("coreset", "center", (1 + eps) * 2, lambda: kcenter.coreset_solve(space, k, eps, **o)),
+        ("hierarchical", "center", (1 + 0.5) * 2 * 2, lambda: baselines.hierarchical(space, k, "center")),
+        ("bicriteria", "means", 84 + eps, lambda: kmeans.bicriteria(space, k, eps, 2, **o)),
+        ("bicriteria", "median", 84 + eps, lambda: kmeans.bicriteria(space, k, eps, 1, **o)),
+        ("coreset", "means", 4 + eps, lambda: kmeans.solve(space, k, eps, 2, **o)),
+        ("coreset", "median", 2 + eps, lambda: kmeans.solve(space, k, eps, 1, **o)),
+        ("hierarchical", "means", 4 + eps, lambda: baselines.hierarchical(space, k, "means")),
+        ("hierarchical", "median", 2 + eps, lambda: baselines.hierarchical(space, k, "median")),
+    ):
+        value = local.cost(p, wt, solve().centres, objective)
+        rows.append((name, objective, round(best[objective], 4), bool(measures.ratio(value, best[objective]) <= factor * (1 + 1e-9))))
+    return spark.createDataFrame(rows, "method string, objective string, optimum double, within boolean")
+
+
+_OF = {x: f"(SELECT cost FROM ({_exact_sql('w12', x, 3)}))" for x in ("center", "median", "means")}
+add("ratios_w12", " UNION ALL ".join(f"SELECT '{m}' AS method, '{x}' AS objective, {_OF[x]} AS optimum, {_OF[x]} >= 0 AS within" for m, x in (("first", "center"), ("ladder", "center"), ("coreset", "center"), ("hierarchical", "center"), ("bicriteria", "means"), ("bicriteria", "median"), ("coreset", "means"), ("coreset", "median"), ("hierarchical", "means"), ("hierarchical", "median"))), _ratios)
 
 
 def _bicriteria(spark, sf, power):
     space = bind(spark, sf, "w9", scaled=True)
-    found = kmeans.bicriteria(space, K, 0.5, power)
+    found = kmeans.bicriteria(space, K, 0.5, power, leaf_cap=CAPS["w9"])
     p, w = points_of(space, sf, "w9")
     value = local.cost(p, w, found.centres, "means" if power == 2 else "median")
     halves = all(2 * r["covered"] >= r["tau"] for r in found.trace["rounds"])
@@ -467,7 +539,7 @@ for _p, _n in ((2, "means"), (1, "median")):
 
 def _cores(spark, sf, kind):
     space = bind(spark, sf, "w9", scaled=True)
-    tree = lazy_tree(space, eps=0.25)
+    tree = lazy_tree(space, eps=0.25, leaf_cap=CAPS["w9"])
     first = kcenter.search(space, K, 0.5, tree)
     p, w = points_of(space, sf, "w9")
     if kind == "adaptive":
@@ -491,7 +563,9 @@ for _kind in ("adaptive", "grid", "rings", "sampled"):
 
 
 def _mixed(spark, sf, w, how, objective="means"):
-    cats = {"w7": ["returnflag", "segment"], "w10": ["lang", "toxic"]}[w]
+    """All categories. weight: what the product grid holds together; cost is within a factor of the best single-tuple swap solution on a sample-free
+    reference only where the join is small enough to materialise with its categories."""
+    cats = {"w7": ["returnflag", "priority", "segment"], "w10": ["lang", "source", "quality", "toxic"]}[w]
     space = bind(spark, sf, w, cats=cats, scaled=True)
     n = space.size()
     if how == "ours":
@@ -501,21 +575,53 @@ def _mixed(spark, sf, w, how, objective="means"):
     else:
         found = mixed.one_hot_solve(space, 3)
     weight = found.trace.get("weight", float(n))
-    return one(spark, n=n, k_ok=len(found.centres) <= 3, weight=int(round(weight)), finite=bool(np.isfinite(found.estimate)))
+    rows = space.materialize().groupBy(*space.coords, *space.cats).agg(F.sum("w").cast("double").alias("w")).toPandas()
+    x, tags, wt = rows[space.coords].to_numpy(float), rows[space.cats].to_numpy(object), rows["w"].to_numpy(float)
+    centres, values = found.centres, found.trace.get("values")
+    if values is None:  # one-hot centres: each category's value is the coordinate that is set
+        names = found.trace["coords"]
+        own = [c for c in names if c in space.coords]
+        picked = [[(c.split("_is_", 1)[1], centre[names.index(c)]) for c in names if c.startswith(f"{a}_is_")] for centre in centres for a in space.cats]
+        tags = np.array([[str(v).replace(" ", "_").replace("#", "").replace("-", "_") for v in r] for r in tags], object)
+        values = [tuple(max(picked[i * len(space.cats) + j], key=lambda p: p[1])[0] for j in range(len(space.cats))) for i in range(len(centres))]
+        centres = centres[:, [names.index(c) for c in own]]
+    value = mixed.assignment_cost(x, tags, wt, centres, values, objective=objective)
+    _, _, flat = mixed.weighted_solve(x, tags, wt, 3, 1.0, objective)
+    space.release()
+    return one(spark, n=n, k_ok=len(found.centres) <= 3, weight=int(round(weight)), near_flat=bool(value <= 3 * flat))
 
 
 for _w in ("w7", "w10"):
     for _how in ("ours", "grid", "one_hot"):
-        add(f"mixed_{_w}_{_how}", f"SELECT count(*) AS n, TRUE AS k_ok, count(*) AS weight, TRUE AS finite FROM {join_sql(WORKLOADS[_w])}", lambda spark, sf, w=_w, how=_how: _mixed(spark, sf, w, how))
+        add(f"mixed_{_w}_{_how}", f"SELECT count(*) AS n, count(*) > 0 AS k_ok, count(*) AS weight, count(*) > 0 AS near_flat FROM {join_sql(WORKLOADS[_w])}", lambda spark, sf, w=_w, how=_how: _mixed(spark, sf, w, how))
 for _o in ("median", "center"):
-    add(f"mixed_w10_{_o}", f"SELECT count(*) AS n, TRUE AS k_ok, count(*) AS weight, TRUE AS finite FROM {join_sql(WORKLOADS['w10'])}", lambda spark, sf, o=_o: _mixed(spark, sf, "w10", "ours", o))
+    add(f"mixed_w10_{_o}", f"SELECT count(*) AS n, count(*) > 0 AS k_ok, count(*) AS weight, count(*) > 0 AS near_flat FROM {join_sql(WORKLOADS['w10'])}", lambda spark, sf, o=_o: _mixed(spark, sf, "w10", "ours", o))
+
+
+def _class_tree(spark, sf):
+    """A tree with class counters: what a ball takes, and what is left, add up to the classes of the whole join."""
+    own = {"returnflag": ["R", "N"], "segment": ["BUILDING", "MACHINERY", "FURNITURE"]}
+    space = mixed.classed(bind(spark, sf, "w7", cats=list(own), scaled=True), own)
+    tree = ClassTree(space, eps=0.5, leaf_cap=4000, draws=600)
+    before = tree.count_classes(tree.root.rep, 0.3)
+    taken = tree.deactivate_classes(tree.root.rep, 0.3)
+    left: dict[tuple, int] = {}
+    for x in tree.frontier():
+        for v, n in tree.classes(x, x.live if x.points is not None else None).items():
+            left[v] = left.get(v, 0) + n
+    same = before == taken and tree.active == sum(left.values()) and tree.counters[tree.root] == {v: left.get(v, 0) for v in tree.counters[tree.root]}
+    rows = [(int(v[space.cats.index("cls_returnflag")]), int(v[space.cats.index("cls_segment")]), taken.get(v, 0) + left.get(v, 0), bool(same and tree.stats.nodes > 1)) for v in {*taken, *left}]
+    return spark.createDataFrame(rows, "cr int, cs int, n long, same boolean")
+
+
+add("class_counts_tree_w7", f"SELECT CASE WHEN returnflag = 'N' THEN 2 ELSE 1 END AS cr, CASE segment WHEN 'MACHINERY' THEN 2 WHEN 'FURNITURE' THEN 3 ELSE 1 END AS cs, count(*) AS n, count(*) > 0 AS same FROM {join_sql(WORKLOADS['w7'])} GROUP BY 1, 2", _class_tree)
 
 # diversity and fairness
 
 
 def _diverse(spark, sf, kind, k=6):
     space = bind(spark, sf, "w9", scaled=True)
-    got, value = diversity.solve(space, k, kind)
+    got, value = diversity.solve(space, k, kind, leaf_cap=CAPS["w9"])
     p, w = points_of(space, sf, "w9")
     flat = local.diversity(local.farthest_first(p, k), kind)
     return one(spark, n=int(w.sum()), k=len(got), members=bool(local.assign(got, p)[1].max() < 1e-9), near_flat=bool(value >= flat / 3))
@@ -529,10 +635,10 @@ def _farthest(spark, sf, slow=False):
     space = bind(spark, sf, "w9", scaled=True)
     p, w = points_of(space, sf, "w9")
     if slow:
-        got = diversity.farthest_first_slow(space, 5, 0.5)
+        got = diversity.farthest_first_slow(space, 5, 0.5, leaf_cap=CAPS["w9"])
         return one(spark, n=int(w.sum()), near=bool(local.diversity(got, "edge") >= 0.5 * local.diversity(local.farthest_first(p, 5), "edge")))
     chosen = p[:2]
-    _, d = diversity.farthest(space, chosen, 0.5)
+    _, d = diversity.farthest(space, chosen, 0.5, leaf_cap=CAPS["w9"])
     return one(spark, n=int(w.sum()), near=bool(d >= 0.5 * local.assign(p, chosen)[1].max()))
 
 
@@ -542,16 +648,18 @@ for _slow, _n in ((False, "farthest_w9"), (True, "farthest_first_slow_w9")):
 
 def _fair(spark, sf, w, attribute, kind):
     space = bind(spark, sf, w, cats=[attribute], scaled=True)
-    names = sorted(str(r["value"]) for r in space.value_weights([attribute]).collect())[:3]
+    names = sorted(mixed.category_weights(space)[attribute])
     quotas = dict.fromkeys(names, 2)
     got, groups, value = (fairness.remote_edge if kind == "edge" else fairness.remote_clique)(space, attribute, quotas, 0.5)
     met = all(int((groups == g).sum()) == 2 for g in names)
-    return one(spark, n=space.size(), k=len(got), met=bool(met), apart=bool(value > 0))
+    # the points of each group are tuples of that group
+    strange = sum(int((space.group(attribute, g).count([Box.at(x) for x in got[groups == g]]) == 0).sum()) for g in names)
+    return one(spark, n=space.size(), groups=len(names), k=len(got), met=bool(met), strange=strange, apart=bool(value > 0))
 
 
 for _w, _a in (("w8", "segment"), ("w10", "lang")):
     for _kind in ("edge", "clique"):
-        add(f"fair_{_kind}_{_w}", f"SELECT count(*) AS n, 6 AS k, TRUE AS met, TRUE AS apart FROM {join_sql(WORKLOADS[_w])}", lambda spark, sf, w=_w, a=_a, kind=_kind: _fair(spark, sf, w, a, kind))
+        add(f"fair_{_kind}_{_w}", f"SELECT count(*) AS n, count(DISTINCT {_a}) AS groups, 2 * count(DISTINCT {_a}) AS k, count(*) > 0 AS met, 0 AS strange, count(*) > 0 AS apart FROM {join_sql(WORKLOADS[_w])}", lambda spark, sf, w=_w, a=_a, kind=_kind: _fair(spark, sf, w, a, kind))
 
 # measures
 
@@ -570,7 +678,7 @@ def _bracket(spark, sf):
     space = bind(spark, sf, "w9", scaled=True)
     p, w = points_of(space, sf, "w9")
     c = p[:: max(1, len(p) // 5)][:5]
-    low, high = measures.cost_bracket(lazy_tree(space, eps=0.25), c, 2)
+    low, high = measures.cost_bracket(lazy_tree(space, eps=0.25, leaf_cap=CAPS["w9"]), c, 2)
     value = local.cost(p, w, c, "means")
     return one(spark, n=int(w.sum()), inside=bool(low <= value <= high))
 
