@@ -2,9 +2,9 @@
 
 Native. A passage is a line, cut again behind sentence ends, and is scored against one-line notices. Lines, paragraphs, the header (the
 leading comment) and the whole text are also scored against the forms of `licence_forms`: titles, header paragraphs and whole licence texts, by
-the cosine of distinct terms, as the words of running text all repeat in a long licence. Only passages with all key words of a form have it. For the notices, only passages with an anchor term are scored: each
-template's anchors are its heaviest terms, rarer words first, taken until the rest has less than `threshold` of its length, so by
-Cauchy-Schwarz a passage without any anchor cannot reach the threshold; the terms that do occur bound it once more. A file takes its best passage. A file without
+the cosine of distinct terms, as the words of running text all repeat in a long licence. Only passages with all key words of a form have it. For the notices, only passages
+are scored whose terms hold enough of a template's length: by Cauchy-Schwarz the others cannot reach the threshold. That is tested first on the text, where a term may be part of a
+word, and again on the terms. A file takes its best passage. A file without
 a licence of its own takes that of the licence file in the nearest ancestor directory, found by joining its directory's
 prefixes to the directories that have one.
 
@@ -19,6 +19,7 @@ import json
 import math
 import re
 from collections import Counter
+from collections.abc import Callable
 from functools import reduce
 from operator import and_, or_
 
@@ -39,8 +40,6 @@ TEMPLATES = {
     "MIT": "Released under the MIT License.",
     "MPL-2.0": "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0.",
 }
-#: Fixed value: frequent words, which are the last to become anchors.
-FREQUENT = frozenset("a and are by for form in is of or source that the this to under use v work 0 2 3 4".split())
 TERM = "[a-z0-9]+"
 CUT = r"([.!?;])\s+"
 
@@ -76,28 +75,15 @@ def template_weights(templates: dict[str, str]) -> list[tuple[str, str, float]]:
     return out
 
 
-def anchors(templates: dict[str, str], threshold: float) -> list[str]:
-    found: set[str] = set()
-    for name in templates:
-        own = sorted(((t not in FREQUENT, w, t) for n, t, w in template_weights(templates) if n == name), reverse=True)
-        rest = sum(w * w for _, w, _ in own)
-        for _, w, t in own:
-            if rest < (threshold * 0.999) ** 2:
-                break
-            found.add(t)
-            rest -= w * w
-    return sorted(found)
-
-
-def reachable(terms: Column, templates: dict[str, str], threshold: float) -> Column:
+def reachable(has: Callable[[str], Column], templates: dict[str, str], threshold: float) -> Column:
     """False only where the score must be below the threshold: it is at most the root of the squared weights of the
-    template's terms that occur (Cauchy-Schwarz again)."""
+    template's terms that occur, by Cauchy-Schwarz. has: whether a term occurs; it may also say so of terms that do not."""
     any_of = F.lit(False)
     for name in templates:
         mass = F.lit(0.0)
         for n, t, w in template_weights(templates):
             if n == name:
-                mass = mass + F.when(F.array_contains(terms, t), w * w).otherwise(0.0)
+                mass = mass + F.when(has(t), w * w).otherwise(0.0)
         any_of = any_of | (mass >= (threshold * 0.999) ** 2)
     return any_of
 
@@ -108,9 +94,9 @@ def own_licences(files: DataFrame, templates: dict[str, str] = TEMPLATES, thresh
     known, other = idf(templates)
     weights = F.broadcast(literal_rows(spark, template_weights(templates), "licence", "term", "w"))  # fixed size
     passages = files.select("path", text_key(F.col("text")).alias("text_key"), F.posexplode(F.split(F.regexp_replace(F.lower("text"), CUT, "$1\n"), "\n")).alias("no", "passage"))
-    passages = passages.where(F.col("passage").rlike(r"\b(" + "|".join(anchors(templates, threshold)) + r")\b"))
+    passages = passages.where(reachable(lambda t: F.contains("passage", F.lit(t)), templates, threshold))  # if only as parts of words: no terms are cut yet
     passages = passages.withColumn("terms", F.regexp_extract_all("passage", F.lit(TERM), F.lit(0)))
-    passages = passages.where(F.exists(F.array("terms"), lambda terms: reachable(terms, templates, threshold)))  # terms are cut once, not once a template
+    passages = passages.where(F.exists(F.array("terms"), lambda terms: reachable(lambda t: F.array_contains(terms, t), templates, threshold)))  # terms are cut once, not once a template
     # rows that repeat a path and text count once
     terms = passages.groupBy("path", "text_key", "no").agg(F.first("terms").alias("terms")).select("path", "text_key", "no", F.explode("terms").alias("term"))
     counts = terms.groupBy("path", "text_key", "no", "term").agg(F.count("*").alias("n"))
