@@ -60,11 +60,16 @@ def search(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, ho
     if how == "pairs":
         # the right rank's difference is at least bound / sqrt(d): below half the optimum no cover succeeds
         lo, hi = pool.rank_below(bound / 2 / math.sqrt(d)), pool.total
-        at: dict[int, float] = {}
+        failed = 0.0
         while lo < hi:
+            # between a failure and a success the rank in the middle of the radii is asked; ranks whose radii differ by less than the slack are one
             mid = (lo + hi) // 2
-            r = at.setdefault(mid, math.sqrt(d) * pool.at_rank(mid))
-            if r_best is not None and r >= r_best:  # another rank of a known radius
+            if failed and r_best is not None:
+                if r_best <= failed * (1 + eps / 4):
+                    break
+                mid = min(max(pool.rank_below(math.sqrt(failed * r_best) / math.sqrt(d)), lo), hi - 1)
+            r = math.sqrt(d) * pool.at_rank(mid)
+            if r_best is not None and r >= r_best * (1 - 1e-12):  # another rank of a known radius
                 hi = mid
                 continue
             tried += 1
@@ -72,13 +77,9 @@ def search(space, k: int, eps: float = 0.25, tree: SpatialTree | None = None, ho
             if got is not None:
                 best, r_best, hi = got, r, mid
             else:
-                lo = mid + 1
-                if r_best is not None and r_best - r <= 1e-9 * r_best:
-                    break
-                step = pool.at_rank(mid + 1)
-                if step * math.sqrt(d) <= r:  # skip equal differences
-                    lo = max(lo, sum(radius.pairs_up_to(v, r / math.sqrt(d) * (1 + 1e-9)) for v in pool.values))
-                    lo = min(lo, hi)
+                failed = max(failed, r)
+                lo = max(mid + 1, pool.rank_below(r / math.sqrt(d) * (1 + 2e-9)))  # equal differences fail alike
+                lo = min(lo, hi)
         if best is None:
             r_best = math.sqrt(d) * pool.at_rank(pool.total)
             best = cover(tree, k, r_best)

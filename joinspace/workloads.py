@@ -467,7 +467,7 @@ def _explosive(spark, sf, solve, objective, eps):
 
 
 _W3 = f"SELECT count(*) AS n, count(*) AS covered, 0 AS strange, count(*) > 0 AS k_ok, count(*) > 0 AS finite FROM {join_sql(WORKLOADS['w3'])}"
-add("kcenter_w3_coreset", _W3, lambda spark, sf: _explosive(spark, sf, lambda s, tree: kcenter.coreset_solve(s, K, 0.9, tree), "center", 0.2))
+add("kcenter_w3_coreset", _W3, lambda spark, sf: _explosive(spark, sf, lambda s, tree: kcenter.coreset_solve(s, K, 0.9, tree, how="geometric"), "center", 0.2))
 for _n, _p in (("kmeans", 2), ("kmedian", 1)):
     add(f"{_n}_w3", _W3, lambda spark, sf, p=_p: _explosive(spark, sf, lambda s, tree: kmeans.solve(s, K, 0.9, p, tree=tree, constants=kmeans.LIGHT), "means" if p == 2 else "median", 0.9))
 
