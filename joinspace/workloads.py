@@ -126,6 +126,10 @@ for _w in BOXES:
 HOLES = {"w9": ([(0, 8000), (0, 8000)], [(1000, 3000), (0, 4000)]), "w11": ([(5, 45), (0.01, 0.1), (0, 0.08)], [(20, 25), (0.03, 0.06), (0.02, 0.05)]), "w2": ([(0, 90_000), (0, 90_000)], [(20_000, 40_000), (20_000, 40_000)])}
 
 
+#: Two for each coordinate, less one for each face that box and hole share.
+SLABS = {"w9": 3, "w11": 6, "w2": 4}
+
+
 def _region(w: str) -> Region:
     outer, hole = ([np.array(v, float) for v in zip(*b, strict=True)] for b in HOLES[w])
     return Region(Box(*outer), Box(*hole))
@@ -133,13 +137,13 @@ def _region(w: str) -> Region:
 
 def _count_hole(spark, sf, w):
     space, r = bind(spark, sf, w), _region(w)
-    return one(spark, n=int(space.count_regions([r])[0]), by_slabs=int(sum(space.count(r.slabs()))), slabs_ok=len(r.slabs()) <= 2 * len(space.coords))
+    return one(spark, n=int(space.count_regions([r])[0]), by_slabs=int(sum(space.count(r.slabs()))), slabs=len(r.slabs()))
 
 
 for _w in HOLES:
     _spec = WORKLOADS[_w]
     _test = f"{in_box(_spec, HOLES[_w][0])} AND NOT ({in_box(_spec, HOLES[_w][1])})"
-    add(f"count_hole_{_w}", f"SELECT count(*) AS n, count(*) AS by_slabs, TRUE AS slabs_ok FROM {join_sql(_spec)} WHERE {_test}", lambda spark, sf, w=_w: _count_hole(spark, sf, w))
+    add(f"count_hole_{_w}", f"SELECT count(*) AS n, count(*) AS by_slabs, {SLABS[_w]} AS slabs FROM {join_sql(_spec)} WHERE {_test}", lambda spark, sf, w=_w: _count_hole(spark, sf, w))
 
 
 def _report(spark, sf, w, i):
@@ -320,18 +324,18 @@ def _sample(spark, sf, w, z=2000):
     some = np.unique(got, axis=0)[:40]
     inside = space.count([Box.at(x) for x in some])
     boxes = [h for b in space.root_box().halves()[:2] for h in b.halves()[:2]]
-    return one(spark, n=space.size(), drawn=len(got), members=bool((inside > 0).all()), even=measures.sample_discrepancy(space, got, boxes) < 0.06)
+    return one(spark, n=space.size(), drawn=len(got), strange=int((inside == 0).sum()), even=measures.sample_discrepancy(space, got, boxes) < 0.06)
 
 
 def _sample_hole(spark, sf, w, z=1000):
     space, r = bind(spark, sf, w), _region(w)
     got = space.sample_regions([r], [z])[0]
-    return one(spark, n=int(space.count_regions([r])[0]), drawn=len(got), members=bool(r.contains(got).all()))
+    return one(spark, n=int(space.count_regions([r])[0]), drawn=len(got), strange=int((~r.contains(got)).sum()))
 
 
 for _w in ("w9", "w3", "w11"):
-    add(f"sample_{_w}", f"SELECT count(*) AS n, 2000 AS drawn, TRUE AS members, TRUE AS even FROM {join_sql(WORKLOADS[_w])}", lambda spark, sf, w=_w: _sample(spark, sf, w))
-add("sample_hole_w9", f"SELECT count(*) AS n, 1000 AS drawn, TRUE AS members FROM {join_sql(WORKLOADS['w9'])} WHERE {in_box(WORKLOADS['w9'], HOLES['w9'][0])} AND NOT ({in_box(WORKLOADS['w9'], HOLES['w9'][1])})", lambda spark, sf: _sample_hole(spark, sf, "w9"))
+    add(f"sample_{_w}", f"SELECT count(*) AS n, 2000 AS drawn, 0 AS strange, TRUE AS even FROM {join_sql(WORKLOADS[_w])}", lambda spark, sf, w=_w: _sample(spark, sf, w))
+add("sample_hole_w9", f"SELECT count(*) AS n, 1000 AS drawn, 0 AS strange FROM {join_sql(WORKLOADS['w9'])} WHERE {in_box(WORKLOADS['w9'], HOLES['w9'][0])} AND NOT ({in_box(WORKLOADS['w9'], HOLES['w9'][1])})", lambda spark, sf: _sample_hole(spark, sf, "w9"))
 
 # trees
 
@@ -433,7 +437,7 @@ _METHODS: dict[str, tuple[str, Callable, float | None, bool]] = {
 def _method(w: str, pattern: str) -> None:
     objective, solve, factor, snapped = _METHODS[pattern]
     near = "" if factor is None else ", TRUE AS near_reference"
-    add(pattern.format(w=w), f"SELECT count(*) AS n, count(*) AS covered, 0 AS strange, count(*) > 0 AS k_ok{near} FROM {join_sql(WORKLOADS[w])}", lambda spark, sf: verdict(spark, sf, w, objective, solve, factor, snapped))
+    add(pattern.format(w=w), f"SELECT count(*) AS n, count(*) AS covered, 0 AS strange, TRUE AS k_ok{near} FROM {join_sql(WORKLOADS[w])}", lambda spark, sf: verdict(spark, sf, w, objective, solve, factor, snapped))
 
 
 for _name in _METHODS:
@@ -466,7 +470,7 @@ def _explosive(spark, sf, solve, objective, eps):
     return one(spark, n=tree.n, covered=int(covered), strange=int((inside == 0).sum()), k_ok=len(found.centres) <= K, finite=bool(finite))
 
 
-_W3 = f"SELECT count(*) AS n, count(*) AS covered, 0 AS strange, count(*) > 0 AS k_ok, count(*) > 0 AS finite FROM {join_sql(WORKLOADS['w3'])}"
+_W3 = f"SELECT count(*) AS n, count(*) AS covered, 0 AS strange, TRUE AS k_ok, TRUE AS finite FROM {join_sql(WORKLOADS['w3'])}"
 add("kcenter_w3_coreset", _W3, lambda spark, sf: _explosive(spark, sf, lambda s, tree: kcenter.coreset_solve(s, K, 0.9, tree, how="geometric"), "center", 0.2))
 for _n, _p in (("kmeans", 2), ("kmedian", 1)):
     add(f"{_n}_w3", _W3, lambda spark, sf, p=_p: _explosive(spark, sf, lambda s, tree: kmeans.solve(s, K, 0.9, p, tree=tree, constants=kmeans.LIGHT), "means" if p == 2 else "median", 0.9))
@@ -520,7 +524,7 @@ def _ratios(spark, sf, k=3):
 
 
 _OF = {x: f"(SELECT cost FROM ({_exact_sql('w12', x, 3)}))" for x in ("center", "median", "means")}
-add("ratios_w12", " UNION ALL ".join(f"SELECT '{m}' AS method, '{x}' AS objective, {_OF[x]} AS optimum, {_OF[x]} >= 0 AS within" for m, x in (("first", "center"), ("ladder", "center"), ("coreset", "center"), ("hierarchical", "center"), ("bicriteria", "means"), ("bicriteria", "median"), ("coreset", "means"), ("coreset", "median"), ("hierarchical", "means"), ("hierarchical", "median"))), _ratios)
+add("ratios_w12", " UNION ALL ".join(f"SELECT '{m}' AS method, '{x}' AS objective, {_OF[x]} AS optimum, TRUE AS within" for m, x in (("first", "center"), ("ladder", "center"), ("coreset", "center"), ("hierarchical", "center"), ("bicriteria", "means"), ("bicriteria", "median"), ("coreset", "means"), ("coreset", "median"), ("hierarchical", "means"), ("hierarchical", "median"))), _ratios)
 
 
 def _bicriteria(spark, sf, power):
@@ -528,13 +532,13 @@ def _bicriteria(spark, sf, power):
     found = kmeans.bicriteria(space, K, 0.5, power, leaf_cap=CAPS["w9"])
     p, w = points_of(space, sf, "w9")
     value = local.cost(p, w, found.centres, "means" if power == 2 else "median")
-    halves = all(2 * r["covered"] >= r["tau"] for r in found.trace["rounds"])
+    thin = sum(2 * r["covered"] < r["tau"] for r in found.trace["rounds"])
     reference = local.cost(p, w, local.solver("means" if power == 2 else "median")(p, w, K)[0], "means" if power == 2 else "median")
-    return one(spark, n=int(w.sum()), cost_le_estimate=bool(value <= found.estimate + 1e-9 or not found.trace["rounds"]), within=bool(found.estimate <= 85 * reference), halves=bool(halves), more=len(found.centres) >= K)
+    return one(spark, n=int(found.trace["n"]), cost_le_estimate=bool(value <= found.estimate + 1e-9 or not found.trace["rounds"]), within=bool(found.estimate <= 85 * reference), thin_rounds=int(thin), more=len(found.centres) >= K)
 
 
 for _p, _n in ((2, "means"), (1, "median")):
-    add(f"bicriteria_{_n}_w9", f"SELECT count(*) AS n, TRUE AS cost_le_estimate, TRUE AS within, TRUE AS halves, TRUE AS more FROM {join_sql(WORKLOADS['w9'])}", lambda spark, sf, p=_p: _bicriteria(spark, sf, p))
+    add(f"bicriteria_{_n}_w9", f"SELECT count(*) AS n, TRUE AS cost_le_estimate, TRUE AS within, 0 AS thin_rounds, TRUE AS more FROM {join_sql(WORKLOADS['w9'])}", lambda spark, sf, p=_p: _bicriteria(spark, sf, p))
 
 
 def _cores(spark, sf, kind):
@@ -593,9 +597,9 @@ def _mixed(spark, sf, w, how, objective="means"):
 
 for _w in ("w7", "w10"):
     for _how in ("ours", "grid", "one_hot"):
-        add(f"mixed_{_w}_{_how}", f"SELECT count(*) AS n, count(*) > 0 AS k_ok, count(*) AS weight, count(*) > 0 AS near_flat FROM {join_sql(WORKLOADS[_w])}", lambda spark, sf, w=_w, how=_how: _mixed(spark, sf, w, how))
+        add(f"mixed_{_w}_{_how}", f"SELECT count(*) AS n, TRUE AS k_ok, count(*) AS weight, TRUE AS near_flat FROM {join_sql(WORKLOADS[_w])}", lambda spark, sf, w=_w, how=_how: _mixed(spark, sf, w, how))
 for _o in ("median", "center"):
-    add(f"mixed_w10_{_o}", f"SELECT count(*) AS n, count(*) > 0 AS k_ok, count(*) AS weight, count(*) > 0 AS near_flat FROM {join_sql(WORKLOADS['w10'])}", lambda spark, sf, o=_o: _mixed(spark, sf, "w10", "ours", o))
+    add(f"mixed_w10_{_o}", f"SELECT count(*) AS n, TRUE AS k_ok, count(*) AS weight, TRUE AS near_flat FROM {join_sql(WORKLOADS['w10'])}", lambda spark, sf, o=_o: _mixed(spark, sf, "w10", "ours", o))
 
 
 def _class_tree(spark, sf):
@@ -614,7 +618,7 @@ def _class_tree(spark, sf):
     return spark.createDataFrame(rows, "cr int, cs int, n long, same boolean")
 
 
-add("class_counts_tree_w7", f"SELECT CASE WHEN returnflag = 'N' THEN 2 ELSE 1 END AS cr, CASE segment WHEN 'MACHINERY' THEN 2 WHEN 'FURNITURE' THEN 3 ELSE 1 END AS cs, count(*) AS n, count(*) > 0 AS same FROM {join_sql(WORKLOADS['w7'])} GROUP BY 1, 2", _class_tree)
+add("class_counts_tree_w7", f"SELECT CASE WHEN returnflag = 'N' THEN 2 ELSE 1 END AS cr, CASE segment WHEN 'MACHINERY' THEN 2 WHEN 'FURNITURE' THEN 3 ELSE 1 END AS cs, count(*) AS n, TRUE AS same FROM {join_sql(WORKLOADS['w7'])} GROUP BY 1, 2", _class_tree)
 
 # diversity and fairness
 
@@ -659,7 +663,7 @@ def _fair(spark, sf, w, attribute, kind):
 
 for _w, _a in (("w8", "segment"), ("w10", "lang")):
     for _kind in ("edge", "clique"):
-        add(f"fair_{_kind}_{_w}", f"SELECT count(*) AS n, count(DISTINCT {_a}) AS groups, 2 * count(DISTINCT {_a}) AS k, count(*) > 0 AS met, 0 AS strange, count(*) > 0 AS apart FROM {join_sql(WORKLOADS[_w])}", lambda spark, sf, w=_w, a=_a, kind=_kind: _fair(spark, sf, w, a, kind))
+        add(f"fair_{_kind}_{_w}", f"SELECT count(*) AS n, count(DISTINCT {_a}) AS groups, 2 * count(DISTINCT {_a}) AS k, TRUE AS met, 0 AS strange, TRUE AS apart FROM {join_sql(WORKLOADS[_w])}", lambda spark, sf, w=_w, a=_a, kind=_kind: _fair(spark, sf, w, a, kind))
 
 # measures
 
