@@ -2,22 +2,15 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import hypergraph
+from .files import written_folder
 from .space import COUNT, JoinSpace, key
 from .spec import JoinSpec, Relation
 
 
-def _folder(space: JoinSpace) -> str:
-    base = space.spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-    return f"{base.rstrip('/')}/bags-{uuid.uuid4().hex}"
-
-
 def to_acyclic(space: JoinSpace, write: bool = True) -> JoinSpace:
     """Each bag joins the relations that meet it, cut to its attributes; a relation's coordinates and multiplicities go
     to exactly one bag that covers it. A bag has at most N**width rows."""
@@ -28,7 +21,7 @@ def to_acyclic(space: JoinSpace, write: bool = True) -> JoinSpace:
     home: dict[str, int] = {}
     for name, e in edges.items():
         home[name] = next(i for i, b in enumerate(plan.bags) if e <= b)
-    folder = _folder(space)
+    folder = written_folder(space.spark, "bags")
     relations, frames, owned = [], {}, {}
     for i, bag in enumerate(plan.bags):
         out: DataFrame | None = None

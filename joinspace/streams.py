@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 
 from . import local
 from .coreset import _grouped
+from .files import written_folder
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -34,16 +35,9 @@ def source(spark: SparkSession, sf: str, table: str = "events") -> DataFrame:
     return spark.readStream.schema(schema).parquet(at).withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def _folder(spark: SparkSession) -> str:
-    import tempfile
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-    return f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}"
-
-
 def drained(spark: SparkSession, df: DataFrame, mode: str = "append") -> DataFrame:
     """Runs a stream over what is there, into Parquet (append) or memory (complete, update), and reads the result."""
-    at = _folder(spark)
+    at = written_folder(spark, "stream")
     w = df.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{at}/state")
     if mode == "append":
         w.format("parquet").option("path", f"{at}/out").start().awaitTermination()
@@ -129,7 +123,7 @@ def stream_stateful_moments(spark, sf):
 @_add("SELECT count(*) AS n, TRUE AS weight_ok, TRUE AS small FROM events")
 def stream_coreset_merge(spark, sf):
     """Every micro-batch becomes a weighted coreset (in a task per part); coresets merge and are reduced again."""
-    at = _folder(spark)
+    at = written_folder(spark, "stream")
 
     def fold(batch: DataFrame, number: int) -> None:
         def part(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

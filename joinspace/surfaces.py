@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -11,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import local
+from .files import written_folder
 from .region import Box, Region
 from .relops import QUERIES, SQL, op, t
 from .sources.centres import CentreSource
@@ -18,17 +18,10 @@ from .sources.centres import CentreSource
 __all__ = ["QUERIES", "SQL", "CentreSource", "register"]
 
 
-def _folder(spark: SparkSession) -> str:
-    import tempfile
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-    return f"{base.rstrip('/')}/trip-{uuid.uuid4().hex}"
-
-
 def _trip(kind: str):
     def run(spark: SparkSession, sf: str) -> DataFrame:
         rows = t(spark, sf, "nation")
-        at = _folder(spark)
+        at = written_folder(spark, "trip")
         w = rows.write.format(kind)
         (w.partitionBy("n_regionkey") if kind == "parquet" else w).save(at)
         return spark.read.schema(rows.schema).format(kind).load(at).select(*rows.columns)

@@ -407,6 +407,17 @@ def verdict(spark, sf, w, objective: str, solve: Callable, factor: float | None,
     return one(spark, **facts, near_reference=bool(value <= factor * reference))
 
 
+#: The methods alone, for timing: without the checks on the materialised join.
+TIMED: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+
+
+def timed(spark, sf, w, solve: Callable) -> DataFrame:
+    space = bind(spark, sf, w, scaled=True)
+    found = solve(space, {})
+    space.release()
+    return one(spark, centres=len(found.centres), estimate=float(found.estimate))
+
+
 def unbounded(found):
     """For methods whose own value is no bound of the cost over the join."""
     return type(found)(found.centres, float("nan"), found.trace)
@@ -436,6 +447,7 @@ _METHODS: dict[str, tuple[str, Callable, float | None, bool]] = {
 
 def _method(w: str, pattern: str) -> None:
     objective, solve, factor, snapped = _METHODS[pattern]
+    TIMED[pattern.format(w=w)] = lambda spark, sf: timed(spark, sf, w, solve)
     near = "" if factor is None else ", TRUE AS near_reference"
     add(pattern.format(w=w), f"SELECT count(*) AS n, count(*) AS covered, 0 AS strange, TRUE AS k_ok{near} FROM {join_sql(WORKLOADS[w])}", lambda spark, sf: verdict(spark, sf, w, objective, solve, factor, snapped))
 
@@ -463,7 +475,7 @@ def _explosive(spark, sf, solve, objective, eps):
     tree.reset()
     reach = found.estimate if objective == "center" else tree.root.region.outer.diameter
     covered = tree.count(found.centres, reach)
-    finite = 0 < found.estimate < math.inf
+    finite = 0 < found.estimate < math.inf and covered == tree.n
     if objective != "center":
         finite = finite and found.estimate >= measures.cost_bracket(tree, found.centres, 2 if objective == "means" else 1)[0] * (1 - 1e-9)
     space.release()
