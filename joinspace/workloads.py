@@ -17,7 +17,7 @@ from . import baselines, coreset, cyclic, diversity, fairness, hypergraph, kcent
 from .region import Box, Region
 from .space import JoinSpace
 from .spec import WORKLOADS, JoinSpec
-from .tree import ClassTree, SpaceBackend, SpatialTree, lazy_tree
+from .tree import ClassTree, SpaceBackend, SpatialTree, flat_tree, lazy_tree
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -700,3 +700,117 @@ def _bracket(spark, sf):
 
 
 add("cost_bracket_w9", f"SELECT count(*) AS n, TRUE AS inside FROM {join_sql(WORKLOADS['w9'])}", _bracket)
+
+
+# balls, box queries and traces with exact numbers
+
+#: Centre and radius of a ball in the coordinates' own units.
+BALLS = {"w9": ((4000.0, 3000.0), 2500.0), "w6": ((0.0, 50.0, 250_000.0, 25.0), 60_000.0)}
+_NORMS = {"l2": lambda ds: "sqrt(" + " + ".join(f"({d}) ** 2" for d in ds) + ")", "l1": lambda ds: " + ".join(f"abs({d})" for d in ds), "linf": lambda ds: f"greatest({', '.join(f'abs({d})' for d in ds)})"}
+
+
+def _ball(spark, sf, w, metric):
+    """With next to no slack the sandwich closes: the tree's count is the number of tuples within the radius."""
+    space, (c, r) = bind(spark, sf, w), BALLS[w]
+    tree = lazy_tree(space, eps=1e-12, leaf_cap=CAPS.get(w, 60_000), draws=600, metric=metric)
+    seen, gone = tree.count(np.array(c), r), tree.deactivate(np.array(c), r)
+    out = one(spark, inside=int(seen), gone=int(gone), rest=int(tree.active), reported=int(round(tree.report()[1].sum())))
+    space.release()
+    return out
+
+
+for _w, _metrics in (("w9", ("l2", "l1", "linf")), ("w6", ("l2",))):
+    for _m in _metrics:
+        _spec = WORKLOADS[_w]
+        _d = _NORMS[_m]([f"{c} - {float(x)!r}" for c, x in zip(_spec.coords, BALLS[_w][0], strict=True)])
+        _r = BALLS[_w][1]
+        add(f"ball_{_m}_{_w}", f"SELECT count(*) FILTER (WHERE {_d} <= {_r}) AS inside, count(*) FILTER (WHERE {_d} <= {_r}) AS gone, count(*) FILTER (WHERE {_d} > {_r}) AS rest, count(*) FILTER (WHERE {_d} > {_r}) AS reported FROM {join_sql(_spec)}", lambda spark, sf, w=_w, m=_m: _ball(spark, sf, w, m))
+
+
+def _tree_box(spark, sf):
+    """Box queries of the lazy tree: count, deactivate, and what is left; a representative of the box lies in it."""
+    space, box = bind(spark, sf, "w9"), boxes_of("w9")[1]
+    tree = lazy_tree(space, eps=0.5, leaf_cap=CAPS["w9"], draws=600)
+    seen, rep = tree.count_box(box), tree.represent_box(box)
+    gone = tree.deactivate_box(box)
+    out = one(spark, inside=int(seen), gone=int(gone), rest=int(tree.active), strange=int(rep is None or not box.contains(rep)))
+    space.release()
+    return out
+
+
+_in = in_box(WORKLOADS["w9"], BOXES["w9"][1])
+add("tree_after_deactivate_w9", f"SELECT count(*) FILTER (WHERE {_in}) AS inside, count(*) FILTER (WHERE {_in}) AS gone, count(*) FILTER (WHERE NOT ({_in})) AS rest, 0 AS strange FROM {join_sql(WORKLOADS['w9'])}", _tree_box)
+
+
+def _blow(spark, sf, w):
+    n, base, factor = measures.blow_up(bind(spark, sf, w))
+    return one(spark, n=int(n), base=int(base), factor=float(round(factor, 6)))
+
+
+for _w in ("w2", "w3", "w6", "w9"):
+    _base = " + ".join(f"(SELECT count(*) FROM {r.table})" for r in WORKLOADS[_w].relations)
+    add(f"blow_up_{_w}", f"SELECT count(*) AS n, {_base} AS base, round(count(*) / ({_base}), 6) AS factor FROM {join_sql(WORKLOADS[_w])}", lambda spark, sf, w=_w: _blow(spark, sf, w))
+
+
+def _region_rep(spark, sf):
+    space, r = bind(spark, sf, "w9"), _region("w9")
+    x = space.represent_regions([r])[0]
+    return one(spark, found=int(x is not None), strange=int(x is not None and (not r.contains(x) or space.count([Box.at(x)])[0] == 0)))
+
+
+_in = f"{in_box(WORKLOADS['w9'], HOLES['w9'][0])} AND NOT ({in_box(WORKLOADS['w9'], HOLES['w9'][1])})"
+add("rep_hole_w9", f"SELECT CAST(count(*) > 0 AS BIGINT) AS found, 0 AS strange FROM {join_sql(WORKLOADS['w9'])} WHERE {_in}", _region_rep)
+
+
+def _cover_flat(spark, sf):
+    """Known radius, on points and by ball queries on a tree over them: at a radius that must do, both serve every tuple within twice it (and the slack)."""
+    space = bind(spark, sf, "w9", scaled=True)
+    p, w = points_of(space, sf, "w9")
+    r = local.cost(p, w, local.farthest_first(p, K), "center")  # at least the optimum of K centres
+    a, b = local.cover(p, K, r), local.cover_tree(flat_tree(p, w, eps=0.2, leaf_cap=64), K, r)
+    near = lambda c, reach: int(round(w[local.assign(p, c)[1] <= reach * (1 + 1e-9)].sum()))
+    return one(spark, flat=near(a, 2 * r), tree=near(b, 2 * 1.2 * r))
+
+
+add("cover_flat_w9", f"SELECT count(*) AS flat, count(*) AS tree FROM {join_sql(WORKLOADS['w9'])}", _cover_flat)
+
+
+def _seeds(spark, sf, seeds=5):
+    """How many of several seeds give a tree whose ball count lies in its sandwich."""
+    space = bind(spark, sf, "w9", scaled=True)
+    p, w = points_of(space, sf, "w9")
+    good = 0
+    for seed in range(seeds):
+        tree = lazy_tree(space, eps=0.5, leaf_cap=CAPS["w9"], draws=600, seed=seed)
+        d = np.linalg.norm(p - tree.root.rep, axis=1)
+        good += bool(w[d <= 0.2].sum() <= tree.count(tree.root.rep, 0.2) <= w[d <= 0.3 * (1 + 1e-9)].sum())
+    space.release()
+    return one(spark, seeds=seeds, good=int(good))
+
+
+add("success_seeds_w9", "SELECT 5 AS seeds, 5 AS good", _seeds)
+
+
+def _rounds(spark, sf, w):
+    """Trace of the rounds: what was active, the last heavy level, and the tuples that each level took."""
+    space = bind(spark, sf, w, scaled=True)
+    found = kmeans.bicriteria(space, K, 0.5, 2, constants=kmeans.LIGHT, leaf_cap=CAPS[w])
+    rows = [(i, int(r["tau"]), int(r["beta"]), j, float(x), int(n)) for i, r in enumerate(found.trace["rounds"]) for j, (x, n) in enumerate(zip(r["radii"], r["counts"], strict=True))]
+    space.release()
+    return spark.createDataFrame(rows, "round int, tau long, beta int, level int, radius double, cnt long")
+
+
+add("trace_rounds_w9", None, lambda spark, sf: _rounds(spark, sf, "w9"))
+
+
+def _tree_facts(spark, sf):
+    """Height, nodes, canonical nodes of a ball, jobs, and the inner shares of the shrink steps of an opened tree."""
+    space = bind(spark, sf, "w9", scaled=True)
+    tree = lazy_tree(space, eps=0.25, leaf_cap=100, draws=600).build()
+    tree.count(tree.root.rep, 0.25)
+    s = tree.stats
+    space.release()
+    return one(spark, n=tree.n, nodes=s.nodes, height=s.height, canonical=max(s.canonical), jobs=s.jobs, drawn=s.drawn, shrinks=len(s.balance), largest_share=float(max(s.balance, default=0.0)))
+
+
+add("trace_tree_w9", None, _tree_facts)
