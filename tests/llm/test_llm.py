@@ -453,6 +453,32 @@ def test_components(spark):
     assert connected(spark.createDataFrame([], "a long, b long"), Scratch(spark)).count() == 0
 
 
+def test_components_against_union_find(spark):
+    """Random graphs with stars around the greatest, the least and a middle node, node numbers of either sign and chains numbered at random."""
+    from joinspace.llm.components import connected
+
+    rng = np.random.default_rng(8)
+    chain = rng.permutation(np.arange(5000, 5200))
+    rows = [*zip(chain, chain[1:], strict=False), *((i, 999) for i in range(900, 999)), *((-50, i) for i in range(300, 400)), *((2050, i) for i in range(2000, 2100))]
+    rows += [tuple(x) for x in rng.integers(-40, 160, (150, 2))]
+    rows = [(int(a), int(b)) for a, b in rows]
+    root = {x: x for pair in rows if pair[0] != pair[1] for x in pair}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a, b in rows:
+        if a != b:
+            p, q = find(a), find(b)
+            root[max(p, q)] = min(p, q)
+    scratch = Scratch(spark)
+    got = [(r["node"], r["label"]) for r in connected(spark.createDataFrame(rows, "a long, b long"), scratch).collect()]
+    assert sorted(got) == sorted((x, find(x)) for x in root)
+    assert set(scratch.made) == {"cc-labels"}
+
+
 def test_substrings(spark, odd, none):
     got = {r["doc_id"]: r for r in substrings.removals(odd, 50).collect()}
     assert got[1]["n_removed"] == 0 and got[2]["n_removed"] == 160 and got[7]["n_removed"] == 160
