@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pytest
 
-from joinspace import resident
+from joinspace import baselines, resident, tree
 from joinspace.region import Box, Region
 from joinspace.space import JoinSpace
 from joinspace.spec import WORKLOADS
@@ -47,3 +47,28 @@ def test_large_relations_stay_with_spark(spark, sf):
     space = JoinSpace.bind(spark, sf, WORKLOADS["w9"])
     assert resident.of(space, 10) is None
     assert SpaceBackend(space, 10).space is space and SpaceBackend(space).space is not space
+
+
+def test_materialized_is_limited_by_what_it_holds(spark, sf):
+    """Copies of a tuple are one row: a join of many of them is not refused."""
+    space = JoinSpace.bind(spark, sf, WORKLOADS["w11"])
+    points, w = baselines.materialized(space)
+    assert space.size() == w.sum() > len(points)
+    again, v = baselines.materialized(space, most=len(points))
+    assert len(again) == len(points) and v.sum() == w.sum()
+    with pytest.raises(ValueError):
+        baselines.materialized(space, most=len(points) - 1)
+
+
+def test_walk_asks_centres_near_the_parent(monkeypatch):
+    """Many centres: nodes only meet those within reach of their parent, and the count is the same."""
+    rng = np.random.default_rng(2)
+    points, centres = rng.random((4000, 2)), rng.random((300, 2))
+    asked = []
+    plain = tree.distance_bounds
+    monkeypatch.setattr(tree, "distance_bounds", lambda box, c, metric: asked.append(len(c)) or plain(box, c, metric))
+    t = tree.flat_tree(points, eps=1e-12, leaf_cap=20)
+    d = np.sqrt(((points[:, None] - centres[None]) ** 2).sum(-1)).min(1)
+    assert t.count(centres, 0.02) == (d <= 0.02).sum()
+    assert sum(asked) < 0.2 * len(asked) * len(centres)
+    assert t.deactivate(centres, 0.03) == (d <= 0.03).sum() and t.reported() == t.report()[1].sum() == (d > 0.03).sum()
