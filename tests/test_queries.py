@@ -46,3 +46,18 @@ def test_entry_without_llm(spark, monkeypatch):
     with pytest.raises(ModuleNotFoundError):
         import joinspace.llm  # noqa: F401
     assert not any(n.startswith("op1_") for n in __spark_entry__.queries())
+
+
+@pytest.mark.parametrize("name", ["op_source_centres", "query_structure"])
+def test_tables_are_read(spark, sf, tmp_path, name):
+    """Rows that a table gains change the result, which still is that of the SQL."""
+    import os
+
+    for f in os.listdir(sf):
+        if f != "customer.parquet":
+            (tmp_path / f).symlink_to(f"{sf}/{f}")
+    rows = spark.read.parquet(f"{sf}/customer.parquet")
+    rows.unionByName(rows.limit(7)).coalesce(1).write.parquet(str(tmp_path / "customer.parquet"))
+    (query, sql) = next((m.QUERIES[name], m.SQL[name]) for m in (surfaces, workloads) if name in m.SQL)
+    assert differs(spark, query, sql, sf) == ""
+    assert sorted(query(spark, sf).collect()) != sorted(query(spark, str(tmp_path)).collect())
