@@ -154,7 +154,8 @@ def with_forms(files: DataFrame, forms: list[tuple[str, list[str], str]], thresh
     has = lambda terms: reduce(or_, (reduce(and_, (F.array_contains(terms, t) for t in key)) for key in keys))
     passages = passages.where(F.exists(F.array("terms"), has))
     # No term weighs more than an unknown one, so by Cauchy-Schwarz too many unknown ones for those known keep every score below the threshold.
-    strange = F.size(F.array_except("terms", F.array(*[F.lit(t) for t in sorted(known)])))
+    # One set of known terms serves all rows: array_except would fill a table of them for each row.
+    strange = F.size(F.filter("terms", lambda t: ~t.isin(sorted(known))))
     passages = passages.where(strange * threshold**2 * 0.999 <= (1 - threshold**2) * (F.size("terms") - strange))
     # rows that repeat a path and text count once
     passages = passages.groupBy("path", "text_key", "no").agg(F.first("terms").alias("terms"))
