@@ -72,3 +72,28 @@ def test_walk_asks_centres_near_the_parent(monkeypatch):
     assert t.count(centres, 0.02) == (d <= 0.02).sum()
     assert sum(asked) < 0.2 * len(asked) * len(centres)
     assert t.deactivate(centres, 0.03) == (d <= 0.03).sum() and t.reported() == t.report()[1].sum() == (d > 0.03).sum()
+
+
+def test_inner_boxes_start_from_kept_rows(spark, sf):
+    """Boxes inside boxes: the rows looked at follow the enclosing box, counts and least tuples stay Spark's."""
+    space = JoinSpace.bind(spark, sf, WORKLOADS["w6"]).cached()
+    near, boxes, box = resident.of(space), [], space.root_box()
+    for i in range(7):
+        box = box.halves()[i % 2]
+        boxes.append(box)
+    (n, reps), (m, seen) = space.count_and_represent(boxes), near.count_and_represent(boxes)
+    assert list(n) == list(m)
+    assert all((a is None and b is None) or (a == b).all() for a, b in zip(reps, seen, strict=True))
+    slot = near._around(boxes[-1])
+    assert slot is not None and near.held_many[slot] < sum(map(len, near.w.values())) / 4
+    assert near.root_box().same(space.root_box())
+
+
+def test_reported_weight_is_summed_in_parts(spark, sf, monkeypatch):
+    space = JoinSpace.bind(spark, sf, WORKLOADS["w6"])
+    near = resident.of(space)
+    monkeypatch.setattr(resident, "CHUNK", 500)
+    parts = [len(x) for _, x, _ in near._picked(near.root_box(), resident.CHUNK)]
+    most = near._weighted(near.root_box())[near.tree.root][1].max()
+    assert len(parts) > 10 and max(parts) <= resident.CHUNK + most
+    assert near.reported_weight([Region(near.root_box())]) == near.size() == space.size()
