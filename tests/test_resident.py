@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pytest
 
-from joinspace import baselines, resident, tree
+from joinspace import baselines, mixed, resident, tree
 from joinspace.region import Box, Region
 from joinspace.space import JoinSpace
 from joinspace.spec import WORKLOADS
@@ -97,3 +97,17 @@ def test_reported_weight_is_summed_in_parts(spark, sf, monkeypatch):
     most = near._weighted(near.root_box())[near.tree.root][1].max()
     assert len(parts) > 10 and max(parts) <= resident.CHUNK + most
     assert near.reported_weight([Region(near.root_box())]) == near.size() == space.size()
+
+
+def test_classes_in_memory(spark, sf):
+    """Class counts and reports of a tree pass messages in memory too, and agree with Spark's."""
+    own = {"returnflag": ["R", "N"], "segment": ["BUILDING", "MACHINERY", "FURNITURE"]}
+    space = mixed.classed(JoinSpace.bind(spark, sf, WORKLOADS["w7"], cats=list(own)), own)
+    near, far = tree.ClassBackend(space), tree.ClassBackend(space, 10)
+    assert isinstance(near.space, resident.ResidentSpace) and far.space is space
+    box = near.root_box()
+    inner = Box(box.lo + (box.hi - box.lo) / 4, box.lo + (box.hi - box.lo) / 2)
+    regions = [Region(box), Region(inner), Region(box, inner)]
+    assert near.count_classes(regions) == far.count_classes(regions)
+    for (p, w, tags), (q, v, names) in zip(near.report_classes(regions[1:2]), far.report_classes(regions[1:2]), strict=True):
+        assert sorted(zip(map(tuple, p), w, tags)) == sorted(zip(map(tuple, q), v, names))
