@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pytest
 
-from joinspace import baselines, mixed, resident, tree
+from joinspace import baselines, mixed, radius, resident, tree
 from joinspace.region import Box, Region
 from joinspace.space import JoinSpace
 from joinspace.spec import WORKLOADS
@@ -111,3 +111,12 @@ def test_classes_in_memory(spark, sf):
     assert near.count_classes(regions) == far.count_classes(regions)
     for (p, w, tags), (q, v, names) in zip(near.report_classes(regions[1:2]), far.report_classes(regions[1:2]), strict=True):
         assert sorted(zip(map(tuple, p), w, tags)) == sorted(zip(map(tuple, q), v, names))
+
+
+def test_radius_pool_by_columns(spark, sf, monkeypatch):
+    """Base values come as columns, not as Python rows."""
+    space = JoinSpace.bind(spark, sf, WORKLOADS["w8"])
+    rows = space.value_pool().collect()
+    monkeypatch.setattr("pyspark.sql.classic.dataframe.DataFrame.toPandas", None)
+    for c, v in zip(space.coords, radius.pool(space).values, strict=True):
+        assert list(v) == sorted(r["value"] for r in rows if r["attr"] == c)
