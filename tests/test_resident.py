@@ -120,3 +120,15 @@ def test_radius_pool_by_columns(spark, sf, monkeypatch):
     monkeypatch.setattr("pyspark.sql.classic.dataframe.DataFrame.toPandas", None)
     for c, v in zip(space.coords, radius.pool(space).values, strict=True):
         assert list(v) == sorted(r["value"] for r in rows if r["attr"] == c)
+
+
+def test_least_tuples_follow_the_root(spark, sf):
+    """Only rows that the root's least rows meet are put in order."""
+    space = JoinSpace.bind(spark, sf, WORKLOADS["w1"]).cached()
+    near, box = resident.of(space), space.root_box()
+    rows = near._weighted(box)
+    kept = near._under(rows, rows[near.tree.root][0][:1])
+    assert all(len(kept[n]) < len(rows[n][0]) / 4 for n in near.names)
+    boxes = [box, *box.halves()[:2]]
+    for a, b in zip(space.representative(boxes), near.representative(boxes), strict=True):
+        assert (a == b).all()
