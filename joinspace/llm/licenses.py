@@ -79,24 +79,44 @@ def reachable(has: Callable[[str], Column], templates: dict[str, str], threshold
     """False only where the score must be below the threshold: it is at most the root of the squared weights of the
     template's terms that occur, by Cauchy-Schwarz. has: whether a term occurs; it may also say so of terms that do not."""
     any_of = F.lit(False)
-    for name in templates:
+    for name, few in needed(templates, threshold).items():
         mass = F.lit(0.0)
         for n, t, w in template_weights(templates):
             if n == name:
                 mass = mass + F.when(has(t), w * w).otherwise(0.0)
-        any_of = any_of | (mass >= (threshold * 0.999) ** 2)
+        any_of = any_of | (reduce(or_, (has(t) for t in few), F.lit(False)) & (mass >= (threshold * 0.999) ** 2))  # most end at the few
     return any_of
 
 
+def needed(templates: dict[str, str], threshold: float) -> dict[str, list[str]]:
+    """Terms of each template of which every passage that can reach the threshold holds one: the heaviest, long ones before short ones, so many
+    that the others hold too little of its length (see `reachable`)."""
+    out: dict[str, list[str]] = {}
+    for name in templates:
+        mass, out[name] = 1.0, []
+        for w, t in sorted(((w, t) for n, t, w in template_weights(templates) if n == name), key=lambda x: (len(x[1]) < 3, -x[0], x[1])):
+            if mass < (threshold * 0.99) ** 2:
+                break
+            out[name].append(t)
+            mass -= w * w
+    return out
+
+
+def once(value: Column, test: Callable[[Column], Column]) -> Column:
+    """test(value), with the value worked out once a row: a filter that names an expression many times runs it as often."""
+    return F.exists(F.array(value), test)
+
+
 def own_licences(files: DataFrame, templates: dict[str, str] = TEMPLATES, threshold: float = 0.75, forms: list[tuple[str, list[str], str]] | None = None) -> DataFrame:
     """(path, text_key, licence, score) of files with a passage at or over the threshold; forms: those of `licence_forms` by default."""
     spark = files.sparkSession
     known, other = idf(templates)
     weights = F.broadcast(literal_rows(spark, template_weights(templates), "licence", "term", "w"))  # fixed size
-    passages = files.select("path", text_key(F.col("text")).alias("text_key"), F.posexplode(F.split(F.regexp_replace(F.lower("text"), CUT, "$1\n"), "\n")).alias("no", "passage"))
+    held = files.where(once(F.lower("text"), lambda low: reachable(lambda t: F.contains(low, F.lit(t)), templates, threshold)))  # a text holds what its passages hold
+    passages = held.select("path", text_key(F.col("text")).alias("text_key"), F.posexplode(F.split(F.regexp_replace(F.lower("text"), CUT, "$1\n"), "\n")).alias("no", "passage"))
     passages = passages.where(reachable(lambda t: F.contains("passage", F.lit(t)), templates, threshold))  # if only as parts of words: no terms are cut yet
     passages = passages.withColumn("terms", F.regexp_extract_all("passage", F.lit(TERM), F.lit(0)))
-    passages = passages.where(F.exists(F.array("terms"), lambda terms: reachable(lambda t: F.array_contains(terms, t), templates, threshold)))  # terms are cut once, not once a template
+    passages = passages.where(once(F.col("terms"), lambda terms: reachable(lambda t: F.array_contains(terms, t), templates, threshold)))  # terms are cut once, not once a template
     # rows that repeat a path and text count once
     terms = passages.groupBy("path", "text_key", "no").agg(F.first("terms").alias("terms")).select("path", "text_key", "no", F.explode("terms").alias("term"))
     counts = terms.groupBy("path", "text_key", "no", "term").agg(F.count("*").alias("n"))
@@ -143,20 +163,21 @@ def with_forms(files: DataFrame, forms: list[tuple[str, list[str], str]], thresh
     table = F.broadcast(literal_rows(spark, list(known.items()), "term", "idf"))
     rarest = r"\b(" + "|".join(sorted({key[0] for _, key, _ in forms})) + r")\b"
     keys = sorted({tuple(key) for _, key, _ in forms})
-    low = files.select("path", text_key(F.col("text")).alias("text_key"), F.replace(F.lower("text"), F.lit("licence"), F.lit("license")).alias("low")).where(F.col("low").rlike(rarest))
     # all key words of some form must stand in the text, and in the passage, if only as parts of words: a cheap test before any terms are cut
     rare = lambda text: F.array_distinct(F.regexp_extract_all(text, F.lit(rarest), F.lit(0)))
-    spells = lambda text, found: reduce(or_, (reduce(and_, (F.array_contains(found, key[0]), *(F.contains(text, F.lit(t)) for t in key[1:]))) for key in keys))
-    low = low.withColumn("found", rare(F.col("low"))).where(spells(F.col("low"), F.col("found")))
-    passages = low.select("path", "text_key", F.posexplode(form_passages(F.col("low"))).alias("no", "passage")).where(F.col("passage").rlike(rarest))
-    passages = passages.withColumn("found", rare(F.col("passage"))).where(spells(F.col("passage"), F.col("found")))
+    behind = {first: [key[1:] for key in keys if key[0] == first] for first, *_ in keys}
+    with_rest = lambda text, is_there: reduce(or_, (is_there(first) & reduce(or_, (reduce(and_, (F.contains(text, F.lit(t)) for t in rest), F.lit(True)) for rest in rests)) for first, rests in behind.items()))
+    spells = lambda text: with_rest(text, lambda t: F.contains(text, F.lit(t))) & once(rare(text), lambda found: with_rest(text, lambda t: F.array_contains(found, t)))
+    lowered = F.replace(F.lower("text"), F.lit("licence"), F.lit("license"))
+    low = files.where(once(lowered, spells)).select("path", text_key(F.col("text")).alias("text_key"), lowered.alias("low"))
+    passages = low.select("path", "text_key", F.posexplode(form_passages(F.col("low"))).alias("no", "passage")).where(spells(F.col("passage")))
     passages = passages.select("path", "text_key", "no", F.array_distinct(F.regexp_extract_all("passage", F.lit(TERM), F.lit(0))).alias("terms"))
     has = lambda terms: reduce(or_, (reduce(and_, (F.array_contains(terms, t) for t in key)) for key in keys))
-    passages = passages.where(F.exists(F.array("terms"), has))
     # No term weighs more than an unknown one, so by Cauchy-Schwarz too many unknown ones for those known keep every score below the threshold.
     # One set of known terms serves all rows: array_except would fill a table of them for each row.
-    strange = F.size(F.filter("terms", lambda t: ~t.isin(sorted(known))))
-    passages = passages.where(strange * threshold**2 * 0.999 <= (1 - threshold**2) * (F.size("terms") - strange))
+    strange = lambda terms: F.size(F.filter(terms, lambda t: ~t.isin(sorted(known))))
+    near = lambda terms: once(strange(terms), lambda n: n * threshold**2 * 0.999 <= (1 - threshold**2) * (F.size(terms) - n))
+    passages = passages.where(once(F.col("terms"), lambda terms: has(terms) & near(terms)))
     # rows that repeat a path and text count once
     passages = passages.groupBy("path", "text_key", "no").agg(F.first("terms").alias("terms"))
     terms = passages.select("path", "text_key", "no", F.explode("terms").alias("term")).join(table, "term", "left").withColumn("x", F.coalesce("idf", F.lit(other)))
