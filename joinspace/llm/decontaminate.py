@@ -16,9 +16,9 @@ from pyspark.sql import functions as F
 
 from .common import Scratch, lower_az, text_key
 
-#: What stands between words (after lower-casing), and a word before lower-casing.
+#: What stands between words (after lower-casing), and a word before lower-casing, as the ranges it has: most letters meet the first one.
 BETWEEN = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-RAW_WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
+RAW_WORD = r"[a-zA-Z0-9\x80-\x{10FFFF}]+"
 
 
 def words(text: Column) -> Column:
@@ -44,18 +44,30 @@ def test_windows(benchmark: DataFrame, width: int = 10) -> DataFrame:
 
 
 def hits(documents: DataFrame, windows: DataFrame, widths: list[int], broadcast: bool) -> DataFrame:
-    """(doc_id, text_key, start, width, items): every occurrence of a test window, checked word by word."""
+    """(doc_id, text_key, start, width, items): every occurrence of a test window, checked word by word.
+
+    Blocks of half a window are probed first, at every `step`-th word: of the starts that a window can have, each `step` in a row
+    hold the same one of these blocks whole. So all windows around the blocks that occur in a test window are all that can hit."""
     docs = documents.select("doc_id", text_key(F.col("text")).alias("text_key"), words(F.col("text")).alias("t"))
     found = None
     for width in widths:
-        probe = windows.where(F.col("width") == width).select(F.xxhash64(F.split("gram", " ")).alias("h"), "gram", "items")
-        scanned = docs.select("doc_id", "text_key", "t", F.posexplode(F.transform(_starts(F.col("t"), F.lit(width)), lambda i: F.xxhash64(F.slice("t", i, width)))).alias("start", "h"))
-        same = F.concat_ws(" ", F.slice("t", F.col("start") + 1, width)) == F.col("gram")
+        size = (width + 1) // 2
+        step = width - size + 1
+        wide = windows.where(F.col("width") == width).select(F.split("gram", " ").alias("g"), "gram", "items")
+        probe = wide.select(F.xxhash64("g").alias("h"), "gram", "items")
+        blocks = wide.select(F.explode(F.transform(_starts(F.col("g"), F.lit(size)), lambda i: F.xxhash64(F.slice("g", i, size)))).alias("block")).distinct()
+        n = F.size("t") - size + 1
+        firsts = F.when(n > 0, F.sequence(F.lit(1), F.greatest(n, F.lit(1)), F.lit(step))).otherwise(F.array().cast("array<int>"))
+        scanned = docs.select("doc_id", "text_key", "t", F.posexplode(F.transform(firsts, lambda i: F.xxhash64(F.slice("t", i, size)))).alias("no", "block"))
+        first = F.greatest(F.col("no") * step + 2 - step, F.lit(1))  # of the windows around a block
+        around = F.slice("t", first, F.col("no") * step + 1 + width - first)
         if broadcast:
-            one = scanned.join(F.broadcast(probe), "h").where(same)
+            near = scanned.join(F.broadcast(blocks), "block", "left_semi").select("doc_id", "text_key", first.alias("first"), around.alias("t"))
         else:
-            slim = scanned.withColumn("g", F.concat_ws(" ", F.slice("t", F.col("start") + 1, width))).drop("t")
-            one = slim.join(probe, "h").where(F.col("g") == F.col("gram"))
+            near = scanned.select("doc_id", "text_key", "block", first.alias("first"), around.alias("t")).join(blocks, "block", "left_semi")
+        near = near.select("doc_id", "text_key", "first", "t", F.posexplode(F.transform(_starts(F.col("t"), F.lit(width)), lambda i: F.xxhash64(F.slice("t", i, width)))).alias("at", "h"))
+        near = near.select("doc_id", "text_key", (F.col("first") - 1 + F.col("at")).alias("start"), "h", F.concat_ws(" ", F.slice("t", F.col("at") + 1, width)).alias("w"))
+        one = near.join(F.broadcast(probe) if broadcast else probe, "h").where(F.col("w") == F.col("gram"))
         one = one.select("doc_id", "text_key", "start", F.lit(width).alias("width"), "items")
         found = one if found is None else found.unionByName(one)
     return found

@@ -606,3 +606,27 @@ def test_licence_filters_work_out_words_once(spark):
     plan = licenses.own_licences(files)._jdf.queryExecution().optimizedPlan().toString()
     assert max(line.count("regexp_extract_all") for line in plan.split("\n")) <= 2
     assert any("Filter" in line and "exists(array(lower(text" in line for line in plan.split("\n"))  # texts are tested before passages are cut
+
+
+def test_decontaminate_blocks_at_all_offsets(spark):
+    """Windows of every width, at every offset, at the ends and next to each other; blocks are probed before any window is cut."""
+    items = [" ".join(f"w{width}x{i}" for i in range(width + (width == 10) * 3)) for width in range(1, 11)]
+    texts = [" ".join(["pad"] * before + items[n].split()[cut:] + ["End"] * after) for n in range(10) for before in (*range(8), 13) for after in (0, 3) for cut in (0, 1)] + [" ".join(items), None, ""]
+    docs = spark.createDataFrame([Row(doc_id=i, text=t) for i, t in enumerate(texts)], "doc_id long, text string")
+    bench = spark.createDataFrame([Row(item_id=i, text=t) for i, t in enumerate(items)], "item_id long, text string")
+    want = {}
+    for d, text in enumerate(texts):
+        own, hit, seen = (text or "").lower().split(), set(), set()
+        for i, item in enumerate(items):
+            words = item.split()
+            width = min(10, len(words))
+            grams = {tuple(words[j : j + width]) for j in range(len(words) - width + 1)}
+            for j in range(len(own) - width + 1):
+                if tuple(own[j : j + width]) in grams:
+                    hit |= set(range(j, j + width))
+                    seen.add(str(i))
+        want[d] = (len(own), len(hit), sorted(seen))
+    for most in (1_000_000, 0):
+        found = decontaminate.scan(docs, bench, broadcast_windows=most)
+        assert {r["doc_id"]: (r["n_words"], r["n_hit"], r["items"]) for r in found.collect()} == want
+        assert found._jdf.queryExecution().optimizedPlan().toString().count("LeftSemi") == 10
