@@ -630,3 +630,22 @@ def test_decontaminate_blocks_at_all_offsets(spark):
         found = decontaminate.scan(docs, bench, broadcast_windows=most)
         assert {r["doc_id"]: (r["n_words"], r["n_hit"], r["items"]) for r in found.collect()} == want
         assert found._jdf.queryExecution().optimizedPlan().toString().count("LeftSemi") == 10
+
+
+def test_sieve(spark):
+    """All rows with a partner pass, few others; near duplicates sieve texts and bucket entries before they are shuffled."""
+    from joinspace.llm.common import sieve
+
+    rows = spark.range(0, 20_000).selectExpr("id as a", "string(id % 7) as b", "id as more")
+    wanted = rows.where("a % 20 = 3").select("a", "b")
+    kept = sieve(rows, wanted, "a", "b")
+    assert kept.columns == rows.columns
+    got = {r["a"] for r in kept.collect()}
+    assert {a for a in range(20_000) if a % 20 == 3} <= got and len(got) < 4_000
+    assert sieve(rows, wanted, "a", "b", most=1 << 15).where("a % 20 = 3").count() == 1_000
+    assert sieve(rows, wanted.limit(0), "a", "b").count() == 0
+    assert sieve(rows, wanted, "a", "b").join(wanted, ["a", "b"]).count() == 1_000
+    docs = spark.createDataFrame([Row(doc_id=i, text=f"one two three {i // 2}") for i in range(8)])
+    found = neardup.NearDuplicates(docs, words=2)
+    wanted = found.scratch.store(found._profile().selectExpr("doc_id as node", "doc_id", "text_key"), "all")
+    assert "bitmap_construct_agg" in found._sets(wanted)._jdf.queryExecution().optimizedPlan().toString()
