@@ -196,3 +196,25 @@ def test_complement_pieces():
     grid = np.array([(x, y) for x in np.arange(0, 4, 0.25) for y in np.arange(0, 4, 0.25)])
     hole = Box(np.array([1.0, 1]), np.array([2.0, 9])).contains(grid)
     assert (np.stack([p.contains(grid) for p in parts]).sum(0) == (~hole).astype(int)).all()
+
+
+@pytest.mark.parametrize("metric", ["l2", "l1", "linf"])
+def test_assign_many_centres(metric, monkeypatch):
+    """Blocks of points only meet centres that can be nearest to one of them; numbers and distances are those of the full comparison, ties included."""
+    rng = np.random.default_rng(6)
+    points, pairs = rng.random((20_000, 2)).round(3), []
+    centres = points[rng.integers(0, len(points), 2000)]
+    full = local.pairwise(points, centres, metric)
+    plain = local.pairwise
+    monkeypatch.setattr(local, "pairwise", lambda a, b, m: pairs.append(len(a) * len(b)) or plain(a, b, m))
+    at, distance = local.assign(points, centres, metric)
+    assert (at == full.argmin(1)).all() and (distance == full.min(1)).all()
+    assert sum(pairs) < full.size / 10
+
+
+def test_distances_of_short_and_long_tuples():
+    rng = np.random.default_rng(7)
+    for d in (1, 2, 5, 7, 9):
+        a, b = rng.random((30, d)), rng.random((20, d))
+        want = np.sqrt(((a[:, None, :] - b[None, :, :]) ** 2).sum(-1))
+        assert (local.pairwise(a, b) == want).all() and (local.norm(a) == np.sqrt((a * a).sum(-1))).all()

@@ -132,3 +132,25 @@ def test_least_tuples_follow_the_root(spark, sf):
     boxes = [box, *box.halves()[:2]]
     for a, b in zip(space.representative(boxes), near.representative(boxes), strict=True):
         assert (a == b).all()
+
+
+def test_leaves_of_repeated_tuples(spark, sf, tmp_path):
+    """Tables that repeat their rows make the same leaves, heavier: a tree opens no more nodes than on the tables themselves."""
+    for name, times in (("customer", 5), ("supplier", 3), ("nation", 1)):
+        f = spark.read.parquet(f"{sf}/{name}.parquet")
+        f.crossJoin(spark.range(times).toDF("copy")).drop("copy").write.parquet(f"{tmp_path}/{name}.parquet")
+    once, often = (JoinSpace.bind(spark, x, WORKLOADS["w9"]) for x in (sf, str(tmp_path)))
+    near, many = resident.of(once), resident.of(often)
+    box = near.root_box()
+    inner = Box(box.lo + (box.hi - box.lo) / 4, box.hi - (box.hi - box.lo) / 4)
+    regions = [Region(box), Region(inner), Region(box, inner)]
+    rows = [sum(len(x) for b in r.slabs() for _, x, _ in many._picked(b)) for r in regions]
+    assert many.count_rows(regions) == rows and many.size() == 15 * near.size() > many.count_rows(regions)[0]
+    a, b = (tree.lazy_tree(x, eps=0.1, leaf_cap=4, leaf_rows=True) for x in (once, often))
+    centres = near.sample_regions([Region(box)], [40])[0]
+    points, w = many.report_regions([Region(box)])[0]
+    d = np.sqrt(((points[:, None] - centres[None]) ** 2).sum(-1)).min(1)
+    assert w[d <= 300].sum() <= b.deactivate(centres, 300) <= w[d <= 330 * (1 + 1e-9)].sum()
+    assert b.active == b.reported() == b.report()[1].sum()
+    a.deactivate(centres, 300)
+    assert a.stats.nodes > 10 and b.stats.nodes < 1.5 * a.stats.nodes
