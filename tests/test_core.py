@@ -218,3 +218,36 @@ def test_distances_of_short_and_long_tuples():
         a, b = rng.random((30, d)), rng.random((20, d))
         want = np.sqrt(((a[:, None, :] - b[None, :, :]) ** 2).sum(-1))
         assert (local.pairwise(a, b) == want).all() and (local.norm(a) == np.sqrt((a * a).sum(-1))).all()
+
+
+def test_swap_keeps_its_result(monkeypatch):
+    """What is left without a centre comes from the two least distances, not from all distances for each try; centres and cost are the same."""
+    def plain(points, weights, centres, objective, seed=42, tries=60):
+        rng, power = np.random.default_rng(seed), 1 if objective == "median" else 2
+        d = local.pairwise(points, centres) ** power
+        now = float((weights * d.min(1)).sum())
+        for _ in range(tries):
+            i = int(rng.choice(len(points), p=weights / weights.sum()))
+            new = local.norm(points - points[i]) ** power
+            best, at = now, -1
+            for j in range(len(centres)):
+                v = float((weights * np.minimum(new, np.delete(d, j, 1).min(1) if len(centres) > 1 else np.inf)).sum())
+                if v < best * (1 - 1e-9):
+                    best, at = v, j
+            if at >= 0:
+                centres = centres.copy()
+                centres[at], now = points[i], best
+                d[:, at] = new
+        return centres, now
+
+    rng = np.random.default_rng(8)
+    points, weights = rng.random((3000, 2)), rng.random(3000)
+    for k, objective in ((1, "means"), (2, "median"), (6, "means")):
+        want = plain(points, weights, points[:k], objective)
+        with monkeypatch.context() as m:
+            m.setattr(np, "delete", None)
+            got = local.swap(points, weights, points[:k], objective)
+        assert (got[0] == want[0]).all() and got[1] == want[1]
+        at, distance = local.assign(points, points[:k])
+        full = local.pairwise(points, points[:k])
+        assert (at == full.argmin(1)).all() and (distance == full.min(1)).all()
