@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pytest
 
-from joinspace import baselines, mixed, radius, resident, tree
+from joinspace import baselines, diversity, mixed, radius, resident, tree
 from joinspace.region import Box, Region
 from joinspace.space import JoinSpace
 from joinspace.spec import WORKLOADS
@@ -134,12 +134,17 @@ def test_least_tuples_follow_the_root(spark, sf):
         assert (a == b).all()
 
 
-def test_leaves_of_repeated_tuples(spark, sf, tmp_path):
-    """Tables that repeat their rows make the same leaves, heavier: a tree opens no more nodes than on the tables themselves."""
+def repeated(spark, sf, folder) -> list[JoinSpace]:
+    """w9, and w9 on customers five times and suppliers three times."""
     for name, times in (("customer", 5), ("supplier", 3), ("nation", 1)):
         f = spark.read.parquet(f"{sf}/{name}.parquet")
-        f.crossJoin(spark.range(times).toDF("copy")).drop("copy").write.parquet(f"{tmp_path}/{name}.parquet")
-    once, often = (JoinSpace.bind(spark, x, WORKLOADS["w9"]) for x in (sf, str(tmp_path)))
+        f.crossJoin(spark.range(times).toDF("copy")).drop("copy").write.parquet(f"{folder}/{name}.parquet")
+    return [JoinSpace.bind(spark, x, WORKLOADS["w9"]) for x in (sf, str(folder))]
+
+
+def test_leaves_of_repeated_tuples(spark, sf, tmp_path):
+    """Tables that repeat their rows make the same leaves, heavier: a tree opens no more nodes than on the tables themselves."""
+    once, often = repeated(spark, sf, tmp_path)
     near, many = resident.of(once), resident.of(often)
     box = near.root_box()
     inner = Box(box.lo + (box.hi - box.lo) / 4, box.hi - (box.hi - box.lo) / 4)
@@ -154,3 +159,15 @@ def test_leaves_of_repeated_tuples(spark, sf, tmp_path):
     assert b.active == b.reported() == b.report()[1].sum()
     a.deactivate(centres, 300)
     assert a.stats.nodes > 10 and b.stats.nodes < 1.5 * a.stats.nodes
+
+
+@pytest.mark.parametrize("kind", ["edge", "tree", "matching", "pseudoforest"])
+def test_diversity_of_repeated_tuples(spark, sf, tmp_path, monkeypatch, kind):
+    """Repeated rows open no more nodes, and the subset is as diverse as on the tables themselves, up to the method's factor."""
+    trees, plain = [], tree.lazy_tree
+    monkeypatch.setattr(diversity, "lazy_tree", lambda *a, **o: trees.append(plain(*a, **o)) or trees[-1])
+    (x, a), (y, b) = (diversity.solve(s, 4, kind, leaf_cap=4) for s in repeated(spark, sf, tmp_path))
+    points = resident.of(JoinSpace.bind(spark, sf, WORKLOADS["w9"])).report_regions([Region(trees[0].root.region.outer)])[0][0]
+    assert all((points == p).all(1).any() for p in (*x, *y)) and len(x) == len(y) == 4
+    assert b >= a / 3 and trees[1].n == 15 * trees[0].n
+    assert trees[0].stats.nodes > 10 and trees[1].stats.nodes < 1.3 * trees[0].stats.nodes
