@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pytest
 
-from joinspace import baselines, local, products
+from joinspace import baselines, coreset, local, products
 from joinspace.region import Box, Region
 from joinspace.space import JoinSpace
 from joinspace.spec import WORKLOADS
@@ -88,3 +88,21 @@ def test_large_joins_are_not_refused(spark, sf):
     again, v = baselines.materialized(space, most=len(p) // 2)
     assert isinstance(again, products.Products) and v.sum() == w.sum()
     assert products.of(space, 10) is None and products.of(JoinSpace.bind(spark, sf, WORKLOADS["w11"])) is None
+
+
+def test_points_of_boxes_lie_near_the_mean():
+    """Of a box's least tuple every cost was off to one side: by 0.9 with rings of the w9 queries."""
+    rng = np.random.default_rng(5)
+    x = rng.random((6000, 2))
+    t = flat_tree(x, leaf_cap=100)
+    box = Box(np.array([0.1, 0.2]), np.array([0.7, 0.9]))
+    inside = x[box.contains(x)]
+    got = t.middle_of_box(box)
+    assert (inside == got).all(1).any() and np.linalg.norm(got - inside.mean(0)) < 0.1
+    t.deactivate(got, 0.2)
+    again = t.middle_of_box(box)
+    assert (inside == again).all(1).any() and np.linalg.norm(again - got) > 0.2
+    core = coreset.from_boxes(t, coreset.grid(np.array([[0.5, 0.5]]), 0.5, 0.8))
+    live = t.report()[0]
+    for c in (np.zeros((1, 2)), np.ones((1, 2))):
+        assert abs(local.cost(core.points, core.weights, c, "means") / local.cost(live, np.ones(len(live)), c, "means") - 1) < 0.15
