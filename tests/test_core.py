@@ -251,3 +251,26 @@ def test_swap_keeps_its_result(monkeypatch):
         at, distance = local.assign(points, points[:k])
         full = local.pairwise(points, points[:k])
         assert (at == full.argmin(1)).all() and (distance == full.min(1)).all()
+
+
+@pytest.mark.parametrize("listed", [2, 2_000_000])
+def test_rank_is_found_in_few_counts(monkeypatch, listed):
+    """Bisection took 60 counts of all pairs for each rank; differences are the same up to 1e-10."""
+    rng = np.random.default_rng(8)
+    pool = radius.Pool([np.round(rng.random(300) * 11, 2), rng.gamma(2, 5, 200_000)])
+    monkeypatch.setattr(radius, "LISTED", min(listed, 50))
+    small = radius.Pool([np.round(rng.random(60), 2), rng.random(80) ** 3])
+    every = np.sort(np.concatenate([np.abs(v[:, None] - v[None, :])[np.triu_indices(len(v), 1)] for v in small.values]))
+    for z in (1, 2, 50, len(every) // 2, len(every) - 1, len(every)):
+        assert every[z - 1] * (1 - 1e-12) <= small.at_rank(z) <= every[z - 1] * (1 + 2e-10)
+    if listed > 2:
+        monkeypatch.setattr(radius, "LISTED", 20_000)
+    plain, asked = radius.pairs_up_to, []
+    monkeypatch.setattr(radius, "pairs_up_to", lambda v, x: asked.append(x) or plain(v, x))
+    for z in (1000, pool.total // 7, pool.total // 2):
+        asked.clear()
+        d = pool.at_rank(z)
+        assert len(asked) <= (2 * 60 if listed == 2 else 2 * 30)
+        assert sum(plain(v, d) for v in pool.values) >= z > sum(plain(v, d * (1 - 1e-9)) for v in pool.values)
+    v = pool.values[1]
+    assert plain(v, 0.5) == int((np.searchsorted(v, v + 0.5, side="right") - np.arange(1, len(v) + 1)).sum())

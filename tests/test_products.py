@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pytest
 
-from joinspace import baselines, coreset, local, products
+from joinspace import baselines, coreset, local, products, resident
 from joinspace.region import Box, Region
 from joinspace.space import JoinSpace
 from joinspace.spec import WORKLOADS
@@ -106,3 +106,16 @@ def test_points_of_boxes_lie_near_the_mean():
     live = t.report()[0]
     for c in (np.zeros((1, 2)), np.ones((1, 2))):
         assert abs(local.cost(core.points, core.weights, c, "means") / local.cost(live, np.ones(len(live)), c, "means") - 1) < 0.15
+
+
+def test_groups_keep_only_their_rows(spark, sf):
+    """The orders of other customers stayed in each group's relations, which were then too large for a tree in memory."""
+    space = JoinSpace.bind(spark, sf, WORKLOADS["w8"], cats=["segment"])
+    part = space.group("segment", "BUILDING")
+    small = part.reduced()
+    box = space.root_box()
+    assert small.size() == part.size() and list(small.count(box.halves()[:2])) == list(part.count(box.halves()[:2]))
+    values = sum(f.count() * len(f.columns) for f in small.frames.values())
+    assert values < sum(f.count() * len(f.columns) for f in part.frames.values()) / 2
+    assert resident.of(part, values) is None and resident.of(small, values) is not None
+    small.release()
